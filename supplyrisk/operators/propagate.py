@@ -46,22 +46,20 @@ class RunLog:
         return spark.createDataFrame(rows, "mode string, round int, frontier long, raised long, seconds double")
 
 
-def _edges_from(prop: DataFrame, frontier: DataFrame, n: int, options: RunOptions, low_only: bool) -> DataFrame:
-    """Edges that leave the frontier. Laid-out edges are pruned by mask, and by bucket if the
-    frontier is small."""
+def _edges_from(prop: DataFrame, frontier: DataFrame, n: int, options: RunOptions, low_only: bool, buckets: int | None) -> DataFrame:
+    """Edges that leave the frontier. Laid-out edges are pruned by mask, and by bucket (of
+    `buckets`) if the frontier is small."""
     if low_only:
         prop = prop.where("mask = 3")
     small = n <= options.broadcast_rows
-    if small and "bucket" in prop.columns:
-        buckets = prop.select(F.max("bucket")).first()[0]
-        if buckets is not None and n <= 4 * (buckets + 1):
-            ids = [r[0] for r in frontier.select(F.pmod(F.xxhash64("vid"), F.lit(buckets + 1)).cast("int").alias("b")).distinct().collect()]
-            prop = prop.where(F.col("bucket").isin(ids))
+    if buckets and n <= buckets // 2:
+        ids = [r[0] for r in frontier.select(F.pmod(F.xxhash64("vid"), F.lit(buckets)).cast("int").alias("b")).distinct().collect()]
+        prop = prop.where(F.col("bucket").isin(ids))
     from_ = frontier.select(F.col("vid").alias("src"), F.col("status").alias("level"))
     return prop.join(F.broadcast(from_) if small else from_, "src")
 
 
-def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, mode: str = "both", settled: DataFrame | None = None) -> DataFrame:
+def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, mode: str = "both", settled: DataFrame | None = None, buckets: int | None = None) -> DataFrame:
     """vid, status raised from the start. mode: both levels, or `top` or `low` alone.
     settled: vids that take no part."""
     staged = [Staged(start.groupBy("vid").agg(F.max("status").alias("status")), "state")]
@@ -73,7 +71,7 @@ def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, m
             return state
         began = time.time()
         low_only = mode == "low"
-        sent = _edges_from(prop, frontier, n, options, low_only)
+        sent = _edges_from(prop, frontier, n, options, low_only, buckets)
         got = sent.select(F.col("dst").alias("vid"), passed(F.col("level"), F.col("mask")).alias("status")).where("status > 0").groupBy("vid").agg(F.max("status").alias("status"))
         old = state.select("vid", F.col("status").alias("old"))
         raised = got.join(old, "vid", "left").where("status > coalesce(old, 0)").select("vid", "status")
@@ -131,12 +129,12 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
         state = kernels.status_in_one_task(compiled.prop, compiled.seeds.groupBy("vid").agg(F.max("status").alias("status")))
         return Staged(state, "status").df, log
     if mode == "semi_naive":
-        return _loop(compiled.prop, compiled.seeds, options, log), log
+        return _loop(compiled.prop, compiled.seeds, options, log, buckets=compiled.buckets), log
     if mode == "two_phase":
-        bad = _loop(compiled.prop, compiled.seeds.where("status = 2"), options, log, "top")
+        bad = _loop(compiled.prop, compiled.seeds.where("status = 2"), options, log, "top", buckets=compiled.buckets)
         bad = Staged(bad, "malice").df
         weak = compiled.seeds.where("status = 1").join(bad.select("vid"), "vid", "left_anti")
-        return bad.unionAll(_loop(compiled.prop, weak, options, log, "low", bad)), log
+        return bad.unionAll(_loop(compiled.prop, weak, options, log, "low", bad, compiled.buckets)), log
     if mode == "contracted":
         small, gone = contract_steps(compiled)
         gone = Staged(gone, "contracted").df

@@ -31,6 +31,7 @@ class Compiled:
     copies: DataFrame
     unknown: DataFrame
     n_edges: int | None = None
+    buckets: int | None = None
 
     def laid_out(self, buckets: int | None = None) -> Compiled:
         """Edges staged once, in folders by mask and bucket of src, sorted by src: a level-1
@@ -39,7 +40,7 @@ class Compiled:
         n = buckets or partitions(spark)
         prop = self.prop.withColumn("bucket", F.pmod(F.xxhash64("src"), F.lit(n)).cast("int"))
         staged = Staged(prop.repartition(n, "bucket").sortWithinPartitions("mask", "bucket", "src"), "prop", by=("mask", "bucket"))
-        return replace(self, prop=staged.df, n_edges=staged.df.count())
+        return replace(self, prop=staged.df, n_edges=staged.df.count(), buckets=n)
 
     def with_seeds(self, seeds: DataFrame, host_vuln: str = "record") -> Compiled:
         return replace(self, seeds=seed_state(self.vertices, seeds, host_vuln))
@@ -111,4 +112,4 @@ def contract_steps(compiled: Compiled, keep: DataFrame | None = None) -> tuple[C
     kept = prop.join(gone.select(F.col("vid").alias("dst")), "dst", "left_anti")
     moved = kept.join(gone.select(F.col("vid").alias("src"), "parent", F.col("mask").alias("first")), "src", "left")
     new = moved.select(F.coalesce("parent", "src").alias("src"), "dst", F.when(F.col("first").isNull(), F.col("mask")).otherwise(F.col("mask").bitwiseAND(F.col("first"))).alias("mask"), F.lit("path").alias("label"))
-    return replace(compiled, prop=new.where("mask <> 0").distinct(), n_edges=None), gone
+    return replace(compiled, prop=new.where("mask <> 0").distinct(), n_edges=None, buckets=None), gone
