@@ -36,7 +36,9 @@ START = "▁"
 #: Words after which more text no longer sharpens the score.
 SCORE_WORDS = 20
 _WORD = re.compile(r"[^\W\d_]+")
-_CACHE_WORDS = 600_000
+_CACHE_WORDS = 300_000
+#: Words worked on at once, and texts split at once.
+_WORDS_AT_ONCE, _TEXTS_AT_ONCE = 10_000, 512
 
 
 def load_pieces(path: str = VOCABULARY) -> list[str]:
@@ -49,41 +51,68 @@ def load_pieces(path: str = VOCABULARY) -> list[str]:
 
 
 class Trie:
-    """Dense transition table over the vocabulary's characters; 0 is the dead state."""
+    """Transitions over the vocabulary; state 0 is dead, 1 the root.
+
+    Characters of longer pieces have a dense table. The many others (one-character pieces
+    of large scripts) only leave the root, for a state of their own without a way on."""
 
     def __init__(self, pieces: list[str]):
         self.pieces = pieces
-        chars = sorted({c for p in pieces for c in p})
-        self.code = {c: i + 1 for i, c in enumerate(chars)}
-        width = len(chars) + 1
-        rows = [np.zeros(width, np.int32), np.zeros(width, np.int32)]
+        inner = sorted({c for p in pieces if len(p) > 1 for c in p})
+        outer = sorted({p for p in pieces if len(p) == 1} - set(inner))
+        self.width = len(inner) + 1
+        self.code = {c: i + 1 for i, c in enumerate(inner + outer)}
+        ways: list[dict[int, int]] = [{}, {}]
         piece_at = [0, 0]
-        for number, p in enumerate(pieces):
+        late = []
+        for number, p in enumerate(pieces, 1):
+            if len(p) == 1 and self.code[p] >= self.width:
+                late.append((self.code[p], number))
+                continue
             at = 1
             for c in p:
                 k = self.code[c]
-                if not rows[at][k]:
-                    rows[at][k] = len(rows)
-                    rows.append(np.zeros(width, np.int32))
+                if k not in ways[at]:
+                    ways[at][k] = len(ways)
+                    ways.append({})
                     piece_at.append(0)
-                at = rows[at][k]
-            piece_at[at] = number + 1
-        self.step, self.piece = np.stack(rows), np.array(piece_at, np.int32)
+                at = ways[at][k]
+            piece_at[at] = number
+        self.step = np.zeros((len(ways), self.width), np.int32)
+        for at, out in enumerate(ways):
+            for k, to in out.items():
+                self.step[at, k] = to
+        self.first = np.zeros(len(self.code) + 1, np.int32)
+        self.first[: self.width] = self.step[1]
+        for n, (k, number) in enumerate(late, len(ways)):
+            self.first[k] = n
+            piece_at.append(number)
+        self.piece = np.array(piece_at, np.int32)
+
+    def walk(self, codes: np.ndarray, at: int) -> Iterator[np.ndarray]:
+        """Piece number (0: none) of each word's characters at..at + k, for k = 0, 1, ..."""
+        state = self.first[codes[:, at]]
+        yield self.piece[state]
+        for k in range(1, min(MAX_PIECE, codes.shape[1] - at)):
+            code = codes[:, at + k]
+            on = (state < len(self.step)) & (code < self.width)
+            state = np.where(on, self.step[np.where(on, state, 0), np.where(on, code, 0)], 0)
+            if not state.any():
+                return
+            yield self.piece[state]
 
     def encode(self, words: list[str], width: int) -> np.ndarray:
-        out = np.zeros((len(words), width), np.int32)
-        code = self.code
-        for i, w in enumerate(words):
-            out[i, : len(w) + 1] = [code.get(c, 0) for c in START + w]
-        return out
+        get = self.code.get
+        flat = [get(c, 0) for w in words for c in START + w]
+        return np.array(flat, np.int32).reshape(len(words), width)
 
 
 def _by_length(words: list[str]) -> Iterator[tuple[int, np.ndarray]]:
     sizes = np.fromiter(map(len, words), np.int64, len(words))
     for n in np.unique(sizes):
         at = np.flatnonzero(sizes == n)
-        for k in range(0, len(at), 50_000):
-            yield int(n) + 1, at[k : k + 50_000]
+        for k in range(0, len(at), _WORDS_AT_ONCE):
+            yield int(n) + 1, at[k : k + _WORDS_AT_ONCE]
 
 
 def forward(trie: Trie, codes: np.ndarray, probs: np.ndarray, unknown: float) -> np.ndarray:
@@ -92,15 +121,11 @@ def forward(trie: Trie, codes: np.ndarray, probs: np.ndarray, unknown: float) ->
     alpha = np.zeros((length + 1, n, probs.shape[1]))
     alpha[0] = 1.0
     for i in range(length):
-        here, state = alpha[i], np.ones(n, np.int32)
+        here = alpha[i]
         alpha[i + 1] += here * unknown  # a character that no piece explains
-        for k in range(min(MAX_PIECE, length - i)):
-            state = trie.step[state, codes[:, i + k]]
-            piece = trie.piece[state]
+        for k, piece in enumerate(trie.walk(codes, i)):
             if piece.any():
                 alpha[i + k + 1] += here * probs[piece]
-            elif not state.any():
-                break
     return alpha
 
 
@@ -111,19 +136,14 @@ def expected_counts(trie: Trie, codes: np.ndarray, weights: np.ndarray, probs: n
     beta = np.zeros_like(alpha)
     beta[length] = 1.0
     for i in range(length - 1, -1, -1):
-        state = np.ones(n, np.int32)
         beta[i] += beta[i + 1] * unknown
-        for k in range(min(MAX_PIECE, length - i)):
-            state = trie.step[state, codes[:, i + k]]
-            piece = trie.piece[state]
+        for k, piece in enumerate(trie.walk(codes, i)):
             beta[i] += probs[piece] * beta[i + k + 1]
     scale = weights / np.maximum(alpha[length], 1e-300)
     for i in range(length):
-        state = np.ones(n, np.int32)
-        for k in range(min(MAX_PIECE, length - i)):
-            state = trie.step[state, codes[:, i + k]]
-            piece = trie.piece[state]
-            np.add.at(into, piece, alpha[i] * probs[piece] * beta[i + k + 1] * scale)
+        for k, piece in enumerate(trie.walk(codes, i)):
+            used = np.flatnonzero(piece)
+            np.add.at(into, piece[used], alpha[i][used] * probs[piece[used]] * beta[i + k + 1][used] * scale[used])
 
 
 def words_of(text: str) -> list[str]:
@@ -142,6 +162,7 @@ class LanguageModel:
     unknown: float = 1e-7
     _trie: Trie | None = field(default=None, repr=False, compare=False)
     _seen: dict = field(default_factory=dict, repr=False, compare=False)
+    _table: np.ndarray | None = field(default=None, repr=False, compare=False)
 
     def __getstate__(self) -> dict:
         return self.__dict__ | {"_trie": None, "_seen": {}, "_table": None}
@@ -160,20 +181,23 @@ class LanguageModel:
         if not self.languages:
             return [("und", 0.0)] * len(texts)
         if len(self._seen) > _CACHE_WORDS:
-            self._seen, self._table = {}, None
-        table = getattr(self, "_table", None)
+            self._seen = {}
         split = [words_of(t) if t else [] for t in texts]
         new = list({w for ws in split for w in ws} - self._seen.keys())
         if new:
-            self._seen.update(zip(new, range(len(self._seen), len(self._seen) + len(new)), strict=True))
-            logs = self.word_logs(new)
-            self._table = table = logs if table is None else np.concatenate([table, logs])
+            n = len(self._seen)
+            if self._table is None or n + len(new) > len(self._table):
+                grown = np.zeros((max(2 * (n + len(new)), 65_536), len(self.languages)))
+                grown[:n] = 0 if self._table is None else self._table[:n]
+                self._table = grown
+            self._table[n : n + len(new)] = self.word_logs(new)
+            self._seen.update(zip(new, range(n, n + len(new)), strict=True))
         out, get = [], self._seen.__getitem__
         for ws in split:
             if not ws:
                 out.append(("und", 0.0))
                 continue
-            total = table[np.fromiter(map(get, ws), np.int64, len(ws))].sum(axis=0)
+            total = self._table[np.fromiter(map(get, ws), np.int64, len(ws))].sum(axis=0)
             best = int(np.argmax(total))
             z = (total - total[best]) * min(1.0, SCORE_WORDS / len(ws))
             out.append((self.languages[best], float(1.0 / np.exp(z).sum())))
@@ -243,8 +267,8 @@ def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 2048):
-                part = batch.slice(at, 2048)
+            for at in range(0, batch.num_rows, _TEXTS_AT_ONCE):
+                part = batch.slice(at, _TEXTS_AT_ONCE)
                 got = model.predict(part.column(1).to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([x for x, _ in got], pa.string()), pa.array([s for _, s in got], pa.float64())], names=["doc_id", "lang_pred", "score"])
 
