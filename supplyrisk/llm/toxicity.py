@@ -3,8 +3,8 @@
 Texts are folded first: lower case, look-alike letters to Latin, digits and signs that
 stand for letters to those letters, invisible characters out. Terms (whole words or word
 beginnings) carry weights; a hit inside an exception phrase does not count. The sum of
-weights is divided by a slowly growing function of the text's length and a logistic curve
-turns it to a score.
+weights is divided by a slowly growing function of the text's length, damped, and a
+logistic curve turns it to a score.
 
 Weights are log odds of document frequency among labelled rows, over a sample of at most
 about `SAMPLE_ROWS` labelled rows (a fixed hash of the id decides); a public seed lexicon
@@ -27,8 +27,8 @@ from pyspark.sql import functions as F
 
 #: Bound on labelled rows that the lexicon and the curve are fitted on.
 SAMPLE_ROWS = 12_000
-#: A learnt term needs this G-test value, and this share of its documents toxic.
-MIN_G, MIN_PRECISION = 24.0, 0.8
+#: A learnt term needs this G-test value, this share of its documents toxic, and this share of toxic documents.
+MIN_G, MIN_PRECISION, MIN_SHARE = 24.0, 0.3, 0.01
 #: Lengths of word beginnings that are tried as terms.
 STEMS = range(3, 11)
 #: Words of text per unit of the length norm.
@@ -90,7 +90,7 @@ class ToxicityModel:
         return self._matcher
 
     def weigh(self, text: str | None) -> float:
-        """Sum of weights over the length norm; each word counts once for its best term."""
+        """Log of one plus the sum of weights over the length norm; a word counts for its best term."""
         if not text or not (matcher := self.matcher()):
             return 0.0
         s = fold(text)
@@ -108,7 +108,7 @@ class ToxicityModel:
                 else:
                     hits[start] = max(w, hits.get(start, -math.inf))
         total = sum(w for at, w in hits.items() if not any(a <= at <= b for a, b in tame))
-        return total / (1.0 + math.log1p(len(s) / (6.0 * NORM_WORDS)) / 4.0)
+        return math.log1p(max(0.0, total) / (1.0 + math.log1p(len(s) / (6.0 * NORM_WORDS)) / 4.0))
 
     def score(self, text: str | None) -> float:
         z = self.bias + self.slope * self.weigh(text)
@@ -137,32 +137,24 @@ def _g_test(t: np.ndarray, c: np.ndarray, nt: int, nc: int) -> np.ndarray:
 
 
 def choose_terms(counts: list[tuple[str, int, int]], nt: int, nc: int) -> tuple[dict[str, float], dict[str, float]]:
-    """Words and stems whose documents are toxic far above chance; of nested stems the
-    longest that still covers all documents, then the shorter ones."""
+    """Words and stems whose documents are toxic far above chance, the most telling first;
+    a term that begins a chosen one, or begins with it, is left out."""
     if not counts or not nt or not nc:
         return {}, {}
     names = [x for x, _, _ in counts]
     t, c = (np.array([x[i] for x in counts], float) for i in (1, 2))
-    ok = (_g_test(t, c, nt, nc) >= MIN_G) & (t / (t + c) >= MIN_PRECISION) & (t / nt > c / nc)
+    g = _g_test(t, c, nt, nc)
+    ok = (g >= MIN_G) & (t / (t + c) >= MIN_PRECISION) & (t / nt > c / nc) & (t >= MIN_SHARE * nt)
     weight = np.log((t + 0.5) / (nt + 1)) - np.log((c + 0.5) / (nc + 1))
-    good = {names[i]: (int(t[i]), float(weight[i])) for i in np.flatnonzero(ok)}
     words: dict[str, float] = {}
     stems: dict[str, float] = {}
-    for term in sorted((x for x in good if not x.endswith(" ")), key=len):
-        if any(term[:k] in stems for k in range(1, len(term))):
+    begun: set[str] = set()
+    for i in sorted(np.flatnonzero(ok), key=lambda i: (-round(g[i], 6), -len(names[i]), names[i])):
+        term = names[i]
+        if term in begun or any(term[:k] in stems for k in range(1, len(term))):
             continue
-        while True:  # lengthen while (nearly) no document is lost
-            longer = [x for x in good if x.startswith(term) and x != term and (x.endswith(" ") or len(x.strip()) == len(term) + 1) and good[x][0] >= 0.98 * good[term][0]]
-            if not longer:
-                stems[term] = good[term][1]
-                break
-            term = max(longer, key=lambda x: (x.endswith(" "), good[x][0]))
-            if term.endswith(" "):
-                words[term.strip()] = good[term][1]
-                break
-    for term in good:
-        if term.endswith(" ") and not any(term[:k] in stems for k in range(1, len(term))):
-            words.setdefault(term.strip(), good[term][1])
+        begun.update(term[:k] for k in range(1, len(term) + 1))
+        (words if term.endswith(" ") else stems)[term.strip()] = float(weight[i])
     return words, stems
 
 
@@ -197,6 +189,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, train=None, sample_rows: int = SA
         known = known.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < int(1_000_000 * sample_rows / n))
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("text is not null")
     sample = texts.join(F.broadcast(known), "doc_id")  # about sample_rows rows of two numbers
+    sample = sample.dropDuplicates(["text"])  # copies of one text say nothing new
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: tuple[Counter, Counter] = (Counter(), Counter())
