@@ -31,7 +31,7 @@ TERM_BITS = 18
 TERM_SPACE = 1 << TERM_BITS
 SHORT_WORDS = 8
 SEED = 20_011
-_WORD_CACHE = 2_000_000
+_WORD_CACHE = 300_000
 _PAIR = np.uint64(0x9E3779B97F4A7C15)
 _MIX = np.uint64(0xBF58476D1CE4E5B9)
 
@@ -51,23 +51,18 @@ _words = _Words()
 
 @functools.cache
 def _variates(samples: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """r, ln c - r and b of every term value and sample, the same in every process."""
+    """r, b and ln a of a term that occurs once (t is 0 then, since 0 <= b < 1), for every
+    term value and sample; the same in every process. Drawn in slices, to stay small."""
     rng = np.random.Generator(np.random.PCG64(SEED))
-    shape = (TERM_SPACE, samples)
-    e = [-np.log1p(-rng.random(shape, dtype=np.float32)) for _ in range(2)]
-    r = e[0] + e[1]
-    np.maximum(r, 1e-6, out=r)
-    for k in range(2):
-        e[k] = -np.log1p(-rng.random(shape, dtype=np.float32))
-    log_c = np.log(np.maximum(e[0] + e[1], 1e-12))
-    return r, log_c - r, rng.random(shape, dtype=np.float32)
-
-
-@functools.cache
-def _once(samples: int) -> np.ndarray:
-    """ln a of a term that occurs once: t is 0, since 0 <= b < 1."""
-    r, log_c_r, b = _variates(samples)
-    return log_c_r + r * b
+    r, b, once = (np.empty((TERM_SPACE, samples), kind) for kind in (np.float32, np.float16, np.float32))
+    for at in range(0, TERM_SPACE, 4096):
+        shape = (min(4096, TERM_SPACE - at), samples)
+        gammas = [np.maximum(-np.log1p(-rng.random(shape)) - np.log1p(-rng.random(shape)), 1e-6) for _ in range(2)]
+        here = slice(at, at + shape[0])
+        r[here] = gammas[0]
+        b[here] = np.minimum(rng.random(shape, dtype=np.float32), np.float32(0.9990))
+        once[here] = np.log(gammas[1]) - r[here] + r[here] * b[here]
+    return r, b, once
 
 
 def _mixed(h: np.ndarray) -> np.ndarray:
@@ -93,13 +88,14 @@ def signature(text: str | None, samples: int = SAMPLES) -> np.ndarray:
     if not text:
         return np.zeros(samples, np.uint16)
     term, weight = terms(text)
-    log_a = _once(samples)[term]
+    r, b, once = _variates(samples)
+    log_a = once[term]
     t = np.zeros(0)
     many = np.flatnonzero(weight > 1)
     if len(many):
-        r, log_c_r, b = (x[term[many]] for x in _variates(samples))
-        t = np.floor(np.log(weight[many]).astype(np.float32)[:, None] / r + b)
-        log_a[many] = log_c_r - r * (t - b)
+        r = r[term[many]]
+        t = np.floor(np.log(weight[many]).astype(np.float32)[:, None] / r + b[term[many]])
+        log_a[many] -= r * t  # ln c - r (t - b) - r
     best = np.argmin(log_a, axis=0)
     level = np.zeros(samples, np.uint64)
     if len(many):
