@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
-from pyspark.sql.types import ArrayType, LongType
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StringType, StructType
 
 
 def register(spark: SparkSession) -> None:
@@ -19,7 +19,7 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("expand_example", ExpandExample)
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def version_cmp(a: pd.Series, b: pd.Series) -> pd.Series:
     def key(v: str | None) -> list[int]:
         out = [int(p) if p.isdigit() else 0 for p in (v or "").split(".")]
@@ -39,7 +39,7 @@ def merge_sets(sets: pd.Series) -> list[int]:
     return sorted(out)
 
 
-@udtf(returnType="src long, label string, dst long")
+@udtf(returnType=StructType().add("src", LongType()).add("label", StringType()).add("dst", LongType()))
 class ExpandExample:
     """The edges of the worked example, optionally of one label."""
 
