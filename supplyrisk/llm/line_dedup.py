@@ -47,41 +47,45 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), order_key(id_col).alias("k"), F.xxhash64(text).alias("h"), F.split(text, "\n").alias("lines"))
 
 
-def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """k, h (a row's order key and text hash), first, past of each chunk to remove.
-
-    Rows of equal id and text are one document here."""
+def _repeats(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """k, h, repeats: for each row (order key, text hash) its chunks whose hash occurs more
+    than once, and whether one is the first. Rows of equal id and text are one document."""
     chunks = _with_chunks(_rows(docs, id_col, text_col), ["k", "h"]).where((F.col("past") - F.col("first") >= MIN_LINES) & (F.trim("text") != ""))
     narrow = stage(chunks.select("k", "h", "first", "past", F.xxhash64("text").alias("c")).distinct(), "line-chunks")
-    shared = narrow.groupBy("c").agg(F.count("*").alias("n")).where("n > 1").select("c")
-    found = stage(narrow.join(shared, "c"), "line-repeats")
-    # Bytes: the repeated chunks' texts, grouped by themselves.
-    wanted = found.groupBy("k", "h").agg(F.collect_set(F.struct("first", "past", "c")).alias("wanted"))
-    rows = _rows(docs, id_col, text_col).drop("doc_id")
-    texts = rows.join(wanted, ["k", "h"]).select("k", "h", "lines", F.inline("wanted")).select("c", F.array_join(F.slice("lines", F.col("first") + 1, F.col("past") - F.col("first")), "\n").alias("text"), F.struct("k", "h", "first").alias("place"))
-    kinds = texts.groupBy("c", "text").agg(F.min("place").alias("keep"))
-    kinds = stage(kinds.select("c", F.md5(F.col("text").cast("binary")).alias("m"), "keep", F.length("text").alias("size")), "line-kinds")
-    per_hash = kinds.groupBy("c").agg(F.count("*").alias("texts"), F.min("keep").alias("keep"))
-    alone = found.join(per_hash, "c")
-    plain = alone.where((F.col("texts") == 1) & (F.struct("k", "h", "first") != F.col("keep"))).select("k", "h", "first", "past")
-    # Different texts under one 64-bit hash: as good as never; told apart by their own first places.
-    odd = F.broadcast(per_hash.where("texts > 1").select("c").limit(1_000_000))
-    again = texts.join(odd, "c").withColumn("m", F.md5(F.col("text").cast("binary"))).join(kinds, ["c", "m"]).where("place <> keep")
-    other = again.select("place.*").join(narrow.select("k", "h", "first", "past"), ["k", "h", "first"])
-    return plain.unionByName(other.select("k", "h", "first", "past"))
+    place = F.struct("k", "h", "first")
+    shared = narrow.groupBy("c").agg(F.count("*").alias("n"), F.min(place).alias("keep")).where("n > 1")
+    found = narrow.join(shared.hint("merge"), "c").withColumn("stays", place == F.col("keep"))
+    return found.groupBy("k", "h").agg(F.array_sort(F.collect_set(F.struct("first", "past", "c", "stays"))).alias("repeats"))
 
 
 def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_lines, removed_chunks, removed_lines, text of every row.
 
     Null text is empty (one empty line); a null id comes before all others. Repeated rows
-    repeat: rows of equal id and text are treated alike."""
-    gone = repeated_chunks(docs, id_col, text_col).groupBy("k", "h").agg(F.sort_array(F.collect_set(F.struct("first", "past"))).alias("gone"))
-    rows = _rows(docs, id_col, text_col).join(gone, ["k", "h"], "left")
-    spans = F.coalesce("gone", F.array().cast("array<struct<first:int,past:int>>"))
+    repeat: rows of equal id and text are treated alike.
+
+    Texts meet their repeated chunks once, by row (so a chunk in a third of all documents
+    is no hot key there), and are staged. Bytes are compared by grouping the repeated
+    chunks by hash and text; if a hash turns out to have several texts, its chunks are
+    decided again by text."""
+    repeats = _repeats(docs, id_col, text_col)
+    rows = _rows(docs, id_col, text_col)
+    joined = rows.join(repeats.hint("merge"), ["k", "h"], "left")
+    met = stage(joined.select("doc_id", "k", "h", F.array_join("lines", "\n").alias("text"), "repeats"), "line-met").withColumn("lines", F.split("text", "\n"))
+    chunk = F.array_join(F.slice("lines", F.col("first") + 1, F.col("past") - F.col("first")), "\n")
+    texts = met.where("repeats is not null").select("k", "h", "lines", F.inline("repeats")).select("c", chunk.alias("chunk"), F.struct("k", "h", "first").alias("place"))
+    kinds = texts.groupBy("c", "chunk").agg(F.min("place").alias("keep"))
+    odd = stage(kinds.groupBy("c").agg(F.count("*").alias("n")).where("n > 1").select("c"), "line-odd")
+    spans = F.filter(F.coalesce("repeats", F.array().cast("array<struct<first:int,past:int,c:bigint,stays:boolean>>")), lambda x: ~x["stays"])
+    if odd.limit(1).count():  # 64-bit hashes of different texts met
+        again = texts.join(odd, "c").join(kinds.join(odd, "c"), ["c", "chunk"]).where("place = keep")
+        first = again.select("place.*").groupBy("k", "h").agg(F.collect_set("first").alias("firsts"))
+        met = met.join(first, ["k", "h"], "left")
+        spans = F.filter(spans, lambda x: ~F.coalesce(F.array_contains(F.col("firsts"), x["first"]), F.lit(False)))
     # What stays: before, between and after the removed stretches.
-    starts = F.concat(F.array(F.lit(0)), F.transform(spans, lambda s: s["past"]))
-    ends = F.concat(F.transform(spans, lambda s: s["first"]), F.array(F.size("lines")))
+    gone = met.withColumn("gone", spans)
+    starts = F.concat(F.array(F.lit(0)), F.transform("gone", lambda s: s["past"]))
+    ends = F.concat(F.transform("gone", lambda s: s["first"]), F.array(F.size("lines")))
     kept = F.flatten(F.zip_with(starts, ends, lambda s, e: F.slice(F.col("lines"), s + 1, e - s)))
-    removed = F.aggregate(spans, F.lit(0), lambda a, s: a + s["past"] - s["first"])
-    return rows.select("doc_id", F.size("lines").alias("n_lines"), F.size(spans).alias("removed_chunks"), removed.alias("removed_lines"), F.array_join(kept, "\n").alias("text"))
+    removed = F.aggregate("gone", F.lit(0), lambda a, s: a + s["past"] - s["first"])
+    return gone.select("doc_id", F.size("lines").alias("n_lines"), F.size("gone").alias("removed_chunks"), removed.alias("removed_lines"), F.array_join(kept, "\n").alias("text"))
