@@ -2,67 +2,22 @@
 
 from __future__ import annotations
 
-import atexit
 import math
-import shutil
-import tempfile
-import uuid
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from supplyrisk.plans.staging import Staged, partitions, shared_dir, stage
+from supplyrisk.sources.tables import table
+
+__all__ = ["Staged", "bucket_count", "bucket_of", "key_bounds", "order_key", "partitions", "shared_dir", "stage", "table"]
+
 #: Rows of a narrow table that one range bucket should hold.
 ROWS_PER_BUCKET = 100_000
 #: Sort key of a null id; it comes before every id.
 NULL_KEY = -(2**63)
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, else (tests) a local one."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    sc = spark.sparkContext
-    at = sc._jsc.sc().getCheckpointDir()
-    if at.isDefined():
-        return at.get()
-    local = tempfile.mkdtemp(prefix="supplyrisk-checkpoint-")
-    atexit.register(shutil.rmtree, local, ignore_errors=True)
-    sc.setCheckpointDir(f"file://{local}")
-    return f"file://{local}"
-
-
-class Staged:
-    """A DataFrame written to the shared folder; reading it again does no work twice."""
-
-    def __init__(self, df: DataFrame, label: str, compression: str | None = None):
-        self.spark, self.path = df.sparkSession, f"{shared_dir(df.sparkSession)}/staged-{label}-{uuid.uuid4().hex}"
-        schema = df.schema
-        writer = df.write
-        if compression:
-            writer = writer.option("compression", compression)
-        writer.parquet(self.path)
-        self.df = self.spark.read.schema(schema).parquet(self.path)
-
-    def drop(self) -> None:
-        """Delete the files; only once nothing lazy reads them any more."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
-
-
-def stage(df: DataFrame, label: str) -> DataFrame:
-    return Staged(df, label).df
-
-
-def partitions(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
-
-
 def key_bounds(keys: DataFrame, col: str, n_buckets: int) -> list[int]:
     """Ascending cut points of about equal counts; one bounded sketch, no sort."""
     if n_buckets < 2:
