@@ -3,7 +3,7 @@
 `semi_naive` sends only raised vertices over their out-edges each round; `two_phase`
 settles malice first, then vulnerability around it; `contracted` takes out pass-through
 vertices before; `levels` goes by topological rank; `finisher` solves a graph of checked
-size in one task; `auto` lays the edges out and picks the last where it fits. All give the
+size in one task; `auto` counts the edges and picks the last where it fits, else lays them out. All give the
 same statuses.
 """
 
@@ -117,15 +117,16 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
     """(vid, status of all that is not safe, log)."""
     options = options or RunOptions()
     log = RunLog(mode)
+    if compiled.n_edges is None:
+        compiled = compiled.staged()
+    if compiled.buckets is None and compiled.n_edges > options.local_cap:
+        compiled = compiled.laid_out()
     if mode == "auto":
-        if compiled.n_edges is None:
-            compiled = compiled.laid_out()
         mode = "finisher" if compiled.n_edges <= options.local_cap else "semi_naive"
         log.mode = f"auto: {mode}"
     if mode == "finisher":
-        n = compiled.n_edges if compiled.n_edges is not None else compiled.prop.count()
-        if n > options.local_cap:
-            raise ValueError(f"{n} edges; one task may finish {options.local_cap}")
+        if compiled.n_edges > options.local_cap:
+            raise ValueError(f"{compiled.n_edges} edges; one task may finish {options.local_cap}")
         state = kernels.status_in_one_task(compiled.prop, compiled.seeds.groupBy("vid").agg(F.max("status").alias("status")))
         return Staged(state, "status").df, log
     if mode == "semi_naive":
@@ -138,7 +139,6 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
     if mode == "contracted":
         small, gone = contract_steps(compiled)
         gone = Staged(gone, "contracted").df
-        small = small.laid_out()
         state, _ = run(small, "auto", options)
         back = gone.join(state.select(F.col("vid").alias("parent"), "status"), "parent").select("vid", passed(F.col("status"), F.col("mask")).alias("status")).where("status > 0")
         return Staged(state.unionAll(back), "status").df, log

@@ -37,7 +37,7 @@ def _graph(spark: SparkSession, sf: str, cyclic: bool = False) -> BuildHistory:
 
 
 def _compiled(spark: SparkSession, sf: str, kinds: str, rule_set: str = "paper", drop: tuple[str, ...] = (), cyclic: bool = False) -> Compiled:
-    bare = memo(spark, sf, ("compiled", rule_set, drop, cyclic), lambda: compile_graph(_graph(spark, sf, cyclic), None, rule_set, drop).laid_out())
+    bare = memo(spark, sf, ("compiled", rule_set, drop, cyclic), lambda: compile_graph(_graph(spark, sf, cyclic), None, rule_set, drop).staged())
     return bare.with_seeds(build.seeds(spark, sf, kinds))
 
 
@@ -268,7 +268,7 @@ def copy_pairs(spark: SparkSession, sf: str) -> DataFrame:
 
 def _copies(spark: SparkSession, sf: str) -> tuple[Compiled, DataFrame]:
     def make() -> tuple[Compiled, DataFrame]:
-        compiled = compile_graph(copies.graph(spark, sf), copies.seeds(spark, sf)).laid_out()
+        compiled = compile_graph(copies.graph(spark, sf), copies.seeds(spark, sf)).staged()
         return compiled, propagate.run(compiled)[0]
 
     return memo(spark, sf, "copies", make)

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from supplyrisk.functions.rules import PASS, TRANSFER, transfer_table
 from supplyrisk.operators.graph import BuildHistory
-from supplyrisk.plans.staging import Staged, partitions
+from supplyrisk.plans.staging import Staged, partitions, stage
 
 LEVEL_OF_KIND = {"SV": 1, "SM": 2, "HV": 1, "HM": 2}
 PARTS_ONLY = {("feeds", "step"), ("produces", "artifact"), ("copy", "artifact")}
@@ -33,6 +33,11 @@ class Compiled:
     n_edges: int | None = None
     buckets: int | None = None
 
+    def staged(self) -> Compiled:
+        """Edges computed once and counted."""
+        df = stage(self.prop, "prop")
+        return replace(self, prop=df, n_edges=df.count())
+
     def laid_out(self, buckets: int | None = None) -> Compiled:
         """Edges staged once, in folders by mask and bucket of src, sorted by src: a level-1
         frontier reads only edges that pass it, a small one only its sources' buckets."""
