@@ -15,7 +15,6 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -31,6 +30,8 @@ SAMPLE_ROWS = 12_000
 MIN_G, MIN_PRECISION, MIN_SHARE = 24.0, 0.3, 0.01
 #: Lengths of word beginnings that are tried as terms.
 STEMS = range(3, 11)
+#: Terms whose counts a task holds before it passes them on.
+COUNTED_TERMS = 100_000
 #: Words of text per unit of the length norm.
 NORM_WORDS = 400
 
@@ -192,13 +193,22 @@ def fit(docs: DataFrame, labels: DataFrame, *, train=None, sample_rows: int = SA
     sample = sample.dropDuplicates(["text"])  # copies of one text say nothing new
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: tuple[Counter, Counter] = (Counter(), Counter())
+        seen: dict[str, list[int]] = {}
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            names = list(seen)
+            for at in range(0, len(names), 10_000):
+                part = names[at : at + 10_000]
+                yield pa.RecordBatch.from_arrays([pa.array(part), pa.array([seen[x][1] for x in part], pa.int64()), pa.array([seen[x][0] for x in part], pa.int64())], names=["term", "t", "c"])
+            seen.clear()
+
         for batch in batches:
             for text, y in zip(batch.column(0), batch.column(1).to_pylist(), strict=True):
-                seen[y].update(_terms_of(text.as_py()))
-                seen[y][""] += 1  # the rows themselves
-        if names := list(seen[0].keys() | seen[1].keys()):
-            yield pa.RecordBatch.from_arrays([pa.array(names), pa.array([seen[1][x] for x in names], pa.int64()), pa.array([seen[0][x] for x in names], pa.int64())], names=["term", "t", "c"])
+                for term in (*_terms_of(text.as_py()), ""):  # "" counts the rows themselves
+                    seen.setdefault(term, [0, 0])[y] += 1
+                if len(seen) > COUNTED_TERMS:
+                    yield from flush()
+        yield from flush()
 
     counted = sample.select("text", "label").mapInArrow(count, "term string, t long, c long").groupBy("term").agg(F.sum("t").alias("t"), F.sum("c").alias("c"))
     got = {r["term"]: (r["t"], r["c"]) for r in counted.where("t >= 4 and t >= 2 * c or term = ''").collect()}
