@@ -9,8 +9,9 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from supplyrisk.llm import decontaminate, mixing, sharding, simhash, toxicity
+from supplyrisk.llm import decontaminate, mixing, sharding, toxicity
 from supplyrisk.llm.common import bucket_of, key_bounds
+from tests.llm.test_text_operators import slow_groups
 
 
 # --- shared -------------------------------------------------------------------------------
@@ -196,21 +197,8 @@ def test_pipeline_matches_brute_force(spark, small):
     rows = {r.doc_id: r for r in docs.collect()}
     model = toxicity.fit(docs, spark.read.parquet(f"{small}/labels.parquet"))
     clean = {i: r for i, r in rows.items() if model.score(r.text) < 0.5}
-    prints = {i: simhash.fingerprint(r.text) for i, r in clean.items() if i is not None}
-    root = {i: i for i in prints}
-
-    def find(i):
-        while root[i] != i:
-            i = root[i]
-        return i
-
-    ids = sorted(prints)
-    for k, a in enumerate(ids):
-        for b in ids[k + 1 :]:
-            if bin(prints[a] ^ prints[b]).count("1") <= 4 and find(a) != find(b):
-                x, y = find(a), find(b)
-                root[max(x, y)] = min(x, y)
-    single = {i: r for i, r in clean.items() if i is None or find(i) == i}
+    groups = slow_groups({i: r.text for i, r in clean.items() if i is not None})
+    single = {i: r for i, r in clean.items() if i is None or groups[i] == i}
     items = [r.text for r in spark.read.parquet(f"{small}/benchmark.parquet").collect()]
     left = {i for i, r in single.items() if i is None or not any(slow_overlap(r.text, b) for b in items)}
     got = corpus_pipeline.run(spark, small).orderBy("shard", "slot").collect()

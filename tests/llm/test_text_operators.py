@@ -152,8 +152,52 @@ def test_near_duplicates_whole(spark, sf):
     want = slow_components(prints)
     assert {i: rows[i].component_id for i in want} == want
     assert rows[None].component_id == 9002 and rows[9001].component_id == rows[9003].component_id == 9000
-    kept = simhash.keep_representatives(docs)
-    assert kept.columns == docs.columns
+
+
+def slow_groups(texts):
+    """Smallest id of each group of ids under the wide rule, by all pairs."""
+    prints = {i: simhash.wide_fingerprint(t) for i, t in texts.items()}
+    root = {i: i for i in prints}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    ids = sorted(prints)
+    for k, a in enumerate(ids):
+        for b in ids[k + 1 :]:
+            apart = [bin(x ^ y).count("1") for x, y in zip(prints[a], prints[b], strict=True)]
+            if min(apart) <= simhash.WIDE_BITS and sum(apart) <= simhash.WIDE_TOTAL:
+                x, y = find(a), find(b)
+                root[max(x, y)] = min(x, y)
+    return {i: find(i) for i in ids}
+
+
+def test_near_groups_catch_edits_and_spare_others(spark):
+    rng = random.Random(5)
+    words = [f"w{k}" for k in range(3000)]
+    texts, of = {}, {}
+    for c in range(40):
+        body = [rng.choice(words) for _ in range(rng.randrange(80, 400))]
+        for copy in range(rng.randrange(1, 5)):
+            mine = list(body)
+            for _ in range(copy * len(mine) // 150):
+                mine[rng.randrange(len(mine))] = "edit"
+            i = len(texts) * 2
+            texts[i], of[i] = " ".join(mine), c
+    df = spark.createDataFrame([*texts.items(), (None, texts[0]), (0, texts[0])], "doc_id long, text string").selectExpr("*", "1 AS w0", "2 AS rep")
+    want = slow_groups(texts)
+    got = simhash.near_groups(df).collect()
+    assert {r.doc_id: r.group_id for r in got if r.doc_id is not None} == want
+    assert all(of[i] == of[g] for i, g in want.items())
+    first = {}
+    for i in sorted(of):
+        first.setdefault(of[i], i)
+    caught = [want[i] != i for i in of if first[of[i]] != i]
+    assert sum(caught) / len(caught) > 0.9
+    kept = simhash.keep_representatives(df)
+    assert kept.columns == df.columns
     assert sorted(r.doc_id for r in kept.where("doc_id is not null").collect()) == sorted(set(want.values()))
     assert kept.where("doc_id is null").count() == 1
 
