@@ -18,5 +18,9 @@ def memo(spark: SparkSession, sf_dir: str, name: object, make: Callable[[], T])
     return _kept[key]  # type: ignore[return-value]
 
 
-def forget() -> None:
-    _kept.clear()
+def forget(keep: tuple[str, ...] = ()) -> None:
+    """Drop what is kept, but for the given kinds (first words of names)."""
+    for key in list(_kept):
+        kind = key[2][0] if isinstance(key[2], tuple) else key[2]
+        if kind not in keep:
+            del _kept[key]
