@@ -11,10 +11,10 @@ the next segment is looked up with none or one bit changed; longer chains are ch
 turn, and only what is left gets the full Hamming test. In general the ring has one segment
 more than bits may differ, and l segments of a chain differ in at most l - 1.
 
-`near_duplicates` links at MAX_BITS of one 64-bit word. `near_groups` is for texts of at
-least about 0.8 in Jaccard similarity of five-word shingles, which one word of 64 bits
-cannot tell: it uses WIDE_WORDS words, takes pairs with any word within WIDE_BITS as
-candidates (by the same rings) and links those that differ in at most WIDE_TOTAL bits.
+`near_duplicates` links at MAX_BITS of one 64-bit word. `near_groups` links texts whose sets
+of five-word shingles (64-bit hashes) have a Jaccard similarity of at least LEAST_JACCARD.
+Candidates share all ROWS minima of one of BANDS bands of min-wise hashes, which at 0.8 misses
+a pair with probability (1 - 0.8^4)^16 = 0.0002; each is confirmed on the two sets themselves.
 """
 
 from __future__ import annotations
@@ -32,7 +32,9 @@ from supplyrisk.llm.common import partitions, shared_dir, stage
 SHINGLE_WORDS = 4
 MAX_BITS = 4
 SEED = 42
-# Of 256 bits, texts of Jaccard 0.8 (cosine 0.89) differ in 39 on average, of 0.6 in 59.
+#: Of near groups: sets with at least this Jaccard similarity link; bands and minima in each.
+LEAST_JACCARD, BANDS, ROWS = (4, 5), 16, 4
+# Wide SimHash: of 256 bits, texts of Jaccard 0.8 (cosine 0.89) differ in 39 on average, of 0.6 in 59.
 WIDE_SHINGLE_WORDS, WIDE_WORDS, WIDE_BITS, WIDE_TOTAL = 5, 4, 6, 46
 #: Pairs compared at once in a task.
 PAIR_BLOCK = 2_000_000
@@ -252,21 +254,119 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(named, "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, group_id (smallest id reachable) by wide fingerprints; odd rows as in near_duplicates."""
-    names = tuple(f"w{k}" for k in range(WIDE_WORDS))
+def shingle_set(text: str | None) -> np.ndarray:
+    """Sorted distinct hashes of the five-word shingles of one text."""
+    return np.unique(_shingle_hashes(text, WIDE_SHINGLE_WORDS))
+
+
+def band_keys(shingles: np.ndarray) -> list[int]:
+    """A signed key of each band; sets of no shingle have none."""
+    if not len(shingles):
+        return []
+    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(shingles), 8_192):
+        x = shingles[None, at : at + 8_192] * _FACTORS + _SHIFTS
+        x = (x ^ (x >> np.uint64(32))) * np.uint64(0xBF58476D1CE4E5B9)
+        np.minimum(least, (x ^ (x >> np.uint64(29))).min(axis=1), out=least)
+    return [xxhash.xxh64_intdigest(least[k * ROWS : (k + 1) * ROWS].tobytes(), k) - (1 << 63) for k in range(BANDS)]
+
+
+_RANDOM = np.random.default_rng(SEED)
+_FACTORS = _RANDOM.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64) | np.uint64(1)
+_SHIFTS = _RANDOM.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64)
+
+
+def similar_links(sets: list[np.ndarray]) -> tuple[list[int], list[int]]:
+    """Spanning links (index pairs) among non-empty sets: all pairs of at least LEAST_JACCARD
+    end up connected. Only pairs that confirmed links have joined already are skipped."""
+    over, under = LEAST_JACCARD
+    n = len(sets)
+    sizes = np.array([len(s) for s in sets], np.int64)
+    values, ids = np.unique(np.concatenate(sets), return_inverse=True)
+    starts = np.concatenate(([0], np.cumsum(sizes)))
+    label, mark = np.arange(n), np.zeros(len(values), np.int32)
+    out_a, out_b = [], []
+    for i in range(n - 1):
+        if (label[i + 1 :] == label[i]).all():
+            continue
+        own = ids[starts[i] : starts[i + 1]]
+        mark[own] = 1
+        shared = np.add.reduceat(mark[ids[starts[i + 1] :]], starts[i + 1 : -1] - starts[i + 1])
+        mark[own] = 0
+        near = shared * under >= over * (sizes[i + 1 :] + sizes[i] - shared)
+        j = np.flatnonzero(near & (label[i + 1 :] != label[i])) + i + 1
+        if len(j):
+            roots, first = np.unique(label[j], return_index=True)
+            out_a += [i] * len(first)
+            out_b += j[first].tolist()
+            label[np.isin(label, roots)] = label[i]
+    return out_a, out_b
+
+
+def _similar(texts: DataFrame, banded: DataFrame) -> DataFrame:
+    """Confirmed spanning links (a > b, ids). texts: rep, d0, d1, shingles; banded: rep, d0, d1, key."""
+
+    def links_of(reps: list[int], blobs: list[bytes]) -> Iterator[pa.RecordBatch]:
+        if len(reps) > 1:
+            rep = np.array(reps, np.int64)
+            a, b = similar_links([np.frombuffer(x, np.uint64) for x in blobs])
+            x, y = rep[a], rep[b]
+            apart = x != y
+            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(x, y)[apart]), pa.array(np.minimum(x, y)[apart])], names=["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, reps, blobs = None, [], []
+        for batch in batches:  # in the order of keys: one key's sets are held at a time
+            for key, rep, blob in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+                if key != now:
+                    yield from links_of(reps, blobs)
+                    now, reps, blobs = key, [], []
+                reps.append(rep)
+                blobs.append(blob)
+        yield from links_of(reps, blobs)
+
+    met = banded.join(texts, ["rep", "d0", "d1"]).select("key", "rep", "shingles")
+    dealt = met.repartition(partitions(texts.sparkSession), "key").sortWithinPartitions("key")
+    return dealt.mapInArrow(run, "a long, b long").distinct()
+
+
+def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """doc_id, group_id (smallest id reachable) by confirmed similarity; odd rows as in near_duplicates.
+
+    Texts of one shingle set meet in one representative. Sets are made again, and moved, only
+    for representatives that share a band with another."""
+
+    def digest(shingles: np.ndarray) -> tuple[int, int]:
+        x = xxhash.xxh128_intdigest(shingles.tobytes(), SEED)
+        return (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63)
+
+    def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(x.as_py()) for x in batch.column(1)]
+            d = np.array([digest(s) for s in sets], np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(d[:, 0].copy()), pa.array(d[:, 1].copy()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], names=["doc_id", "d0", "d1", "bands"])
+
+    def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = pa.schema([("rep", pa.int64()), ("d0", pa.int64()), ("d1", pa.int64()), ("shingles", pa.binary())])
         for batch in batches:
-            prints = np.array([wide_fingerprint(x.as_py()) for x in batch.column(1)], dtype=np.uint64).reshape(-1, WIDE_WORDS).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(np.ascontiguousarray(prints[:, k])) for k in range(WIDE_WORDS))], names=["doc_id", *names])
+            out = []
+            for rep, text in zip(*(batch.column(i).to_pylist() for i in range(2)), strict=True):
+                s = shingle_set(text)
+                out.append((rep, *digest(s), s.tobytes()))
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kinds.field(i).type) for i in range(4)], schema=kinds)
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    prints = stage(rows.mapInArrow(run, "doc_id long, " + ", ".join(f"{x} long" for x in names)), "wide")
-    reps = stage(prints.groupBy(*names).agg(F.min("doc_id").alias("rep")).where("rep is not null"), "wide-reps")
-    roots = components(links(reps, names, WIDE_BITS, WIDE_TOTAL))
-    named = reps.join(roots, reps["rep"] == roots["node"], "left").select(*names, F.coalesce("root", "rep").alias("group_id"))
-    return prints.join(named, list(names), "left").select("doc_id", "group_id")
+    prints = stage(rows.mapInArrow(sketch, "doc_id long, d0 long, d1 long, bands array<long>"), "near")
+    reps = stage(prints.groupBy("d0", "d1").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")).where("rep is not null"), "near-reps")
+    banded = reps.select("rep", "d0", "d1", F.explode("bands").alias("key"))
+    shared = banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    banded = stage(banded.join(shared, "key", "left_semi"), "near-banded")
+    wanted = banded.select("rep").distinct()
+    texts = rows.join(wanted, rows["doc_id"] == wanted["rep"]).select("rep", "text").mapInArrow(full, "rep long, d0 long, d1 long, shingles binary")
+    texts = texts.groupBy("rep", "d0", "d1").agg(F.first("shingles").alias("shingles"))
+    roots = components(_similar(texts, banded))
+    named = reps.join(roots, reps["rep"] == roots["node"], "left").select("d0", "d1", F.coalesce("root", "rep").alias("group_id"))
+    return prints.join(named, ["d0", "d1"], "left").select("doc_id", "group_id")
 
 
 def keep_representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
