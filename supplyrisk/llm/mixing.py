@@ -2,25 +2,24 @@
 
 Documents of a source form blocks. A source of weight w has block j (from 1) released at
 slot floor((j - 1) / w) and due by slot ceil(j / w); each slot goes to the released block
-with the earliest deadline. Weights are whole numbers of blocks per period, so one period
-is planned (on a table whose size is the period, not the data) and repeated; at each slot
-every source is less than one block from its share. When a source is used up, its weight
-goes to the others and a new phase begins; no document is dropped.
+with the earliest deadline. Weights are the exact rational targets, not rounded to a period,
+so at each slot every source is less than one block from its target. The plan has one row
+per block. When a source is used up, its weight goes to the others and a new phase begins;
+no document is dropped.
 """
 
 from __future__ import annotations
 
 import heapq
-from dataclasses import dataclass
+from fractions import Fraction
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from supplyrisk.llm.common import bucket_count, bucket_of, key_bounds, order_key, partitions, stage
 
-#: Documents in a block, slots in a period, and the power of a source's size that is its default weight.
+#: Documents in a block, and the power of a source's size that is its default weight.
 BLOCK_DOCS = 64
-PERIOD = 512
 TEMPERATURE = 0.5
 
 
@@ -53,43 +52,39 @@ def pfair_period(shares: dict[str, int]) -> list[str]:
     return out
 
 
-@dataclass
-class Phase:
-    """A stretch in which the same sources take part; blocks: of each source when it begins."""
-
-    number: int
-    slot: int
-    done: dict[str, int]
-    shares: dict[str, int]
-    periods: int
-
-
-def plan_phases(blocks: dict[str, int], weights: dict[str, float], period: int) -> list[Phase]:
-    """Whole periods until the first source would run dry, then again with the rest.
-
-    A source's last, partial period is dealt in a phase of its own length (one period is
-    planned, the blocks that do not exist leave gaps that closing up removes)."""
-    done = dict.fromkeys(blocks, 0)
-    slot, phases = 0, []
-    while left := {x: blocks[x] - done[x] for x in blocks if blocks[x] > done[x]}:
-        shares = whole_weights({x: weights[x] for x in left}, period)
-        periods = max(1, min(left[x] // shares[x] for x in left))
-        phases.append(Phase(len(phases), slot, dict(done), shares, periods))
-        for x in left:
-            done[x] = min(blocks[x], done[x] + periods * shares[x])
-        slot += periods * sum(shares.values())
-    return phases
+def plan_blocks(blocks: dict[str, int], weights: dict[str, float], period: int | None = None) -> list[tuple[str, int, int, int]]:
+    """Source, block, phase and slot of every block, by slot; with a period, for targets rounded to it."""
+    done, out, phase = dict.fromkeys(blocks, 0), [], 0
+    while left := [x for x in sorted(blocks) if blocks[x] > done[x]]:
+        target = {x: Fraction(weights[x]) for x in left} if period is None else whole_weights({x: weights[x] for x in left}, period)
+        total, begin = sum(target.values()), len(out)
+        gap = {x: Fraction(total) / target[x] for x in left}  # slots between two blocks
+        waiting = [(0, x, 1) for x in left]  # release, source, number in the phase
+        ready: list[tuple] = []
+        while True:
+            while waiting and waiting[0][0] <= len(out) - begin:
+                _, x, j = heapq.heappop(waiting)
+                heapq.heappush(ready, (-(-j * gap[x].numerator // gap[x].denominator), x, j))
+            _, x, j = heapq.heappop(ready)
+            out.append((x, done[x], phase, len(out)))
+            done[x] += 1
+            if done[x] == blocks[x]:
+                break
+            heapq.heappush(waiting, (max(j * gap[x].numerator // gap[x].denominator, len(out) - begin), x, j + 1))
+        phase += 1
+    return out
 
 
-def mix_sources(docs: DataFrame, weights: dict[str, float] | None = None, block_docs: int = BLOCK_DOCS, period: int = PERIOD, id_col: str = "doc_id", source_col: str = "source") -> DataFrame:
+def mix_sources(docs: DataFrame, weights: dict[str, float] | None = None, block_docs: int = BLOCK_DOCS, period: int | None = None, id_col: str = "doc_id", source_col: str = "source") -> DataFrame:
     """doc_id, source, block (from 0), within, phase, slot of every row.
 
     slot orders blocks (blocks of equal slots do not exist); within orders a block's rows.
     weights: by source, default size to the power TEMPERATURE; sources without a weight get
     the least one. A null source is a source of its own. Rows of a source are taken in id
     order (null first); repeated ids in any order. The driver sees one row per source and
-    range and plans (sources x period) slots; a source that holds most rows is numbered by
-    ranges of its ids, so no task gets all of it."""
+    range and plans one slot per block, so its memory grows with rows / block_docs; a source
+    that holds most rows is numbered by ranges of its ids, so no task gets all of it.
+    period: None for exact targets, else they are rounded to whole blocks of so many slots."""
     spark = docs.sparkSession
     name = F.coalesce(F.concat(F.lit("="), F.col(source_col).cast("string")), F.lit("?"))
     rows = stage(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), name.alias("name"), order_key(id_col).alias("k")), "mix-rows")
@@ -109,22 +104,10 @@ def mix_sources(docs: DataFrame, weights: dict[str, float] | None = None, block_
         target = {x: given.get(x, least) for x in sizes}
     else:
         target = {x: c**TEMPERATURE for x, c in sizes.items()}
-    phases = plan_phases({x: -(-c // block_docs) for x, c in sizes.items()}, target, period)
-    plan = []
-    for p in phases:
-        seen = dict.fromkeys(p.shares, 0)
-        length = sum(p.shares.values())
-        for slot, x in enumerate(pfair_period(p.shares)):
-            plan.append((x, p.number, p.done[x], p.done[x] + p.periods * p.shares[x], p.shares[x], seen[x], p.slot, length, slot))
-            seen[x] += 1
-    slots = spark.createDataFrame(plan, "name string, phase int, first long, past long, share int, turn int, base long, length int, at int")
-    spans = slots.select("name", "phase", "first", "past", "share").distinct()
-    # One row per source and phase, then one per slot of a period: (sources x period) at most, whatever the data.
-    at_phase = numbered.join(F.broadcast(spans), (numbered["name"] == spans["name"]) & (numbered["block"] >= spans["first"]) & (numbered["block"] < spans["past"])).drop(spans["name"])
-    turn = ((F.col("block") - F.col("first")) % F.col("share")).cast("int")
-    placed = at_phase.withColumn("turn", turn).join(F.broadcast(slots.select("name", "phase", "turn", "base", "length", "at")), ["name", "phase", "turn"])
-    slot = F.col("base") + F.floor((F.col("block") - F.col("first")) / F.col("share")) * F.col("length") + F.col("at")
-    return placed.select("doc_id", "source", "block", (F.col("i") % block_docs).cast("int").alias("within"), "phase", slot.alias("slot"))
+    plan = plan_blocks({x: -(-c // block_docs) for x, c in sizes.items()}, target, period)
+    slots = spark.createDataFrame(plan, "name string, block long, phase int, slot long")
+    placed = numbered.join(slots, ["name", "block"])
+    return placed.select("doc_id", "source", "block", (F.col("i") % block_docs).cast("int").alias("within"), "phase", "slot")
 
 
 def mixed_order(docs: DataFrame, **options) -> DataFrame:

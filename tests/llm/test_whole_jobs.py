@@ -1,8 +1,11 @@
 """What the reviewed cuts lost, on small inputs."""
 
 import random
+from collections import Counter
 
-from supplyrisk.llm import simhash
+import pytest
+
+from supplyrisk.llm import mixing, simhash
 
 
 # --- near duplicates of the pipeline --------------------------------------------------------
@@ -53,3 +56,23 @@ def test_large_group_of_near_copies_is_one_group(spark):
     rows = [(i, " ".join([*body[: i % 100], f"x{i}", *body[i % 100 + 1 :]])) for i in range(600)]
     got = simhash.near_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert {r.group_id for r in got} == {0}
+
+
+# --- mixing -----------------------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("weights", [{"a": 0.999, "b": 0.001}, {"big": 1000.0, **{f"s{k}": 1.0 for k in range(600)}}, {f"s{k}": (k + 1) ** 0.5 for k in range(20)}])
+def test_mix_is_within_one_block_of_the_targets(weights):
+    total = sum(weights.values())
+    plan = mixing.plan_blocks({x: 1 + int(1500 * w / total) for x, w in weights.items()}, weights)
+    got = Counter()
+    for slot, (x, block, _, at) in enumerate([p for p in plan if p[2] == 0], 1):
+        assert at == slot - 1 and block == got[x]
+        got[x] += 1
+        assert all(abs(got[y] - slot * w / total) < 1 + 1e-9 for y, w in weights.items())
+
+
+def test_mix_of_two_uneven_sources(spark):
+    df = spark.createDataFrame([(i, "a" if i % 100 else "b") for i in range(3000)], "doc_id long, source string")
+    got = mixing.mix_sources(df, {"a": 0.999, "b": 0.001}, block_docs=1).where("slot < 512").collect()
+    assert Counter(r.source for r in got)["b"] <= 1
