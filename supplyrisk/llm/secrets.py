@@ -32,7 +32,12 @@ KINDS = ("assign", "access", "hex", "pem", "der", "jwt")
 BASE_KINDS = KINDS[:3]
 
 ASSIGN_WORDS = ("password", "passwd", "secret", "token", "apikey", "api_key")
-BASE64_RUN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_-]{40,}={0,2}")
+# A DER sequence starts with 0x30, base64 "M"; the OpenSSH magic with "b3Bl".
+BASE64_KEY = re.compile(r"(?<![A-Za-z0-9])(?=(?:M|b3Bl)[A-Za-z0-9+/_-]{14})")
+BASE64_PART = re.compile(r"[A-Za-z0-9+/_-]+")
+BASE64_LINE = re.compile(r"\r?\n[ \t]*([A-Za-z0-9+/_-]+)(={0,2})(?=[ \t]*(?:\r?\n|$))")
+OPENSSH_LINE = 200
+NEXT_LINE = re.compile(r"\r?\n[ \t]*")
 JWT = re.compile(r"(?<![A-Za-z0-9_-])(eyJ[A-Za-z0-9_-]{8,})\.([A-Za-z0-9_-]{2,})\.([A-Za-z0-9_-]{16,})(?![A-Za-z0-9_-])")
 PEM_BEGIN = re.compile(r"-----BEGIN ((?:[A-Z0-9]+ )*PRIVATE KEY)-----")
 SIGNATURE_BYTES = {"HS256": (32,), "HS384": (48,), "HS512": (64,), "ES256": (64,), "ES384": (96,), "ES512": (132,), "EdDSA": (64, 114), "RS256": (), "RS384": (), "RS512": (), "PS256": (), "PS384": (), "PS512": ()}
@@ -113,6 +118,39 @@ def is_signed_token(header: str, payload: str, signature: str) -> bool:
     return signed is not None and (len(signed) in lengths if lengths else len(signed) >= 128)
 
 
+def _padded(text: str, at: int) -> int:
+    for _ in range(2):
+        at += text.startswith("=", at)
+    return at
+
+
+def base64_key(text: str, start: int) -> tuple[int, bool] | None:
+    """End of the private key whose base64 begins at start, and whether it is wrapped over lines."""
+    run = BASE64_PART.match(text, start)
+    end, lines = run.end(), [run[0]]
+    if run[0].startswith("b3Bl"):
+        # No whole key fits a line of OPENSSH_LINE characters, so a shorter run is wrapped or cut.
+        while len(run[0]) <= OPENSSH_LINE and (m := BASE64_LINE.match(text, end)):
+            lines.append(m[1])
+            end = m.end(2)
+            if m[2] or len(m[1]) < len(lines[0]):
+                break
+        return (_padded(text, end), len(lines) > 1) if is_openssh(_decoded("".join(lines)) or b"") else None
+    head = _decoded(run[0][:8])
+    if not head or head[0] != 0x30:
+        return None
+    n = head[1] & 0x7F if head[1] & 0x80 else 0
+    size = 2 + n + (int.from_bytes(head[2 : 2 + n], "big") if n else head[1])
+    need = (size * 8 + 5) // 6  # characters without padding
+    if n > 4 or need > len(text) - start or need < len(run[0]):
+        return None
+    have = len(run[0])
+    while have < need and (m := NEXT_LINE.match(text, end)) and (run := BASE64_PART.match(text, m.end())):
+        lines.append(run[0])
+        have, end = have + len(run[0]), run.end()
+    return (_padded(text, end), len(lines) > 1) if have == need and is_private_der(_decoded("".join(lines)) or b"") else None
+
+
 def find_spans(text: str | None) -> list[tuple[str, int, int]]:
     """All spans of one text by start, then kind as listed in KINDS."""
     if not text:
@@ -141,11 +179,15 @@ def find_spans(text: str | None) -> list[tuple[str, int, int]]:
             if _is_key(data) or m[1].startswith("ENCRYPTED") and data and _der_items(data) or encrypted and data:
                 at = end + len(f"-----END {m[1]}-----")
                 found.append(("pem", m.start(), at))
-    # A DER sequence starts with 0x30, base64 "M"; the OpenSSH magic with "b3Bl".
-    for m in BASE64_RUN.finditer(text):
-        run = m[0]
-        if (run[0] == "M" or run.startswith("b3Bl")) and _is_key(_decoded(run)):
-            found.append(("der", m.start(), m.end()))
+    armoured = [(x, y) for kind, x, y in found if kind == "pem"]
+    past = 0
+    for m in BASE64_KEY.finditer(text):
+        if m.start() < past or not (got := base64_key(text, m.start())):
+            continue
+        if got[1] and any(x <= m.start() < y for x, y in armoured):
+            continue
+        past = got[0]
+        found.append(("der", m.start(), past))
     if "eyJ" in text:
         found += [("jwt", m.start(), m.end()) for m in JWT.finditer(text) if is_signed_token(m[1], m[2], m[3])]
     found.sort(key=lambda s: (s[1], KINDS.index(s[0]), s[2]))

@@ -1,11 +1,12 @@
 """What the reviewed cuts lost, on small inputs."""
 
+import base64
 import random
 from collections import Counter
 
 import pytest
 
-from supplyrisk.llm import mixing, simhash
+from supplyrisk.llm import mixing, secrets, simhash
 
 
 # --- near duplicates of the pipeline --------------------------------------------------------
@@ -76,3 +77,22 @@ def test_mix_of_two_uneven_sources(spark):
     df = spark.createDataFrame([(i, "a" if i % 100 else "b") for i in range(3000)], "doc_id long, source string")
     got = mixing.mix_sources(df, {"a": 0.999, "b": 0.001}, block_docs=1).where("slot < 512").collect()
     assert Counter(r.source for r in got)["b"] <= 1
+
+
+# --- secrets ----------------------------------------------------------------------------------
+
+
+def test_base64_keys_after_equals_signs_in_paths_and_over_lines():
+    tlv = lambda tag, body: bytes([tag, 0x82]) + len(body).to_bytes(2, "big") + body
+    rng = random.Random(3)
+    der = tlv(0x30, b"\x02\x01\x00" + b"".join(tlv(0x02, rng.randbytes(n)) for n in (256, 3, 256, 128, 128, 128, 128, 128)))
+    ssh = b"openssh-key-v1\0" + (b"\0\0\0\x04none") * 2 + b"\0\0\0\0\0\0\0\x01" + rng.randbytes(200)
+    for key in (der, ssh):
+        plain = base64.b64encode(key).decode()
+        wrapped = "\n".join(plain[k : k + 64] for k in range(0, len(plain), 64))
+        for before, body, after in (("", plain, ""), ("PRIVATE_KEY=", plain, " x"), ("at foo/", plain, "\n"), ("key:\n", wrapped, "\nand more words"), ("k=", wrapped, "")):
+            text = before + body + after
+            assert [s for s in secrets.find_spans(text) if s[0] == "der"] == [("der", len(before), len(before) + len(body))]
+        armoured = f"-----BEGIN PRIVATE KEY-----\n{wrapped}\n-----END PRIVATE KEY-----"
+        assert [s[0] for s in secrets.find_spans(armoured)] == ["pem"]
+    assert not secrets.find_spans("k=" + base64.b64encode(der[:-1]).decode())
