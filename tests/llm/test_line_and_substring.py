@@ -93,8 +93,9 @@ def brute_bytes(rows):
     return out
 
 
+@pytest.mark.parametrize("hot_runs", [100_000, 5])
 @pytest.mark.parametrize("seed", [1, 2])
-def test_substrings_match_brute_force(spark, seed, monkeypatch):
+def test_substrings_match_brute_force(spark, seed, hot_runs):
     rng = random.Random(seed)
     alphabet = "ab é" if seed == 1 else "abcdefgh \n"
     word = lambda n: "".join(rng.choice(alphabet) for _ in range(n))
@@ -107,9 +108,8 @@ def test_substrings_match_brute_force(spark, seed, monkeypatch):
             text = text[:at] + "#" + text[at + 1 :]
         rows.append((i * 3 % 50, text))
     rows += [(60, "a" * 400), (61, "a" * 300), (62, None), (63, ""), (64, "x" * 49)]
-    monkeypatch.setattr(substring_dedup, "BLOCK_BYTES", 3000)
     df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "3 AS block", "'z' AS ids").repartition(5)
-    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in substring_dedup.dedup_substrings(df).collect()}
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in substring_dedup.dedup_substrings(df, block_bytes=3000, hot_runs=hot_runs).collect()}
     assert got == brute_bytes(rows)
 
 
@@ -134,3 +134,42 @@ def test_long_text_over_segments():
         substring_dedup.SEGMENT = old
     cover = lambda r: sorted({(d, s) for d, a, b in zip(r.doc, r.first, r.last, strict=True) for s in range(a, b + 1)})
     assert cover(whole) == cover(cut) and len(cover(whole)) == 2000 - 49 + 3000 - 49
+
+
+def test_one_passage_in_ten_thousand_documents(spark):
+    rng = random.Random(4)
+    passage = "".join(rng.choice("abcdefgh ") for _ in range(120))
+    rows = [(i, f"{rng.random()} before {passage} after {rng.random()}") for i in range(10_000)]
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in substring_dedup.dedup_substrings(spark.createDataFrame(rows, "doc_id long, text string"), block_bytes=100_000).collect()}
+    assert got == brute_bytes(rows)
+
+
+def test_substrings_of_a_megabyte(spark):
+    rng = random.Random(6)
+    long = "".join(rng.choice("abcdefgh \n") for _ in range(1_200_000))
+    rows = [(1, long), (2, long[:700_000] + "#" + long[700_000:]), (3, long[500_000:500_200]), (4, "a" * 1_000_000)]
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans) for r in substring_dedup.dedup_substrings(spark.createDataFrame(rows, "doc_id long, text string"), block_bytes=1 << 20).collect()}
+    assert got == {1: (1_200_000, 0, 0), 2: (1_200_001, 1_200_000, 2), 3: (200, 200, 1), 4: (1_000_000, 0, 0)}
+
+
+@pytest.mark.parametrize("seed", range(5))
+def test_refinement_names_equal_windows(seed):
+    rng = np.random.default_rng(seed)
+    n, width = 400, substring_dedup._CONTEXT
+    anchor, extra = rng.integers(0, 27, n), rng.integers(0, 27, n)
+    at = np.arange(width)[None, :] - anchor[:, None]  # place relative to the anchor
+    body = rng.integers(97, 99, 200).astype(np.uint8)
+    context = body[at + 60]
+    for _ in range(3):  # a few substitutions, left and right of the q-gram
+        context[np.arange(n), rng.integers(0, width, n)] = rng.choice([97, 120], n, p=[0.8, 0.2])
+    context[np.arange(width)[None, :] >= (extra + 50)[:, None]] = 0
+    doc, gram = rng.integers(0, 50, n), np.sort(rng.integers(0, 3, n).astype(np.uint64))
+    valid = (anchor[:, None] >= np.arange(27)) & (anchor[:, None] + 24 <= np.arange(27) + 50) & (np.arange(27) <= extra[:, None])
+    got = substring_dedup.refine_windows(context, anchor, extra, doc, gram)
+    least = {}
+    key = lambda i, o: (int(gram[i]), int(anchor[i]) - o, context[i, o : o + 50].tobytes())
+    for i, o in zip(*np.nonzero(valid), strict=True):
+        least[key(i, o)] = min(least.get(key(i, o), 99), doc[i])
+    for i, o in zip(*np.nonzero(valid), strict=True):
+        same = any(context[j, o2 : o2 + 50].tobytes() == context[i, o : o + 50].tobytes() and doc[j] < doc[i] and anchor[j] - o2 == anchor[i] - o for j in range(n) for o2 in [anchor[j] - anchor[i] + o] if 0 <= o2 <= extra[j])
+        assert bool(got[i] >> o & 1) == same
