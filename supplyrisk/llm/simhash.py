@@ -6,15 +6,18 @@ at `MAX_BITS` or fewer differing bits and a component is what links reach.
 The 64 bits form a ring of five segments. If two fingerprints differ in at most four bits,
 some segment starts a chain in which the first l segments together differ in at most
 4l/5 bits, for every l (the pigeonring principle): 0 in the first, 1 in two, 2 in three,
-3 in four. So fingerprints are dealt by (segment number, segment value); in a partition
-the next segment is looked up with none or one bit changed; longer chains are checked in
-turn, and only what is left gets the full Hamming test. In general the ring has one segment
-more than bits may differ, and l segments of a chain differ in at most l - 1.
+3 in four. So one half of the second segment is equal too, and fingerprints are dealt by
+(segment number, segment, half of the next one); in a partition the other half is looked up
+with none or one bit changed; longer chains are checked in turn, and only what is left
+gets the full Hamming test.
 
 `near_duplicates` links at MAX_BITS of one 64-bit word. `near_groups` links texts whose sets
 of five-word shingles (64-bit hashes) have a Jaccard similarity of at least LEAST_JACCARD.
-Candidates share all ROWS minima of one of BANDS bands of min-wise hashes, which at 0.8 misses
-a pair with probability (1 - 0.8^4)^16 = 0.0002; each is confirmed on the two sets themselves.
+At 0.8 such texts differ in 39 of 256 SimHash bits on average, too many to deal fingerprints
+by segments; they are dealt by BANDS bands of ROWS min-wise hashes, which misses a pair at
+0.8 with probability (1 - 0.8^4)^16 = 0.0002. Of what meets in a band, pigeonring chains over
+the 256-bit ring (budget WIDE_TOTAL) prune, then the full Hamming test, and each pair left is
+confirmed on the two sets themselves.
 """
 
 from __future__ import annotations
@@ -34,12 +37,20 @@ MAX_BITS = 4
 SEED = 42
 #: Of near groups: sets with at least this Jaccard similarity link; bands and minima in each.
 LEAST_JACCARD, BANDS, ROWS = (4, 5), 16, 4
-# Wide SimHash: of 256 bits, texts of Jaccard 0.8 (cosine 0.89) differ in 39 on average, of 0.6 in 59.
-WIDE_SHINGLE_WORDS, WIDE_WORDS, WIDE_BITS, WIDE_TOTAL = 5, 4, 6, 46
+NEAR_SHINGLE_WORDS = 5
+#: Wide SimHash: words of 64 bits, segments of its ring, and bits that may differ. At Jaccard 0.8
+#: (cosine 0.89) 39 differ with a deviation of 6; of unrelated texts 128 with one of 8.
+WIDE_WORDS, WIDE_SEGMENTS, WIDE_TOTAL = 4, 16, 80
+#: Shingles of one bucket that a task holds at once; larger buckets go by pairs of blocks.
+BLOCK_SHINGLES = 1_000_000
+#: Bands are worked on in these steps: what the first ones joined is not sent again.
+BAND_STEPS = ((0, 3), (3, BANDS))
 #: Pairs compared at once in a task.
 PAIR_BLOCK = 2_000_000
-#: Distinct fingerprints (five rows each) that one task should get.
+#: Rows (ten for each distinct fingerprint) that one task should get.
 ROWS_PER_TASK = 200_000
+#: Ids (8 bytes) up to which a list of documents to drop is sent to every executor.
+BROADCAST_IDS = 1_000_000
 
 _LOWER = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
 
@@ -72,14 +83,13 @@ def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
     return _majority(_shingle_hashes(text, words))
 
 
-def wide_fingerprint(text: str | None) -> list[int]:
-    """WIDE_WORDS SimHash words from remixed hashes of the same shingles."""
-    h = _shingle_hashes(text, WIDE_SHINGLE_WORDS)
-    out = []
+def wide_fingerprint(shingles: np.ndarray) -> np.ndarray:
+    """WIDE_WORDS SimHash words of a set of shingle hashes, remixed for each word."""
+    out = np.empty(WIDE_WORDS, np.uint64)
     for k in range(WIDE_WORDS):
-        x = (h ^ (h >> np.uint64(32))) * np.uint64(0x9E3779B97F4A7C15 + 2 * 0x632BE59BD9B4E019 * k & (1 << 64) - 1)
+        x = (shingles ^ (shingles >> np.uint64(32))) * np.uint64(0x9E3779B97F4A7C15 + 2 * 0x632BE59BD9B4E019 * k & (1 << 64) - 1)
         x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
-        out.append(_majority(x ^ (x >> np.uint64(32))))
+        out[k] = _majority(x ^ (x >> np.uint64(32)))
     return out
 
 
@@ -126,42 +136,48 @@ def _segment(fp: np.ndarray, place: tuple[int, int]) -> np.ndarray:
     return (fp >> np.uint64(place[0])) & np.uint64((1 << place[1]) - 1)
 
 
-def ring_links(fp: np.ndarray, table: np.ndarray, bits: int = MAX_BITS, others: np.ndarray | None = None, total: int = 0) -> tuple[np.ndarray, np.ndarray]:
-    """Spanning links (index pairs) among fingerprints dealt by the segment `table` names.
+def _halves(place: tuple[int, int]) -> list[tuple[int, int]]:
+    """The two halves of a segment, low one first."""
+    shift, width = place
+    return [(shift, width // 2), (shift + width // 2, width - width // 2)]
 
-    Every pair within `bits` whose chain starts at that segment ends up connected. others:
-    more words of each fingerprint (columns), with fp at most `total` bits apart."""
+
+def ring_links(fp: np.ndarray, table: np.ndarray, half: np.ndarray, bits: int = MAX_BITS) -> tuple[np.ndarray, np.ndarray]:
+    """Spanning links (index pairs) among fingerprints dealt by the segment `table` names and
+    one half of the next.
+
+    Every pair within `bits` whose chain starts at that segment and that has this half in
+    common ends up connected."""
     places = ring(bits)
     out_a, out_b = [], []
-    for t in range(len(places)):
-        rows = np.flatnonzero(table == t)
+    for t, h in ((t, h) for t in range(len(places)) for h in (0, 1)):
+        rows = np.flatnonzero((table == t) & (half == h))
         if len(rows) < 2:
             continue
         f = fp[rows]
         n, at_next = len(f), (t + 1) % len(places)
-        key = (_segment(f, places[t]) << np.uint64(32)) | _segment(f, places[at_next])
+        same, other = _halves(places[at_next])[h], _halves(places[at_next])[1 - h]
+        key = (_segment(f, places[t]) << np.uint64(32)) | (_segment(f, same) << np.uint64(16)) | _segment(f, other)
         order = np.argsort(key, kind="stable")
         f, key, rows = f[order], key[order], rows[order]
-        more = None if others is None else others[rows]
 
-        def linked(a: np.ndarray, b: np.ndarray, f: np.ndarray = f, more: np.ndarray | None = more) -> np.ndarray:
-            apart = _popcount(f[a] ^ f[b]).astype(np.int64)
-            ok = apart <= bits
-            return ok if more is None else ok & (apart + _popcount(more[a] ^ more[b]).sum(axis=1, dtype=np.int64) <= total)
+        def linked(a: np.ndarray, b: np.ndarray, f: np.ndarray = f) -> np.ndarray:
+            return _popcount(f[a] ^ f[b]) <= bits
 
         # Linear start: neighbours in the order that leaves out one nibble.
         label = np.arange(n)
         for nibble in range(16):
             rest = f & ~np.uint64(0xF << (4 * nibble))
             o = np.argsort(rest, kind="stable")
-            same = np.flatnonzero(rest[o[1:]] == rest[o[:-1]])
-            a, b = o[same], o[same + 1]
+            met = np.flatnonzero(rest[o[1:]] == rest[o[:-1]])
+            a, b = o[met], o[met + 1]
             keep = linked(a, b)
             label = _labels(n, a[keep], b[keep], label)
-        for bit in (-1, *range(places[at_next][1])):
-            other = key if bit < 0 else key ^ np.uint64(1 << bit)
-            lo = np.maximum(np.searchsorted(key, other, "left"), np.arange(n) + 1)  # each pair once
-            size = np.maximum(np.searchsorted(key, other, "right") - lo, 0)
+        # Pairs with both halves equal meet in both tables; the first one takes them.
+        for bit in (*((-1,) if h == 0 else ()), *range(other[1])):
+            want = key if bit < 0 else key ^ np.uint64(1 << bit)
+            lo = np.maximum(np.searchsorted(key, want, "left"), np.arange(n) + 1)  # each pair once
+            size = np.maximum(np.searchsorted(key, want, "right") - lo, 0)
             ends = np.cumsum(size)
             at = 0
             while at < n:
@@ -190,30 +206,27 @@ def ring_links(fp: np.ndarray, table: np.ndarray, bits: int = MAX_BITS, others:
     return np.concatenate(out_a), np.concatenate(out_b)
 
 
-def links(reps: DataFrame, words: tuple[str, ...] = ("fp",), bits: int = MAX_BITS, total: int = MAX_BITS) -> DataFrame:
-    """Spanning links (a > b, ids) among representatives `rep` with distinct `words`.
-
-    Linked: any word within `bits` and all together within `total`."""
+def links(reps: DataFrame, bits: int = MAX_BITS) -> DataFrame:
+    """Spanning links (a > b, ids) among representatives `rep` with distinct `fp` that are
+    within `bits`."""
     spark = reps.sparkSession
     places = ring(bits)
-    dealt = []
-    for w, name in enumerate(words):
-        rest = [F.col(x) for x in words if x != name]
-        dealt += [F.struct(F.lit(w).alias("word"), F.lit(i).alias("ring"), F.shiftrightunsigned(name, s).bitwiseAND(F.lit((1 << n) - 1)).alias("seg"), F.col(name).alias("own"), F.array(*rest).cast("array<long>").alias("others")) for i, (s, n) in enumerate(places)]
+
+    def part(place: tuple[int, int]) -> F.Column:
+        return F.shiftrightunsigned("fp", place[0]).bitwiseAND(F.lit((1 << place[1]) - 1))
+
+    dealt = [F.struct(F.lit(t).alias("ring"), F.lit(h).alias("half"), F.shiftleft(part(places[t]), 32).bitwiseOR(part(same)).alias("key")) for t in range(len(places)) for h, same in enumerate(_halves(places[(t + 1) % len(places)]))]
     n = max(partitions(spark), len(dealt) * reps.count() // ROWS_PER_TASK + 1)
-    rows = reps.select("rep", F.inline(F.array(*dealt))).repartition(n, "word", "ring", "seg").select("rep", "own", "word", "ring", "others")
+    rows = reps.select("rep", "fp", F.inline(F.array(*dealt))).repartition(n, "ring", "half", "key").select("rep", "fp", "ring", "half")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts = [(*(b.column(i).to_numpy() for i in range(4)), b.column(4).flatten().to_numpy().reshape(b.num_rows, -1)) for b in batches if b.num_rows]
+        parts = [[b.column(i).to_numpy() for i in range(4)] for b in batches if b.num_rows]
         if not parts:
             return
-        rep, own, word, at, others = (np.concatenate(x) for x in zip(*parts, strict=True))
-        own, others = (np.ascontiguousarray(x).view(np.uint64) for x in (own, others))
-        for w in np.unique(word):
-            rows = np.flatnonzero(word == w)
-            a, b = ring_links(own[rows], at[rows], bits, others[rows] if others.shape[1] else None, total)
-            x, y = rep[rows[a]], rep[rows[b]]
-            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(x, y)), pa.array(np.minimum(x, y))], names=["a", "b"])
+        rep, fp, at, half = (np.concatenate(x) for x in zip(*parts, strict=True))
+        a, b = ring_links(fp.view(np.uint64), at, half, bits)
+        x, y = rep[a], rep[b]
+        yield pa.RecordBatch.from_arrays([pa.array(np.maximum(x, y)), pa.array(np.minimum(x, y))], names=["a", "b"])
 
     return rows.mapInArrow(run, "a long, b long").distinct()
 
@@ -256,7 +269,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 def shingle_set(text: str | None) -> np.ndarray:
     """Sorted distinct hashes of the five-word shingles of one text."""
-    return np.unique(_shingle_hashes(text, WIDE_SHINGLE_WORDS))
+    return np.unique(_shingle_hashes(text, NEAR_SHINGLE_WORDS))
 
 
 def band_keys(shingles: np.ndarray) -> list[int]:
@@ -276,25 +289,55 @@ _FACTORS = _RANDOM.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64) | np.uint6
 _SHIFTS = _RANDOM.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64)
 
 
-def similar_links(sets: list[np.ndarray]) -> tuple[list[int], list[int]]:
+def chains(apart: np.ndarray) -> np.ndarray:
+    """Rows (differing bits by segment) with a chain: from some segment on, the first l segments
+    together differ in at most l / WIDE_SEGMENTS of WIDE_TOTAL bits, for every l."""
+    turned = np.concatenate([apart, apart], axis=1).astype(np.int64)
+    live = np.ones(apart.shape, bool)
+    total = np.zeros(apart.shape, np.int64)
+    for length in range(1, WIDE_SEGMENTS + 1):
+        total += turned[:, length - 1 : length - 1 + WIDE_SEGMENTS]
+        live &= total * WIDE_SEGMENTS <= length * WIDE_TOTAL
+    return live.any(axis=1)
+
+
+def similar_links(sets: list[np.ndarray], wide: np.ndarray, label: np.ndarray | None = None, block: np.ndarray | None = None) -> tuple[list[int], list[int]]:
     """Spanning links (index pairs) among non-empty sets: all pairs of at least LEAST_JACCARD
-    end up connected. Only pairs that confirmed links have joined already are skipped."""
+    end up connected. Only pairs that are joined already are skipped. wide: the SimHash words
+    of each set (rows). label: what is joined before. block: only pairs of two blocks."""
     over, under = LEAST_JACCARD
     n = len(sets)
     sizes = np.array([len(s) for s in sets], np.int64)
     values, ids = np.unique(np.concatenate(sets), return_inverse=True)
     starts = np.concatenate(([0], np.cumsum(sizes)))
-    label, mark = np.arange(n), np.zeros(len(values), np.int32)
+    label = np.arange(n) if label is None else np.unique(label, return_inverse=True)[1]
+    mark = np.zeros(len(values), bool)
+    segments = np.ascontiguousarray(wide).view(np.uint16).reshape(n, WIDE_SEGMENTS)
     out_a, out_b = [], []
     for i in range(n - 1):
-        if (label[i + 1 :] == label[i]).all():
+        j = np.arange(i + 1, n)
+        keep = (label[j] != label[i]) & (np.minimum(sizes[j], sizes[i]) * under >= np.maximum(sizes[j], sizes[i]) * over)
+        if block is not None:
+            keep &= block[j] != block[i]
+        j = j[keep]
+        if len(j):
+            apart = np.bitwise_count(segments[j] ^ segments[i])
+            # The first segment of a chain alone prunes most; then whole chains, then the Hamming test.
+            near = (apart * WIDE_SEGMENTS <= WIDE_TOTAL).any(axis=1)
+            j, apart = j[near], apart[near]
+            near = chains(apart)
+            j, apart = j[near], apart[near]
+            j = j[apart.sum(axis=1, dtype=np.int64) <= WIDE_TOTAL]
+        if not len(j):
             continue
         own = ids[starts[i] : starts[i + 1]]
-        mark[own] = 1
-        shared = np.add.reduceat(mark[ids[starts[i + 1] :]], starts[i + 1 : -1] - starts[i + 1])
-        mark[own] = 0
-        near = shared * under >= over * (sizes[i + 1 :] + sizes[i] - shared)
-        j = np.flatnonzero(near & (label[i + 1 :] != label[i])) + i + 1
+        mark[own] = True
+        size = sizes[j]
+        ends = np.cumsum(size)
+        members = ids[np.repeat(starts[j] - (ends - size), size) + np.arange(ends[-1])]
+        shared = np.add.reduceat(mark[members].astype(np.int64), ends - size)
+        mark[own] = False
+        j = j[shared * under >= over * (sizes[j] + sizes[i] - shared)]
         if len(j):
             roots, first = np.unique(label[j], return_index=True)
             out_a += [i] * len(first)
@@ -303,68 +346,98 @@ def similar_links(sets: list[np.ndarray]) -> tuple[list[int], list[int]]:
     return out_a, out_b
 
 
-def _similar(texts: DataFrame, banded: DataFrame) -> DataFrame:
-    """Confirmed spanning links (a > b, ids). texts: rep, d0, d1, shingles; banded: rep, d0, d1, key."""
+def _similar(sets: DataFrame, banded: DataFrame, block_shingles: int) -> DataFrame:
+    """Confirmed spanning links (a > b, ids). sets: rep, d0, d1, wide, shingles; banded: rep,
+    d0, d1, n (shingles), key, label (of what is joined).
 
-    def links_of(reps: list[int], blobs: list[bytes]) -> Iterator[pa.RecordBatch]:
-        if len(reps) > 1:
-            rep = np.array(reps, np.int64)
-            a, b = similar_links([np.frombuffer(x, np.uint64) for x in blobs])
-            x, y = rep[a], rep[b]
-            apart = x != y
-            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(x, y)[apart]), pa.array(np.minimum(x, y)[apart])], names=["a", "b"])
+    A key whose sets together pass block_shingles is dealt as pairs of blocks of its rows."""
+    keys = banded.groupBy("key").agg(F.ceil(F.sum("n") / block_shingles).cast("int").alias("blocks"), (F.min("label") < F.max("label")).alias("several")).where("several").drop("several")
+    met = banded.join(keys, "key").withColumn("own", F.pmod(F.xxhash64("rep", "d0", "d1"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    met = met.withColumn("other", other).select("key", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), "own", "rep", "d0", "d1", "label")
+    met = met.join(sets, ["rep", "d0", "d1"]).select("key", "x", "y", "own", "rep", "label", "wide", "shingles")
+
+    def links_of(held: list[tuple], pair: tuple) -> Iterator[pa.RecordBatch]:
+        if len(held) > 1:
+            block, rep, label = (np.array(x, np.int64) for x in list(zip(*held, strict=True))[:3])
+            wide = np.array([h[3] for h in held], np.int64).view(np.uint64)
+            a, b = similar_links([np.frombuffer(h[4], np.uint64) for h in held], wide, label, None if pair[1] == pair[2] else block)
+            p, q = rep[a], rep[b]
+            apart = p != q
+            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(p, q)[apart]), pa.array(np.minimum(p, q)[apart])], names=["a", "b"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, reps, blobs = None, [], []
-        for batch in batches:  # in the order of keys: one key's sets are held at a time
-            for key, rep, blob in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-                if key != now:
-                    yield from links_of(reps, blobs)
-                    now, reps, blobs = key, [], []
-                reps.append(rep)
-                blobs.append(blob)
-        yield from links_of(reps, blobs)
-
-    met = banded.join(texts, ["rep", "d0", "d1"]).select("key", "rep", "shingles")
-    dealt = met.repartition(partitions(texts.sparkSession), "key").sortWithinPartitions("key")
+        now, held = None, []
+        for batch in batches:  # in the order of keys: one pair of blocks is held at a time
+            for key, x, y, *row in zip(*(batch.column(i).to_pylist() for i in range(8)), strict=True):
+                if (key, x, y) != now:
+                    yield from links_of(held, now)
+                    now, held = (key, x, y), []
+                held.append(tuple(row))
+        yield from links_of(held, now)
+
+    dealt = met.repartition(partitions(sets.sparkSession), "key", "x", "y").sortWithinPartitions("key", "x", "y")
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
-def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, group_id (smallest id reachable) by confirmed similarity; odd rows as in near_duplicates.
+def _digest(shingles: np.ndarray) -> tuple[int, int]:
+    x = xxhash.xxh128_intdigest(shingles.tobytes(), SEED)
+    return (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63)
 
-    Texts of one shingle set meet in one representative. Sets are made again, and moved, only
-    for representatives that share a band with another."""
 
-    def digest(shingles: np.ndarray) -> tuple[int, int]:
-        x = xxhash.xxh128_intdigest(shingles.tobytes(), SEED)
-        return (x >> 64) - (1 << 63), (x & (1 << 64) - 1) - (1 << 63)
+def _sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        sets = [shingle_set(x.as_py()) for x in batch.column(1)]
+        d = np.array([_digest(s) for s in sets], np.int64).reshape(-1, 2)
+        sizes = np.array([len(s) for s in sets], np.int64)
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(d[:, 0].copy()), pa.array(d[:, 1].copy()), pa.array(sizes), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], names=["doc_id", "d0", "d1", "n", "bands"])
 
-    def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            sets = [shingle_set(x.as_py()) for x in batch.column(1)]
-            d = np.array([digest(s) for s in sets], np.int64).reshape(-1, 2)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(d[:, 0].copy()), pa.array(d[:, 1].copy()), pa.array([band_keys(s) for s in sets], pa.list_(pa.int64()))], names=["doc_id", "d0", "d1", "bands"])
 
-    def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kinds = pa.schema([("rep", pa.int64()), ("d0", pa.int64()), ("d1", pa.int64()), ("shingles", pa.binary())])
-        for batch in batches:
-            out = []
-            for rep, text in zip(*(batch.column(i).to_pylist() for i in range(2)), strict=True):
-                s = shingle_set(text)
-                out.append((rep, *digest(s), s.tobytes()))
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kinds.field(i).type) for i in range(4)], schema=kinds)
+def _sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    kinds = pa.schema([("rep", pa.int64()), ("d0", pa.int64()), ("d1", pa.int64()), ("wide", pa.list_(pa.int64())), ("shingles", pa.binary())])
+    for batch in batches:
+        out = []
+        for rep, text in zip(*(batch.column(i).to_pylist() for i in range(2)), strict=True):
+            s = shingle_set(text)
+            out.append((rep, *_digest(s), wide_fingerprint(s).view(np.int64), s.tobytes()))
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kinds.field(i).type) for i in range(5)], schema=kinds)
+
 
+def _prints(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """doc_id, d0, d1 (digest of the shingle set), n (its size) and bands of every row; staged."""
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    prints = stage(rows.mapInArrow(sketch, "doc_id long, d0 long, d1 long, bands array<long>"), "near")
-    reps = stage(prints.groupBy("d0", "d1").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")).where("rep is not null"), "near-reps")
-    banded = reps.select("rep", "d0", "d1", F.explode("bands").alias("key"))
-    shared = banded.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key")
+    return stage(rows.mapInArrow(_sketch, "doc_id long, d0 long, d1 long, n long, bands array<long>"), "near")
+
+
+def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", prints: DataFrame | None = None, block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
+    """doc_id, group_id (smallest id reachable) by confirmed similarity.
+
+    Texts of one shingle set meet in one representative. A null text is empty, and texts
+    without a word are one group; a null id takes part in nothing and has a null group
+    unless a document with an id has its set. Rows of one id with different texts join their groups. Repeated rows repeat.
+    Sets are made again, and moved, only for representatives that share a band with another
+    one; of later bands only keys that still hold several groups."""
+    prints = _prints(docs, id_col, text_col) if prints is None else prints
+    reps = stage(prints.groupBy("d0", "d1").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("bands").alias("bands")).where("rep is not null"), "near-reps")
+    banded = reps.select("rep", "d0", "d1", "n", F.posexplode("bands").alias("band", "key"))
+    shared = banded.groupBy("key").agg(F.count("*").alias("members")).where("members > 1").select("key")
     banded = stage(banded.join(shared, "key", "left_semi"), "near-banded")
     wanted = banded.select("rep").distinct()
-    texts = rows.join(wanted, rows["doc_id"] == wanted["rep"]).select("rep", "text").mapInArrow(full, "rep long, d0 long, d1 long, shingles binary")
-    texts = texts.groupBy("rep", "d0", "d1").agg(F.first("shingles").alias("shingles"))
-    roots = components(_similar(texts, banded))
+    if wanted.count() <= BROADCAST_IDS:
+        wanted = F.broadcast(wanted)
+    rows = docs.select(F.col(id_col).cast("long").alias("rep"), F.col(text_col).cast("string").alias("text"))
+    made = rows.join(wanted, "rep", "left_semi").mapInArrow(_sets, "rep long, d0 long, d1 long, wide array<long>, shingles binary")
+    sets = stage(made.groupBy("rep", "d0", "d1").agg(F.first("wide").alias("wide"), F.first("shingles").alias("shingles")), "near-sets")
+    edges, roots = None, None
+    for low, high in BAND_STEPS:
+        part = banded.where((F.col("band") >= low) & (F.col("band") < high))
+        if roots is None:
+            part = part.withColumn("label", F.col("rep"))
+        else:
+            part = part.join(roots, part["rep"] == roots["node"], "left").withColumn("label", F.coalesce("root", "rep")).drop("node", "root")
+        found = stage(_similar(sets, part, block_shingles), "near-links")
+        edges = found if edges is None else edges.unionAll(found)
+        roots = components(edges)
     named = reps.join(roots, reps["rep"] == roots["node"], "left").select("d0", "d1", F.coalesce("root", "rep").alias("group_id"))
     return prints.join(named, ["d0", "d1"], "left").select("doc_id", "group_id")
 
@@ -372,9 +445,16 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
 def keep_representatives(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The row with the smallest id of each near group, with its own columns.
 
-    Of rows that share an id and a text one stays; rows with a null id all stay."""
-    lost = near_groups(docs, id_col, text_col).where("group_id < doc_id").select(F.col("doc_id").alias("__lost"))
+    Of rows that share an id and a text one stays; rows with a null id all stay. Texts are not shuffled unless the list of documents that go passes BROADCAST_IDS, or ids repeat."""
+    prints = _prints(docs, id_col, text_col)
+    lost = stage(near_groups(docs, id_col, text_col, prints).where("group_id < doc_id").select(F.col("doc_id").alias("__lost")).distinct(), "near-lost")
+    if lost.count() <= BROADCAST_IDS:
+        lost = F.broadcast(lost)
     left = docs.join(lost, docs[id_col].cast("long") == lost["__lost"], "left_anti")
-    own = left.withColumn("__h", F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))))
-    one = Window.partitionBy(id_col, "__h").orderBy(id_col)
-    return own.withColumn("__n", F.when(F.col(id_col).isNull(), 1).otherwise(F.row_number().over(one))).where("__n = 1").select(*docs.columns)
+    again = stage(prints.where("doc_id is not null").groupBy("doc_id", "d0", "d1").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("__again")).distinct(), "near-again")
+    if not again.limit(1).count():
+        return left
+    repeated = docs[id_col].cast("long") == again["__again"]
+    few = left.join(again, repeated, "left_semi").withColumn("__h", F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))))
+    one = few.withColumn("__n", F.row_number().over(Window.partitionBy(id_col, "__h").orderBy(id_col))).where("__n = 1")
+    return left.join(again, repeated, "left_anti").unionByName(one.select(*docs.columns))

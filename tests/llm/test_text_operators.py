@@ -155,20 +155,23 @@ def test_near_duplicates_whole(spark, sf):
 
 
 def slow_groups(texts):
-    """Smallest id of each group of ids under the wide rule, by all pairs."""
-    prints = {i: simhash.wide_fingerprint(t) for i, t in texts.items()}
-    root = {i: i for i in prints}
+    """Smallest id of each group of ids by true Jaccard similarity of at least 0.8 of the sets of
+    five-word shingles, by all pairs."""
+    sets = {}
+    for i, t in texts.items():
+        w = re.findall(r"[^\x20\x09-\x0D]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+        sets[i] = {" ".join(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    root = {i: i for i in sets}
 
     def find(i):
         while root[i] != i:
             i = root[i]
         return i
 
-    ids = sorted(prints)
+    ids = sorted(sets)
     for k, a in enumerate(ids):
         for b in ids[k + 1 :]:
-            apart = [bin(x ^ y).count("1") for x, y in zip(prints[a], prints[b], strict=True)]
-            if min(apart) <= simhash.WIDE_BITS and sum(apart) <= simhash.WIDE_TOTAL:
+            if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
                 x, y = find(a), find(b)
                 root[max(x, y)] = min(x, y)
     return {i: find(i) for i in ids}

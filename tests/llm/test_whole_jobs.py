@@ -3,7 +3,9 @@
 import base64
 import random
 from collections import Counter
+from itertools import combinations
 
+import numpy as np
 import pytest
 
 from supplyrisk.llm import mixing, secrets, simhash
@@ -96,3 +98,72 @@ def test_base64_keys_after_equals_signs_in_paths_and_over_lines():
         armoured = f"-----BEGIN PRIVATE KEY-----\n{wrapped}\n-----END PRIVATE KEY-----"
         assert [s[0] for s in secrets.find_spans(armoured)] == ["pem"]
     assert not secrets.find_spans("k=" + base64.b64encode(der[:-1]).decode())
+
+
+def test_near_groups_of_a_whole_table(spark):
+    """Every pair of the table at 0.8 or more is in one group, and no group is larger than they make it."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    sets = {r.doc_id: set(simhash.shingle_set(r.text).tolist()) for r in docs.collect()}
+    holders = {}
+    for i, s in sets.items():
+        for h in s:
+            holders.setdefault(h, []).append(i)
+    shared = Counter(pair for ids in holders.values() if len(ids) > 1 for pair in combinations(sorted(ids), 2))
+    root = {i: i for i in sets}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for (a, b), n in shared.items():
+        if 5 * n >= 4 * (len(sets[a]) + len(sets[b]) - n):
+            x, y = find(a), find(b)
+            root[max(x, y)] = min(x, y)
+    wordless = [i for i, s in sets.items() if not s]
+    got = {r.doc_id: r.group_id for r in simhash.near_groups(docs).collect()}
+    assert got == {i: min(wordless) if i in wordless else find(i) for i in sets}
+
+
+@pytest.mark.parametrize("block_shingles", [300, 4000])
+def test_large_keys_go_by_pairs_of_blocks(spark, block_shingles):
+    rng = random.Random(11)
+    rows = []
+    for c in range(3):
+        body = [f"w{c}_{k}" for k in range(60)]
+        for _ in range(40):
+            mine = list(body)
+            for _ in range(rng.randrange(0, 4)):
+                mine[rng.randrange(60)] = f"x{rng.random()}"
+            rows.append((len(rows), " ".join(mine)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.group_id for r in simhash.near_groups(df, block_shingles=block_shingles).collect()}
+    assert got == jaccard_groups(dict(rows), 0.8)
+
+
+def test_chains_keep_all_within_the_total():
+    rng = np.random.default_rng(2)
+    kept = 0
+    for _ in range(3000):
+        n = rng.integers(0, 129)
+        bits = np.zeros(256, np.uint8)
+        bits[rng.choice(256, n, replace=False)] = 1
+        apart = bits.reshape(simhash.WIDE_SEGMENTS, -1).sum(axis=1)[None, :]
+        found = bool(simhash.chains(apart)[0])
+        kept += found and n > simhash.WIDE_TOTAL
+        assert found or n > simhash.WIDE_TOTAL
+    assert kept < 900
+
+
+def test_near_groups_of_odd_rows(spark):
+    long = " ".join(f"word{k % 50_000}x{k}" for k in range(120_000))
+    rows = [(1, long), (2, long + " and a little more"), (3, None), (4, ""), (5, " \n\t"), (6, "a"), (7, "A"), (8, "b"), (None, "a"), (None, "none has it"), (2, long + " and a little more"), (2, "b")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 AS rep", "2 AS __lost", "3 AS __n", "'x' AS key", "4 AS label")
+    got = Counter((r.doc_id, r.group_id) for r in simhash.near_groups(df).collect())
+    assert got == Counter([(1, 1), (2, 1), (2, 1), (3, 3), (4, 3), (5, 3), (6, 6), (7, 6), (8, 1), (2, 1), (None, 6), (None, None)])
+    kept = simhash.keep_representatives(df)
+    assert kept.columns == df.columns
+    assert sorted((r.doc_id or 0, (r.text or "")[:4]) for r in kept.collect()) == [(0, "a"), (0, "none"), (1, "word"), (3, ""), (6, "a")]
+    assert simhash.keep_representatives(df.limit(0)).count() == 0
+    twice = spark.createDataFrame([(1, "x y"), (1, "x y"), (2, "z")], "doc_id long, text string")
+    assert sorted(r.doc_id for r in simhash.keep_representatives(twice).collect()) == [1, 2]
