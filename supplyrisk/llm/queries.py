@@ -89,7 +89,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f fo
 # --- SQL for DuckDB -----------------------------------------------------------------------
 
 _MASKS = decontaminate.MASKS
-_SPAN, _PENALTY, _LEAST = decontaminate.SPAN, decontaminate.PENALTY, decontaminate.MIN_SCORE
+_SPAN, _PENALTY, _LEAST, _FIFTHS, _SHORTEST = decontaminate.SPAN, decontaminate.PENALTY, decontaminate.MIN_SCORE, decontaminate.LEAST_SHARE, decontaminate.MIN_WORDS
 
 
 def _leaks_sql() -> str:
@@ -97,17 +97,18 @@ def _leaks_sql() -> str:
     words = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^\\p{L}\\p{N}]+'), lambda x: x <> '')"
     key = lambda w: " || '|' || ".join
     masked = lambda w: "unnest([" + ", ".join(f"'{m}|' || " + key(w)(f"{w}[k + {p + 1}]" for p in mask) for m, mask in enumerate(_MASKS)) + "])"
-    seeds = lambda name, ident: f"SELECT {ident}, words, k, {masked('words')} AS seed FROM (SELECT {ident}, words, unnest(range(len(words) - {_SPAN - 1})) AS k FROM {name} WHERE len(words) >= {_SPAN})"
+    seeds = lambda name, ident: f"SELECT {ident}, k, {masked('words')} AS seed FROM (SELECT {ident}, words, unnest(range(len(words) - {_SPAN - 1})) AS k FROM {name} WHERE len(words) >= {_SPAN}) UNION ALL SELECT {ident}, k, 'short|' || array_to_string(words[k + 1 : k + n], '|') FROM (SELECT {ident}, words, n, unnest(range(len(words) - n + 1)) AS k FROM {name}, short WHERE {'len(words) = n' if name == 'b' else 'len(words) >= n'})"
     return f"""WITH d AS MATERIALIZED (SELECT doc_id, {words} AS words FROM documents), b AS MATERIALIZED (SELECT item_id, {words} AS words FROM benchmark),
+short AS MATERIALIZED (SELECT DISTINCT len(words) AS n FROM b WHERE len(words) BETWEEN {_SHORTEST} AND {_SPAN - 1}),
 ds AS ({seeds('d', 'doc_id')}), bs AS ({seeds('b', 'item_id')}),
 met AS MATERIALIZED (SELECT DISTINCT doc_id, item_id, ds.k - bs.k AS shift FROM ds JOIN bs USING (seed)),
 each AS (SELECT doc_id, item_id, shift, d.words AS dw, b.words AS bw, unnest(range(greatest(0, -shift), least(len(b.words), len(d.words) - shift))) AS q FROM met JOIN d USING (doc_id) JOIN b USING (item_id)),
-hit AS (SELECT doc_id, item_id, shift, len(dw) AS doc_words, q, CASE WHEN bw[q + 1] = dw[q + shift + 1] THEN 1 ELSE 0 END AS same FROM each),
+hit AS (SELECT doc_id, item_id, shift, len(dw) AS doc_words, len(bw) AS n, q, CASE WHEN bw[q + 1] = dw[q + shift + 1] THEN 1 ELSE 0 END AS same FROM each),
 run AS (SELECT *, sum(CASE same WHEN 1 THEN 1 ELSE -{_PENALTY} END) OVER w AS s, sum(same) OVER w AS e FROM hit WINDOW w AS (PARTITION BY doc_id, item_id, shift ORDER BY q)),
 low AS (SELECT *, coalesce(min(s) OVER v, 0) AS m0, coalesce(arg_min({{'q': q, 'e': e}}, s * 1000000 - q) OVER v, NULL) AS at0 FROM run WINDOW v AS (PARTITION BY doc_id, item_id, shift ORDER BY q ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 base AS (SELECT *, CASE WHEN m0 > 0 OR at0 IS NULL THEN 0 ELSE m0 END AS m, CASE WHEN m0 > 0 OR at0 IS NULL THEN greatest(0, -shift) ELSE at0.q + 1 END AS first, CASE WHEN m0 > 0 OR at0 IS NULL THEN 0 ELSE at0.e END AS e0 FROM low),
-best AS (SELECT doc_id, item_id, shift, doc_words, s - m AS score, e - e0 AS same, first, q + 1 AS past FROM base QUALIFY row_number() OVER (PARTITION BY doc_id, item_id ORDER BY s - m DESC, shift, q) = 1)
-SELECT doc_id, item_id, score::INT AS score, same::INT AS same, first::INT AS item_first, past::INT AS item_past, (first + shift)::INT AS doc_first, doc_words::INT AS doc_words FROM best WHERE score >= {_LEAST}"""
+best AS (SELECT doc_id, item_id, shift, doc_words, n, s - m AS score, e - e0 AS same, first, q + 1 AS past FROM base QUALIFY row_number() OVER (PARTITION BY doc_id, item_id ORDER BY s - m DESC, shift, q) = 1)
+SELECT doc_id, item_id, score::INT AS score, same::INT AS same, first::INT AS item_first, past::INT AS item_past, (first + shift)::INT AS doc_first, doc_words::INT AS doc_words FROM best WHERE score >= CASE WHEN n < {_SPAN} THEN n ELSE least({_LEAST}, ceil(n * {_FIFTHS} / 5)) END"""
 
 
 _CRC = """crc AS MATERIALIZED (SELECT list(list_reduce(list_prepend(i, [0, 0, 0, 0, 0, 0, 0, 0]), lambda c, z: CASE WHEN c % 2 = 1 THEN xor(c // 2, 3988292384) ELSE c // 2 END) ORDER BY i) AS t FROM range(256) r(i))"""
