@@ -24,9 +24,14 @@ def op2_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from supplyrisk.llm.weighted_fingerprints import _hex, edited_text, likeness, map_with_next, signature
 
+    before: dict = {}  # the next row's signature is its own in the call after
+
     def row(own: tuple, following: tuple) -> tuple:
         text, edited = own[1] or "", edited_text(own[1], following[1])
-        mine, other, its = signature(text), signature(edited), signature(following[1])
+        mine = before[text] if text in before else signature(text)
+        other, its = signature(edited), signature(following[1])
+        before.clear()
+        before[following[1] or ""] = its
         digest = hashlib.sha256(edited.encode("utf-8", "surrogatepass")).hexdigest()
         return own[0], len(text), digest, _hex(mine), _hex(other), likeness(mine, other), likeness(mine, its)
 

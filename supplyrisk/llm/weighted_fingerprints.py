@@ -7,10 +7,10 @@ alone; its weight w is quantised to t = floor(ln w / r + b), and the sample is t
 with the least c / (exp(r (t - b)) e^r), with its t. Two texts agree in a sample with a
 probability equal to the generalised Jaccard similarity of their weights.
 
-Terms are hashed to a space of TERM_SPACE values whose variates are drawn once per Python
-worker; two different terms of a pair of texts share a value with a chance of about
-(terms / TERM_SPACE). A sample is kept in 16 bits, so unlike samples agree by chance once
-in 65,536.
+Terms are 64-bit hashes, and the variates of a (term, sample) are made from a hash of the
+two, so they need no table of terms and no two terms of a text share them. Terms are worked
+on in slices, so a text of any length takes bounded memory. A sample is kept in 16 bits, so
+unlike samples agree by chance once in 65,536.
 """
 
 from __future__ import annotations
@@ -27,9 +27,9 @@ from pyspark.sql import functions as F
 from supplyrisk.llm.common import NULL_KEY, bucket_count, bucket_of, key_bounds, order_key, partitions
 
 SAMPLES = 64
-TERM_BITS = 18
-TERM_SPACE = 1 << TERM_BITS
 SHORT_WORDS = 8
+#: Terms whose variates are made at once.
+SLICE = 2_048
 SEED = 20_011
 _WORD_CACHE = 300_000
 _PAIR = np.uint64(0x9E3779B97F4A7C15)
@@ -50,19 +50,43 @@ _words = _Words()
 
 
 @functools.cache
-def _variates(samples: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """r, b and ln a of a term that occurs once (t is 0 then, since 0 <= b < 1), for every
-    term value and sample; the same in every process. Drawn in slices, to stay small."""
-    rng = np.random.Generator(np.random.PCG64(SEED))
-    r, b, once = (np.empty((TERM_SPACE, samples), kind) for kind in (np.float32, np.float16, np.float32))
-    for at in range(0, TERM_SPACE, 4096):
-        shape = (min(4096, TERM_SPACE - at), samples)
-        gammas = [np.maximum(-np.log1p(-rng.random(shape)) - np.log1p(-rng.random(shape)), 1e-6) for _ in range(2)]
-        here = slice(at, at + shape[0])
-        r[here] = gammas[0]
-        b[here] = np.minimum(rng.random(shape, dtype=np.float32), np.float32(0.9990))
-        once[here] = np.log(gammas[1]) - r[here] + r[here] * b[here]
-    return r, b, once
+def _salts(samples: int) -> np.ndarray:
+    return np.random.Generator(np.random.PCG64(SEED)).integers(0, 2**64, samples, dtype=np.uint64)
+
+
+@functools.cache
+def _gamma_quantiles() -> np.ndarray:
+    """Gamma(2, 1) at the middles of 65,536 equal parts, by bisection."""
+    p = (np.arange(1 << 16) + 0.5) / (1 << 16)
+    low, high = np.zeros(1 << 16), np.full(1 << 16, 40.0)
+    for _ in range(60):
+        at = (low + high) / 2
+        less = 1 - np.exp(-at) * (1 + at) < p
+        low, high = np.where(less, at, low), np.where(less, high, at)
+    return ((low + high) / 2).astype(np.float32)
+
+
+def _variates(term: np.ndarray, samples: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """r, b and ln c of each term (rows) and sample, the same in every process."""
+    h = (term[:, None] ^ _salts(samples)[None, :]) * _MIX
+    h ^= h >> np.uint64(29)
+    h *= _PAIR
+    h ^= h >> np.uint64(32)
+    parts = h.view(np.uint16).reshape(len(term), samples, 4)
+    r = _gamma_quantiles()[parts[:, :, 0]]
+    b = parts[:, :, 1].astype(np.float32)
+    b *= np.float32(1 / 65536)
+    # c is the sum of two exponentials, so that its least values are as fine as its others
+    c = parts[:, :, 2].astype(np.float32)
+    c += np.float32(0.5)
+    other = parts[:, :, 3].astype(np.float32)
+    other += np.float32(0.5)
+    c *= other
+    c *= np.float32(2.0**-32)
+    np.log(c, out=c)
+    np.negative(c, out=c)
+    np.log(c, out=c)
+    return r, b, c
 
 
 def _mixed(h: np.ndarray) -> np.ndarray:
@@ -80,7 +104,7 @@ def terms(text: str) -> tuple[np.ndarray, np.ndarray]:
         chars = text.lower()
         extra = [_words[chars[i : i + 3]] ^ 0x5BD1E995 for i in range(max(1, len(chars) - 2))] if chars else []
         found = np.concatenate([found, _mixed(np.array(extra, np.uint64))])
-    return np.unique((found >> np.uint64(64 - TERM_BITS)).astype(np.int64), return_counts=True)
+    return np.unique(found, return_counts=True)
 
 
 def signature(text: str | None, samples: int = SAMPLES) -> np.ndarray:
@@ -88,23 +112,30 @@ def signature(text: str | None, samples: int = SAMPLES) -> np.ndarray:
     if not text:
         return np.zeros(samples, np.uint16)
     term, weight = terms(text)
-    r, b, once = _variates(samples)
-    log_a = once[term]
-    t = np.zeros(0)
-    many = np.flatnonzero(weight > 1)
-    if len(many):
-        r = r[term[many]]
-        t = np.floor(np.log(weight[many]).astype(np.float32)[:, None] / r + b[term[many]])
-        log_a[many] -= r * t  # ln c - r (t - b) - r
-    best = np.argmin(log_a, axis=0)
-    level = np.zeros(samples, np.uint64)
-    if len(many):
-        place = np.full(len(term), -1)
+    least = np.full(samples, np.inf, np.float32)
+    chosen, level = np.zeros(samples, np.uint64), np.zeros(samples, np.uint64)
+    every = np.arange(samples)
+    for at in range(0, len(term), SLICE):
+        part, w = term[at : at + SLICE], weight[at : at + SLICE]
+        r, b, log_a = _variates(part, samples)
+        # ln a = ln c - r (t - b) - r; t is 0 for a term that occurs once, since 0 <= b < 1
+        many = np.flatnonzero(w > 1)
+        t = np.floor(np.log(w[many]).astype(np.float32)[:, None] / r[many] + b[many])
+        b -= np.float32(1)
+        b *= r
+        log_a += b
+        log_a[many] -= r[many] * t
+        best = np.argmin(log_a, axis=0)
+        a = log_a[best, every]
+        less = a < least
+        least[less], chosen[less] = a[less], part[best[less]]
+        place = np.full(len(part), -1)
         place[many] = np.arange(len(many))
-        at = place[best]
-        held = np.flatnonzero(at >= 0)
-        level[held] = t[at[held], held].astype(np.int64).astype(np.uint64)
-    return ((_mixed(term[best].astype(np.uint64) * _PAIR + level + np.uint64(1)) >> np.uint64(48)) | np.uint64(1)).astype(np.uint16)
+        row = place[best]
+        level[less] = 0
+        held = np.flatnonzero(less & (row >= 0))
+        level[held] = t[row[held], held].astype(np.int64).astype(np.uint64)
+    return ((_mixed(chosen * _PAIR + level + np.uint64(1)) >> np.uint64(48)) | np.uint64(1)).astype(np.uint16)
 
 
 def likeness(a: np.ndarray, b: np.ndarray) -> float:
@@ -117,7 +148,9 @@ def _hex(signature: np.ndarray) -> str:
 
 
 def fingerprint_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", samples: int = SAMPLES) -> DataFrame:
-    """doc_id, fingerprint (four hex digits a sample) of every row; null text is empty."""
+    """doc_id, fingerprint (four hex digits a sample) of every row; null text is empty.
+
+    Rows are worked on alone: null ids, repeated rows and texts of any length are as any other."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -140,12 +173,14 @@ def map_with_next(docs: DataFrame, function: Callable[[tuple, tuple], tuple], sc
     bounds = key_bounds(keys, "k", bucket_count(n, 4 * partitions(spark)))
     heads = keys.withColumn("b", bucket_of(F.col("k"), bounds)).groupBy("b").agg(F.max("k").alias("k")).orderBy("b").collect()  # one row per range
     # A head is the next row of the range above it; the first range's next is the last head.
-    after = {heads[i]["k"]: heads[(i + 1) % len(heads)]["b"] for i in range(len(heads))}
-    copies = F.create_map(*[F.lit(x) for k, b in after.items() for x in (k, b)])
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), order_key(id_col).alias("k"))
-    here = F.struct(bucket_of(F.col("k"), bounds).alias("b"), F.lit(0).alias("copy"))
-    there = F.struct(copies[F.col("k")].alias("b"), F.lit(1).alias("copy"))
-    dealt = rows.select("*", F.inline(F.when(F.map_contains_key(copies, F.col("k")), F.array(here, there)).otherwise(F.array(here))))
+    head, above = [None] * (len(bounds) + 1), [None] * (len(bounds) + 1)
+    for i, x in enumerate(heads):
+        head[x["b"]], above[x["b"]] = x["k"], heads[(i + 1) % len(heads)]["b"]
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), order_key(id_col).alias("k"), bucket_of(order_key(id_col), bounds).alias("at"))
+    here = F.struct(F.col("at").alias("b"), F.lit(0).alias("copy"))
+    there = F.struct(F.get(F.array(*[F.lit(x).cast("int") for x in above]), "at").alias("b"), F.lit(1).alias("copy"))
+    is_head = F.get(F.array(*[F.lit(x).cast("long") for x in head]), "at") == F.col("k")
+    dealt = rows.select("doc_id", "text", "k", F.inline(F.when(is_head, F.array(here, there)).otherwise(F.array(here))))
     ordered = dealt.repartition(partitions(spark), "b").sortWithinPartitions("b", "copy", F.desc("k"), F.xxhash64("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -226,6 +226,29 @@ def test_collisions_estimate_generalised_jaccard():
     assert abs(np.mean(errors)) < 0.02 and np.sqrt(np.mean(np.square(errors))) < 0.075
 
 
+def test_long_unrelated_texts_are_unlike():
+    rng = random.Random(3)
+    for n in (20_000, 100_000):
+        a, b = (" ".join(f"{c}{rng.randrange(n // 5)}" for _ in range(n)) for c in "ab")
+        assert wf.likeness(wf.signature(a), wf.signature(b)) < 0.05
+    # a text of over 1 MB and the same with a tenth of its words replaced
+    words = [f"w{rng.randrange(50_000)}" for _ in range(200_000)]
+    other = [*words[:180_000], *(f"x{rng.randrange(50_000)}" for _ in range(20_000))]
+    a, b = " ".join(words), " ".join(other)
+    assert abs(wf.likeness(wf.signature(a), wf.signature(b)) - jaccard(a, b)) < 0.16
+
+
+def test_samples_follow_independent_variates():
+    """The chance that a term is sampled is its share of the weights: 20,000 samples of one text."""
+    text = " ".join(["a"] * 12 + ["b"] * 5 + ["c"] * 3 + ["d", "e", "f", "g", "h", "i"])
+    term, weight = wf.terms(text)
+    r, b, log_c = wf._variates(term, 20_000)
+    assert abs(r.mean() - 2) < 0.02 and abs(np.exp(log_c).mean() - 2) < 0.02 and abs(b.mean() - 0.5) < 0.005
+    t = np.floor(np.log(weight)[:, None] / r + b)
+    got = np.bincount(np.argmin(log_c - r * (t - b) - r, axis=0), minlength=len(term)) / 20_000
+    assert np.abs(got - weight / weight.sum()).max() < 0.015
+
+
 def test_fingerprint_query_against_brute_force(spark, tmp_path):
     rng = random.Random(6)
     rows = [(i * 7 % 101, "".join(rng.choice("ab cé\U0001f600") for _ in range(rng.randrange(0, 90)))) for i in range(101)]
