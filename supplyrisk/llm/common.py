@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections import Counter
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -10,21 +11,44 @@ from pyspark.sql import functions as F
 from supplyrisk.plans.staging import Staged, partitions, shared_dir, stage
 from supplyrisk.sources.tables import table
 
-__all__ = ["Staged", "bucket_count", "bucket_of", "key_bounds", "order_key", "partitions", "shared_dir", "stage", "table"]
+__all__ = ["Staged", "bucket_count", "bucket_of", "key_bounds", "order_key", "partitions", "range_of", "shared_dir", "stage", "table"]
 
-#: Rows of a narrow table that one range bucket should hold.
-ROWS_PER_BUCKET = 100_000
+#: Rows of a narrow table that one range bucket should hold, and the most buckets there are
+#: (their bounds are part of the plan).
+ROWS_PER_BUCKET, MAX_BUCKETS = 100_000, 20_000
 #: Sort key of a null id; it comes before every id.
 NULL_KEY = -(2**63)
 
 
-def key_bounds(keys: DataFrame, col: str, n_buckets: int) -> list[int]:
-    """Ascending cut points of about equal counts; one bounded sketch, no sort."""
+def _percentiles(keys: DataFrame, col: str, n_buckets: int) -> list[int]:
     if n_buckets < 2:
         return []
     steps = ", ".join(repr(i / n_buckets) for i in range(1, n_buckets))
     got = keys.agg(F.expr(f"percentile_approx({col}, array({steps}), {max(10_000, 10 * n_buckets)})").alias("b")).first()["b"]
-    return sorted(set(got or []))
+    return sorted(got or [])
+
+
+def key_bounds(keys: DataFrame, col: str, n_buckets: int) -> list[int]:
+    """Ascending cut points of about equal counts; one bounded sketch, no sort."""
+    return sorted(set(_percentiles(keys, col, n_buckets)))
+
+
+def range_of(rows: DataFrame, col: str, n_buckets: int, part: Column) -> Column:
+    """Number of each row's range, in the order of (col, part), of about equal counts.
+
+    part: from 0 to below 1, not falling in the order of rows with equal keys; a key that
+    holds several buckets' rows (null ids, say) is cut by it, so that it isn't one range."""
+    got = _percentiles(rows, col, n_buckets)
+    times = Counter(got)
+    bounds, most = sorted(times), max(times.values(), default=1)
+    at = bucket_of(F.col(col), bounds)
+    if most == 1:
+        return at.cast("long")
+    held = F.array(*[F.lit(times[b]) for b in bounds])
+    same = F.get(F.array(*[F.lit(b).cast("long") for b in bounds]), at - 1) == F.col(col)
+    n = F.get(held, at - 1)
+    inside = F.when(at == 0, 0).when(same, F.least(F.floor(part * n), n - 1)).otherwise(n)
+    return at.cast("long") * (most + 1) + inside
 
 
 def bucket_of(key: Column, bounds: list[int]) -> Column:
@@ -42,7 +66,7 @@ def bucket_of(key: Column, bounds: list[int]) -> Column:
 
 
 def bucket_count(n_rows: int, at_least: int) -> int:
-    return max(1, min(max(at_least, math.ceil(n_rows / ROWS_PER_BUCKET)), max(1, n_rows)))
+    return max(1, min(max(at_least, math.ceil(n_rows / ROWS_PER_BUCKET)), max(1, n_rows), MAX_BUCKETS))
 
 
 def order_key(col: str) -> Column:

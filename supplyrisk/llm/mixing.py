@@ -11,16 +11,20 @@ no document is dropped.
 from __future__ import annotations
 
 import heapq
+import math
 from fractions import Fraction
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from supplyrisk.llm.common import bucket_count, bucket_of, key_bounds, order_key, partitions, stage
+from supplyrisk.llm.common import bucket_count, order_key, partitions, range_of, stage
 
-#: Documents in a block, and the power of a source's size that is its default weight.
+#: Documents in a block at least, and the power of a source's size that is its default weight.
 BLOCK_DOCS = 64
 TEMPERATURE = 0.5
+#: Blocks that are planned at most, but for one of each source: the plan is made on the
+#: driver (about 200 bytes and 10 microseconds each), so larger inputs have larger blocks.
+MAX_BLOCKS = 1_000_000
 
 
 def whole_weights(weights: dict[str, float], period: int) -> dict[str, int]:
@@ -53,66 +57,104 @@ def pfair_period(shares: dict[str, int]) -> list[str]:
 
 
 def plan_blocks(blocks: dict[str, int], weights: dict[str, float], period: int | None = None) -> list[tuple[str, int, int, int]]:
-    """Source, block, phase and slot of every block, by slot; with a period, for targets rounded to it."""
+    """Source, block, phase and slot of every block, by slot; with a period, for targets rounded to it.
+
+    Of equal deadlines the greater weight goes first, so at the start of a phase, when every
+    source has a block released, they follow in one fixed order; a phase costs what it emits."""
+    if bad := [x for x in blocks if not weights[x] > 0]:
+        raise ValueError(f"weights must be above zero: {bad[:5]}")
+    exact = {x: Fraction(weights[x]) for x in blocks}
+    scale = math.lcm(1, *(f.denominator for f in exact.values()))
+    share = {x: int(f * scale) for x, f in exact.items()}
+    order = sorted(blocks, key=lambda x: (-share[x], x))
+    after = list(range(1, len(order) + 2))  # a list of the sources left, from place 0; its end is len(order)
+    before = list(range(-1, len(order) + 1))
+    first, total = 0, sum(share.values())
     done, out, phase = dict.fromkeys(blocks, 0), [], 0
-    while left := [x for x in sorted(blocks) if blocks[x] > done[x]]:
-        target = {x: Fraction(weights[x]) for x in left} if period is None else whole_weights({x: weights[x] for x in left}, period)
-        total, begin = sum(target.values()), len(out)
-        gap = {x: Fraction(total) / target[x] for x in left}  # slots between two blocks
-        waiting = [(0, x, 1) for x in left]  # release, source, number in the phase
-        ready: list[tuple] = []
+    while first < len(order):
+        if period is not None:
+            share = whole_weights({x: weights[x] for x in blocks if done[x] < blocks[x]}, period)
+            order = sorted(share, key=lambda x: (-share[x], x))
+            first, total, after, before = 0, sum(share.values()), list(range(1, len(order) + 2)), list(range(-1, len(order) + 1))
+        begin, fresh = len(out), first
+        waiting: list[tuple[int, int, int]] = []  # release, place, number in the phase
+        ready: list[tuple[int, int, int]] = []  # deadline, place, number in the phase
         while True:
             while waiting and waiting[0][0] <= len(out) - begin:
-                _, x, j = heapq.heappop(waiting)
-                heapq.heappush(ready, (-(-j * gap[x].numerator // gap[x].denominator), x, j))
-            _, x, j = heapq.heappop(ready)
+                _, at, j = heapq.heappop(waiting)
+                heapq.heappush(ready, (-(-j * total // share[order[at]]), at, j))
+            if fresh < len(order) and (not ready or (-(-total // share[order[fresh]]), fresh, 1) < ready[0]):
+                at, j, fresh = fresh, 1, after[fresh]
+            else:
+                _, at, j = heapq.heappop(ready)
+            x = order[at]
             out.append((x, done[x], phase, len(out)))
             done[x] += 1
             if done[x] == blocks[x]:
                 break
-            heapq.heappush(waiting, (max(j * gap[x].numerator // gap[x].denominator, len(out) - begin), x, j + 1))
+            heapq.heappush(waiting, (j * total // share[x], at, j + 1))
+        total -= share[x]
+        if at == first:
+            first = after[at]
+        else:
+            after[before[at]] = after[at]
+        before[after[at]] = before[at]
         phase += 1
+        if period is not None and all(done[y] == blocks[y] for y in order):
+            break
     return out
 
 
-def mix_sources(docs: DataFrame, weights: dict[str, float] | None = None, block_docs: int = BLOCK_DOCS, period: int | None = None, id_col: str = "doc_id", source_col: str = "source") -> DataFrame:
-    """doc_id, source, block (from 0), within, phase, slot of every row.
-
-    slot orders blocks (blocks of equal slots do not exist); within orders a block's rows.
-    weights: by source, default size to the power TEMPERATURE; sources without a weight get
-    the least one. A null source is a source of its own. Rows of a source are taken in id
-    order (null first); repeated ids in any order. The driver sees one row per source and
-    range and plans one slot per block, so its memory grows with rows / block_docs; a source
-    that holds most rows is numbered by ranges of its ids, so no task gets all of it.
-    period: None for exact targets, else they are rounded to whole blocks of so many slots."""
+def _placed(docs: DataFrame, weights: dict[str, float] | None, block_docs: int | None, period: int | None, id_col: str, source_col: str, tie: Column, max_blocks: int) -> DataFrame:
+    """doc_id, source, tie, block, within, phase, slot of every row; rows of a source in the
+    order of id and tie."""
     spark = docs.sparkSession
     name = F.coalesce(F.concat(F.lit("="), F.col(source_col).cast("string")), F.lit("?"))
-    rows = stage(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), name.alias("name"), order_key(id_col).alias("k")), "mix-rows")
+    rows = stage(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(source_col).cast("string").alias("source"), name.alias("name"), order_key(id_col).alias("k"), tie.alias("tie")), "mix-rows")
     n = rows.count()
-    bounds = key_bounds(rows, "k", bucket_count(n, partitions(spark)))
-    dealt = rows.withColumn("range", bucket_of(F.col("k"), bounds))
+    # The top 52 bits of the tie as a share: what is less there is less in the tie.
+    part = (F.shiftright("tie", 12) + F.lit(1 << 51)) / F.lit(2.0**52)
+    dealt = rows.withColumn("range", range_of(rows, "k", bucket_count(n, partitions(spark)), part))
     totals = dealt.groupBy("name", "range").agg(F.count("*").alias("n"))
     offsets = totals.select("name", "range", F.coalesce(F.sum("n").over(Window.partitionBy("name").orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
-    inside = Window.partitionBy("range", "name").orderBy("k", "doc_id")
+    inside = Window.partitionBy("range", "name").orderBy("k", "tie")
     numbered = dealt.withColumn("i", F.row_number().over(inside)).join(offsets, ["name", "range"])
-    numbered = numbered.withColumn("i", F.col("i") + F.col("before") - 1).withColumn("block", F.floor(F.col("i") / block_docs))
-
-    sizes = {r["name"]: r["n"] for r in totals.groupBy("name").agg(F.sum("n").alias("n")).collect()}
+    sizes = {r["name"]: r["n"] for r in totals.groupBy("name").agg(F.sum("n").alias("n")).collect()}  # a row per source
+    size = block_docs or max(BLOCK_DOCS, -(-n // max_blocks))
+    numbered = numbered.withColumn("i", F.col("i") + F.col("before") - 1).withColumn("block", F.floor(F.col("i") / size))
     if weights:
         given = {"=" + k if k is not None else "?": v for k, v in weights.items()}
         least = min(given.values())
         target = {x: given.get(x, least) for x in sizes}
     else:
         target = {x: c**TEMPERATURE for x, c in sizes.items()}
-    plan = plan_blocks({x: -(-c // block_docs) for x, c in sizes.items()}, target, period)
+    plan = plan_blocks({x: -(-c // size) for x, c in sizes.items()}, target, period)
     slots = spark.createDataFrame(plan, "name string, block long, phase int, slot long")
     placed = numbered.join(slots, ["name", "block"])
-    return placed.select("doc_id", "source", "block", (F.col("i") % block_docs).cast("int").alias("within"), "phase", "slot")
+    return placed.select("doc_id", "source", "tie", "block", (F.col("i") % size).cast("int").alias("within"), "phase", "slot")
 
 
-def mixed_order(docs: DataFrame, **options) -> DataFrame:
-    """The same rows and columns, stored order being the mix (blocks by slot)."""
-    id_col = options.get("id_col", "doc_id")
-    places = mix_sources(docs, **options).select(F.col("doc_id").alias("__id"), F.col("slot").alias("__slot"), F.col("within").alias("__within")).groupBy("__id").agg(F.min("__slot").alias("__slot"), F.min("__within").alias("__within"))
-    placed = docs.join(places, docs[id_col].eqNullSafe(places["__id"]))
-    return placed.sort("__slot", "__within").select(*[docs[c] for c in docs.columns])
+def mix_sources(docs: DataFrame, weights: dict[str, float] | None = None, block_docs: int | None = None, period: int | None = None, id_col: str = "doc_id", source_col: str = "source", max_blocks: int = MAX_BLOCKS) -> DataFrame:
+    """doc_id, source, block (from 0), within, phase, slot of every row.
+
+    slot orders blocks (blocks of equal slots do not exist); within orders a block's rows.
+    weights: by source, above zero; default size to the power TEMPERATURE; sources without a
+    weight get the least one. A null source is a source of its own. Rows of a source are taken
+    in id order (null first); rows of equal ids in any order. Empty input: no rows. The driver
+    sees one row per source and range and plans one slot per block; block_docs None gives
+    blocks of BLOCK_DOCS rows, or larger ones so that there are about max_blocks. A source, or
+    a null id, that holds most rows is numbered by ranges, so no task gets all of it.
+    period: None for exact targets, else they are rounded to whole blocks of so many slots."""
+    spread = F.xxhash64(F.spark_partition_id(), F.monotonically_increasing_id())  # rows of one id are interchangeable
+    return _placed(docs, weights, block_docs, period, id_col, source_col, spread, max_blocks).drop("tie")
+
+
+def mixed_order(docs: DataFrame, weights: dict[str, float] | None = None, block_docs: int | None = None, period: int | None = None, id_col: str = "doc_id", source_col: str = "source", max_blocks: int = MAX_BLOCKS) -> DataFrame:
+    """The same rows and columns, stored order being the mix (blocks by slot). Options as in
+    mix_sources; rows with equal id, source and other columns share a place."""
+    tie = F.xxhash64(*[c for c in docs.columns if "map<" not in docs.schema[c].dataType.simpleString()])  # maps have no hash
+    places = _placed(docs, weights, block_docs, period, id_col, source_col, tie, max_blocks)
+    places = places.groupBy(F.col("doc_id").alias("__id"), F.col("tie").alias("__tie")).agg(F.min(F.struct("slot", "within")).alias("__place"))
+    known = docs.withColumns({"__id2": F.col(id_col).cast("long"), "__tie2": tie, "__row": F.monotonically_increasing_id()})
+    placed = known.join(places, F.col("__id2").eqNullSafe(F.col("__id")) & (F.col("__tie2") == F.col("__tie")))
+    return placed.sort("__place.slot", "__place.within", "__row").select(*[docs[c] for c in docs.columns])

@@ -10,22 +10,23 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from supplyrisk.llm.common import bucket_count, bucket_of, key_bounds, partitions, stage
+from supplyrisk.llm.common import bucket_count, partitions, range_of, stage
 
 
-def prefix_sums(rows: DataFrame, key: str, sums: dict[str, str], ties: list[Column | str] = ()) -> DataFrame:
+def prefix_sums(rows: DataFrame, key: str, sums: dict[str, str], ties: list[Column | str], part: Column) -> DataFrame:
     """rows with, for each (name, column) of sums, the sum over all rows before it.
 
-    rows must be cheap to read twice (staged) and narrow. Order: key (a long, not null), then ties."""
+    rows must be cheap to read twice (staged) and narrow. Order: key (a long, not null), then
+    ties. part: from 0 to below 1, not falling in the order of the ties, by which rows of one
+    frequent key are cut into several ranges."""
     spark = rows.sparkSession
     n = rows.count()
-    bounds = key_bounds(rows, key, bucket_count(n, partitions(spark)))
-    dealt = rows.withColumn("__range", bucket_of(F.col(key), bounds))
+    dealt = rows.withColumn("__range", range_of(rows, key, bucket_count(n, partitions(spark)), part))
     totals = dealt.groupBy("__range").agg(*[F.sum(c).alias(f"__t_{name}") for name, c in sums.items()])
     before = Window.orderBy("__range").rowsBetween(Window.unboundedPreceding, -1)
     offsets = totals.select("__range", *[F.coalesce(F.sum(f"__t_{name}").over(before), F.lit(0)).alias(f"__o_{name}") for name in sums])
     inside = Window.partitionBy("__range").orderBy(key, *ties).rowsBetween(Window.unboundedPreceding, -1)
-    placed = dealt.join(F.broadcast(offsets), "__range")  # one row per range, len(bounds) + 1 at most
+    placed = dealt.join(F.broadcast(offsets), "__range")  # one row per range, MAX_BUCKETS and their cuts at most
     placed = placed.withColumns({name: F.col(f"__o_{name}") + F.coalesce(F.sum(c).over(inside), F.lit(0)) for name, c in sums.items()})
     return placed.drop("__range", *[f"__o_{name}" for name in sums])
 
@@ -62,7 +63,7 @@ def shard_documents(docs: DataFrame, shards: int = 16, id_col: str = "doc_id", t
         F.lit(1).cast("long").alias("one"),
     )
     rows = stage(narrow, "shard-rows")
-    placed = prefix_sums(rows, "place", {"start": "size", "number": "one"}, ties=["doc_id", "text_crc32", "size"])
+    placed = prefix_sums(rows, "place", {"start": "size", "number": "one"}, ties=["doc_id", "text_crc32", "size"], part=F.col("text_crc32") / 2.0**32)
     total = rows.agg(F.coalesce(F.sum("size"), F.lit(1)).alias("total"))
     cut = placed.crossJoin(F.broadcast(total)).withColumn("shard", F.least(F.lit(shards - 1), F.floor((F.col("start") + F.col("size") / 2) * shards / F.col("total"))).cast("int"))
     first = cut.groupBy("shard").agg(F.min("number").alias("first"))
