@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, else the context's checkpoint folder, else (tests) a local one."""
+    """spark.checkpoint.dir, else the context's checkpoint folder, else a local one, on a local
+    master only: executors of a cluster do not see the driver's folders."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
@@ -19,12 +20,20 @@ def shared_dir(spark: SparkSession) -> str:
     at = sc._jsc.sc().getCheckpointDir()
     if at.isDefined():
         return at.get()
+    if sc.master != "local" and not sc.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
     local = tempfile.mkdtemp(prefix="supplyrisk-checkpoint-")
     atexit.register(shutil.rmtree, local, ignore_errors=True)
     sc.setCheckpointDir(f"file://{local}")
     return f"file://{local}"
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    """Delete a folder on whatever file system its path names."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 class Staged:
     """A DataFrame written to the shared folder; reading it again does no work twice.
 
@@ -43,9 +52,7 @@ class Staged:
 
     def drop(self) -> None:
         """Delete the files; only once nothing lazy reads them any more."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        delete(self.spark, self.path)
 
 
 def stage(df: DataFrame, label: str) -> DataFrame:
