@@ -8,10 +8,10 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from supplyrisk.plans.staging import Staged, partitions, shared_dir, stage
+from supplyrisk.plans.staging import Staged, delete, partitions, shared_dir, stage
 from supplyrisk.sources.tables import table
 
-__all__ = ["Staged", "bucket_count", "bucket_of", "key_bounds", "order_key", "partitions", "range_of", "shared_dir", "stage", "table"]
+__all__ = ["Staged", "bucket_count", "bucket_of", "delete", "key_bounds", "order_key", "partitions", "range_of", "shared_dir", "stage", "table"]
 
 #: Rows of a narrow table that one range bucket should hold, and the most buckets there are
 #: (their bounds are part of the plan).
