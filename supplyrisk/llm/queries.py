@@ -136,7 +136,10 @@ SELECT doc_id, (len(h) // 2)::BIGINT AS n_bytes, coalesce(n, 0)::BIGINT AS n_rem
 
 _LINES_SQL = f"""WITH d AS MATERIALIZED (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS lines FROM documents),
 l AS (SELECT doc_id, lines, i, ('0x' || substr(md5(lines[i]), 1, 7))::BIGINT AS h FROM (SELECT doc_id, lines, unnest(range(1, len(lines) + 1)) AS i FROM d)),
-e AS (SELECT doc_id, lines, i FROM (SELECT *, (h + coalesce(lag(h) OVER (PARTITION BY doc_id ORDER BY i), 0) * {line_dedup.ROLL}) % {line_dedup.CHUNK_LINES} = 0 OR i = len(lines) AS ends FROM l) WHERE ends),
+m AS (SELECT doc_id, 0 AS i FROM d UNION ALL SELECT doc_id, i FROM (SELECT *, (h + coalesce(lag(h) OVER (PARTITION BY doc_id ORDER BY i), 0) * {line_dedup.ROLL}) % {line_dedup.MIXER} % {line_dedup.CHUNK_LINES} = 0 AS marked FROM l) WHERE marked),
+a AS (SELECT doc_id, i FROM (SELECT *, row_number() OVER (PARTITION BY doc_id, island ORDER BY i) AS nth FROM (SELECT *, i - row_number() OVER (PARTITION BY doc_id ORDER BY i) AS island FROM m)) WHERE nth % 2 = 1),
+g AS (SELECT doc_id, unnest(range(i, greatest(i, n - {line_dedup.MIN_LINES}) + 1, {line_dedup.MAX_LINES})) AS i FROM (SELECT doc_id, i, coalesce(lead(i) OVER (PARTITION BY doc_id ORDER BY i), len(lines)) AS n FROM a JOIN d USING (doc_id))),
+e AS (SELECT DISTINCT doc_id, lines, i FROM (SELECT doc_id, i FROM g WHERE i > 0 UNION ALL SELECT doc_id, len(lines) FROM d) JOIN d USING (doc_id)),
 c AS MATERIALIZED (SELECT doc_id, first, i AS past, array_to_string(lines[first + 1 : i], chr(10)) AS text FROM (SELECT *, coalesce(lag(i) OVER (PARTITION BY doc_id ORDER BY i), 0) AS first FROM e)),
 r AS (SELECT *, past - first >= {line_dedup.MIN_LINES} AND trim(text) <> '' AND row_number() OVER (PARTITION BY text, past - first >= {line_dedup.MIN_LINES} ORDER BY doc_id, first) > 1 AS gone FROM c)
 SELECT doc_id, max(past)::INT AS n_lines, count(*) FILTER (gone)::INT AS removed_chunks, coalesce(sum(past - first) FILTER (gone), 0)::INT AS removed_lines, md5(coalesce(string_agg(text, chr(10) ORDER BY first) FILTER (NOT gone), '')) AS kept_md5 FROM r GROUP BY doc_id"""

@@ -14,15 +14,20 @@ def _hash(line):
 
 
 def chunks_of(text):
+    """By walking: a mark two lines at least after the last mark that counted, the start being
+    one; then further ends after every MAX_LINES lines."""
     lines = text.split("\n")
     hs = [_hash(x) for x in lines]
-    out, start = [], 0
+    marks, last = [0], 0
     for i, h in enumerate(hs):
-        before = hs[i - 1] if i else 0
-        if (h + before * line_dedup.ROLL) % line_dedup.CHUNK_LINES == 0 or i == len(lines) - 1:
-            out.append((start, i + 1))
-            start = i + 1
-    return lines, out
+        if (h + (hs[i - 1] if i else 0) * line_dedup.ROLL) % line_dedup.MIXER % line_dedup.CHUNK_LINES == 0 and i + 1 - last >= 2:
+            last = i + 1
+            marks.append(last)
+    ends = set()
+    for a, b in zip(marks, [*marks[1:], len(lines)], strict=True):
+        ends |= {e for e in range(a, b - line_dedup.MIN_LINES + 1, line_dedup.MAX_LINES) if e > 0} | ({a} - {0})
+    cuts = sorted(ends | {len(lines)})
+    return lines, list(zip([0, *cuts[:-1]], cuts, strict=True))
 
 
 def brute_lines(rows):
@@ -56,7 +61,7 @@ def test_line_chunks_match_brute_force(spark):
         for _ in range(rng.randrange(1, 5)):
             lines += rng.choice(stock) if rng.random() < 0.6 else [f"own {rng.random()}" for _ in range(3)]
         rows.append((i, "\n".join(lines)))
-    rows += [(None, rows[0][1]), (100, None), (101, ""), (102, "\n\n\n\n\n")]
+    rows += [(None, rows[0][1]), (100, None), (101, ""), (102, "\n\n\n\n\n"), (103, "\n".join(["same"] * 100)), (104, "x\n" * 50 + "\n".join(["same"] * 40)), (7, rows[7][1]), (105, " \n \n ")]
     df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 AS lines", "2 AS k")
     got = sorted((tuple(r) for r in line_dedup.dedup_lines(df).collect()), key=repr)
     want = sorted(brute_lines(rows), key=repr)
@@ -65,6 +70,28 @@ def test_line_chunks_match_brute_force(spark):
     assert line_dedup.dedup_lines(df.limit(0)).count() == 0
 
 
+def test_chunks_of_equal_lines_and_of_all_texts():
+    rng = random.Random(2)
+    for n in (1, 2, 3, 7, 40, 300):
+        for alphabet in ("a", "ab", "abcdefghij"):
+            text = "\n".join(rng.choice(alphabet) for _ in range(n))
+            want = [b - 1 for _, b in chunks_of(text)[1]]
+            assert line_dedup.chunk_ends(text.encode().split(b"\n")).tolist() == want
+            sizes = [b - a for a, b in chunks_of(text)[1]]
+            assert all(x >= line_dedup.MIN_LINES for x in sizes[:-1])
+    for line in "abcdefgh":  # most of a run of one line falls into equal chunks
+        chunks = ["\n".join([line] * (b - a)) for a, b in chunks_of("\n".join([line] * 200))[1]]
+        assert len(set(chunks)) <= 3
+
+
+def test_lines_of_a_megabyte(spark):
+    rng = random.Random(5)
+    long = "\n".join(f"line {rng.random()}" for _ in range(60_000))
+    rows = [(1, long), (2, long + "\nmore"), (3, "\n" * 1_000_000)]
+    got = {r.doc_id: (r.n_lines, r.removed_lines) for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1] == (60_000, 0) and got[2][1] > 59_980 and got[3][1] > 999_900
+
+
 def test_boundaries_resist_shifts():
     rng = random.Random(5)
     lines = [f"{rng.random()}" for _ in range(200)]
