@@ -1,7 +1,8 @@
 """Toxicity by a weighted lexicon matched with Aho-Corasick.
 
 Texts are folded first: lower case, look-alike letters to Latin, digits and signs that
-stand for letters to those letters, invisible characters out. Terms (whole words or word
+stand for letters to those letters (in words that have a letter; a 1 is tried as i and as
+l), invisible characters out. Terms (whole words or word
 beginnings) carry weights; a hit inside an exception phrase does not count. The sum of
 weights is divided by a slowly growing function of the text's length, damped, and a
 logistic curve turns it to a score.
@@ -27,7 +28,7 @@ from pyspark.sql import functions as F
 #: Bound on labelled rows that the lexicon and the curve are fitted on.
 SAMPLE_ROWS = 12_000
 #: A learnt term needs this G-test value, this share of its documents toxic, and this share of toxic documents.
-MIN_G, MIN_PRECISION, MIN_SHARE = 24.0, 0.3, 0.01
+MIN_G, MIN_PRECISION, MIN_SHARE = 24.0, 2 / 3, 0.01
 #: Lengths of word beginnings that are tried as terms.
 STEMS = range(3, 11)
 #: Terms whose counts a task holds before it passes them on.
@@ -44,21 +45,54 @@ SEED_TERMS = {
     "crétin": 3.0, "salaud": 3.5, "connard": 4.0, "merde": 3.5, "putain": 3.0, "débile": 2.5,
     "arschloch": 4.0, "scheiße": 3.5, "dummkopf": 3.0, "abschaum": 3.0, "trottel": 3.0, "hurensohn": 4.0,
 }
-EXCEPTIONS = ("trash can", "trash bin", "trash bag", "trash collection", "class clown fish", "clown fish", "clown college", "pond scum", "soap scum", "loser bracket", "sore loser rule", "not stupid", "shit happens")
+EXCEPTIONS = (
+    "trash can", "trash bin", "trash bag", "trash collection", "class clown fish", "clown fish", "clown college", "pond scum", "soap scum", "loser bracket", "sore loser rule", "not stupid", "shit happens",
+    "cubo de basura", "bolsa de basura", "camión de basura", "recogida de basura", "basura orgánica", "basura espacial", "comida basura", "correo basura",
+    "poisson clown", "clown de cirque", "nez de clown", "courant débile", "lumière débile",
+    "clown im zirkus", "trottel der nacht", "abschaum beim kochen", "abschaum der suppe",
+)
 HOMOGLYPHS = {
     "а": "a", "е": "e", "о": "o", "р": "p", "с": "c", "у": "y", "х": "x", "і": "i", "ј": "j", "ѕ": "s", "к": "k", "м": "m", "т": "t", "в": "b", "н": "h",
     "α": "a", "ε": "e", "ο": "o", "ρ": "p", "ι": "i", "κ": "k", "ν": "v", "τ": "t", "υ": "u", "χ": "x", "ı": "i", "ɑ": "a", "ⅼ": "l", "ⅰ": "i", "ο": "o",
-    "0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "a", "$": "s",
     "​": "", "‌": "", "‍": "", "⁠": "", "﻿": "", "­": "",
 }
 _FOLD = str.maketrans(HOMOGLYPHS | {chr(0xFF21 + i): chr(97 + i) for i in range(26)} | {chr(0xFF41 + i): chr(97 + i) for i in range(26)})
+# Digits and signs that stand for letters, each inside a word with a letter.
+_SIGNS = {"0": "o", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "|": "l"}
+_AS_I, _AS_L = (str.maketrans(_SIGNS | {"1": x, "!": x}) for x in "il")
 _WORD = re.compile(r"[^\W\d_]+")
-_TAME = re.compile(r"[^\x00-\x7f]|[0-9@$]")
+_FOREIGN = re.compile(r"[^\x00-\x7f]")
+_SIGN = re.compile(r"[0-9@$!|]")
+_SIGNED = re.compile(r"(?<![\w@$!|])[\w@$!|]*[0-9@$!|][\w@$!|]*")
 
 
-def fold(text: str) -> str:
+def _one_reading(low: str, as_l: bool) -> str:
+    table = _AS_L if as_l else _AS_I
+
+    def read(m: re.Match) -> str:
+        word = m[0]
+        body = word.rstrip("!|")  # signs that end a word are not part of it
+        return body.translate(table) + word[len(body) :] if _WORD.search(body) else word
+
+    return _SIGNED.sub(read, low)
+
+
+def folds(text: str) -> list[str]:
+    """The folded text; a second one of the same length if a 1 or ! may be an l as well."""
     low = text.lower()
-    return low.translate(_FOLD) if _TAME.search(low) else low
+    if _FOREIGN.search(low):
+        low = low.translate(_FOLD)
+    if not _SIGN.search(low):
+        return [low]
+    first = _one_reading(low, False)
+    if "1" not in low and "!" not in low:
+        return [first]
+    other = _one_reading(low, True)
+    return [first] if other == first else [first, other]
+
+
+def fold(text: str) -> str:
+    return folds(text)[0]
 
 
 @dataclass
@@ -94,22 +128,32 @@ class ToxicityModel:
         """Log of one plus the sum of weights over the length norm; a word counts for its best term."""
         if not text or not (matcher := self.matcher()):
             return 0.0
-        s = fold(text)
         hits: dict[int, float] = {}
         tame: list[tuple[int, int]] = []
-        for end, found in matcher.iter(s):
-            for kind, size, w in found:
-                start = end - size + 1
-                if start and s[start - 1].isalpha():
-                    continue
-                if kind != "stem" and end + 1 < len(s) and s[end + 1].isalpha():
-                    continue
-                if kind == "exception":
-                    tame.append((start, end))
-                else:
-                    hits[start] = max(w, hits.get(start, -math.inf))
-        total = sum(w for at, w in hits.items() if not any(a <= at <= b for a, b in tame))
-        return math.log1p(max(0.0, total) / (1.0 + math.log1p(len(s) / (6.0 * NORM_WORDS)) / 4.0))
+        readings = folds(text)
+        for s in readings:
+            for end, found in matcher.iter(s):
+                for kind, size, w in found:
+                    start = end - size + 1
+                    if start and s[start - 1].isalpha():
+                        continue
+                    if kind != "stem" and end + 1 < len(s) and s[end + 1].isalpha():
+                        continue
+                    if kind == "exception":
+                        tame.append((start, end))
+                    else:
+                        hits[start] = max(w, hits.get(start, -math.inf))
+        if tame:  # one sweep over both in order
+            tame.sort()
+            at, reach = 0, -1
+            for start in sorted(hits):
+                while at < len(tame) and tame[at][0] <= start:
+                    reach = max(reach, tame[at][1])
+                    at += 1
+                if start <= reach:
+                    del hits[start]
+        total = sum(hits.values())
+        return math.log1p(max(0.0, total) / (1.0 + math.log1p(len(readings[0]) / (6.0 * NORM_WORDS)) / 4.0))
 
     def score(self, text: str | None) -> float:
         z = self.bias + self.slope * self.weigh(text)
@@ -211,7 +255,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, train=None, sample_rows: int = SA
         yield from flush()
 
     counted = sample.select("text", "label").mapInArrow(count, "term string, t long, c long").groupBy("term").agg(F.sum("t").alias("t"), F.sum("c").alias("c"))
-    got = {r["term"]: (r["t"], r["c"]) for r in counted.where("t >= 4 and t >= 2 * c or term = ''").collect()}
+    got = {r["term"]: (r["t"], r["c"]) for r in counted.where(F.expr("t >= 4") & (F.col("t") >= MIN_PRECISION * (F.col("t") + F.col("c"))) | (F.col("term") == "")).collect()}
     nt, nc = got.pop("", (0, 0))
     words, stems = choose_terms([(x, *tc) for x, tc in got.items()], nt, nc)
     model = ToxicityModel(SEED_TERMS | words, stems)
@@ -239,14 +283,11 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id"
 
 
 def drop_toxic(docs: DataFrame, model: ToxicityModel, at_least: float = 0.5, text_col: str = "text") -> DataFrame:
-    """The rows whose score is below at_least, with their own columns only."""
-
-    columns = docs.columns
-    own = docs.select("*", F.col(text_col).cast("string").alias("__text"))
+    """The rows whose score is below at_least, with their own columns only. Only the text goes
+    to Python; null and empty texts get the curve's lowest score; repeated rows repeat."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = [model.score(x.as_py()) < at_least for x in batch.column(batch.schema.get_field_index("__text"))]
-            yield batch.select(columns).filter(pa.array(keep, pa.bool_()))
+    @F.arrow_udf("double")
+    def score(text: pa.Array) -> pa.Array:
+        return pa.array([model.score(x.as_py()) for x in text], pa.float64())
 
-    return own.mapInArrow(run, docs.schema)
+    return docs.where(score(F.col(text_col).cast("string")) < at_least)

@@ -7,6 +7,7 @@ import json
 import random
 import re
 import struct
+import zlib
 
 import numpy as np
 import pytest
@@ -343,6 +344,71 @@ def test_toxicity_matching():
     assert 0 < m.score("") < 0.5 < m.score("idiot clown")
 
 
+def test_toxicity_folding_and_exceptions():
+    m = toxicity.ToxicityModel({"idiot": 3.0, "loser": 2.0, "zebra": 2.0, "big": 1.0, "basura": 1.5, "ass": 2.0, "clown": 1.0}, {})
+    assert m.weigh("1o5er") == m.weigh("l0$er") == m.weigh("!oser") == m.weigh("|oser") == m.weigh("loser")
+    assert m.weigh("you !d!ot") == m.weigh("you idiot") and m.weigh("idiot!!") == m.weigh("idiot.!") > 0
+    assert m.weigh("2e8ra") == m.weigh("zebra") and m.weigh("8i9") == m.weigh("8i6") == m.weigh("big") > 0
+    assert m.weigh("455 and 2024!") == 0 < m.weigh("a55")
+    assert m.weigh("el cubo de basura") == 0 < m.weigh("eres basura") and m.weigh("un poisson clown") == 0
+    words, stems = toxicity.choose_terms([("kept ", 60, 25), ("less ", 60, 40)], 100, 9000)
+    assert set(words) == {"kept"} and toxicity.MIN_PRECISION == 2 / 3
+
+    def slow(text):
+        hits, tame = {}, []
+        for s in toxicity.folds(text):
+            for term, w in m.words.items():
+                for at in range(len(s)):
+                    if s.startswith(term, at) and not (at and s[at - 1].isalpha()) and not s[at + len(term) : at + len(term) + 1].isalpha():
+                        hits[at] = max(w, hits.get(at, 0))
+            for phrase in m.exceptions:
+                for at in range(len(s)):
+                    if s.startswith(phrase, at) and not (at and s[at - 1].isalpha()) and not s[at + len(phrase) : at + len(phrase) + 1].isalpha():
+                        tame.append((at, at + len(phrase) - 1))
+        total = sum(w for at, w in hits.items() if not any(a <= at <= b for a, b in tame))
+        return np.log1p(total / (1.0 + np.log1p(len(toxicity.fold(text)) / (6.0 * toxicity.NORM_WORDS)) / 4.0))
+
+    rng = random.Random(4)
+    pieces = ["idiot", "1oser", "loser bracket", "clown", " fish", "clown fish", "basura", "cubo de ", " ", "! ", "x", "@ss", "8ig", "é", ". "]
+    for _ in range(300):
+        text = "".join(rng.choice(pieces) for _ in range(rng.randrange(0, 14)))
+        assert abs(m.weigh(text) - slow(text)) < 1e-12
+
+
+def test_toxicity_of_very_long_texts_is_linear():
+    m = toxicity.ToxicityModel({"trash": 2.0, "idiot": 3.0}, {})
+    assert m.weigh("idiot trash can " * 100_000) > 0 == m.weigh("trash can " * 100_000)  # seconds, not hours
+    assert m.weigh("a" * 1_000_000 + "1" + "!" * 100_000) == 0
+
+
+def test_toxicity_query_against_brute_force(spark, tmp_path):
+    """All rows of the query: fold, score of the fitted model, prediction; repeats, nulls, clashes."""
+    base = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{base}/documents.parquet").withColumn("score", F.lit(1)).withColumn("label", F.lit(2))
+    extra = spark.createDataFrame([(9_000_001, None), (9_000_002, ""), (9_000_003, "you idiot " * 5), (9_000_003, "you idiot " * 5)], "doc_id long, text string")
+    docs.unionByName(extra, allowMissingColumns=True).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.read.parquet(f"{base}/labels.parquet").write.parquet(f"{tmp_path}/labels.parquet")
+    got = sorted(tuple(r) for r in queries.op7_toxicity(spark, str(tmp_path)).collect())
+    rows = spark.read.parquet(f"{tmp_path}/documents.parquet").select("doc_id", "text").collect()
+    labels = {r.doc_id: r.toxic for r in spark.read.parquet(f"{base}/labels.parquet").collect() if zlib.crc32(str(r.doc_id).encode()) % 5}
+    text = {r.doc_id: r.text for r in rows if r.doc_id in labels and r.text is not None}
+    one = {}
+    for i in sorted(text):
+        one.setdefault(text[i], labels[i])
+    counts, n = {}, [0, 0]
+    for t, y in one.items():
+        n[y] += 1
+        for term in toxicity._terms_of(t):
+            counts.setdefault(term, [0, 0])[y] += 1
+    words, stems = toxicity.choose_terms([(x, t, c) for x, (c, t) in counts.items() if t >= 4], n[1], n[0])
+    model = toxicity.ToxicityModel(toxicity.SEED_TERMS | words, stems)
+    x = np.array([model.weigh(t) for t in one])
+    model.bias, model.slope = toxicity._fit_curve(x, np.array([*one.values()], float))
+    want = sorted((r.doc_id, zlib.crc32(str(r.doc_id).encode()) % 5 == 0, model.score(r.text), int(model.score(r.text) >= 0.5)) for r in rows)
+    assert [(a, b, d) for a, b, _, d in got] == [(a, b, d) for a, b, _, d in want]
+    assert np.allclose([r[2] for r in got], [r[2] for r in want], atol=1e-9)
+
+
 def test_toxicity_without_labels_and_odd_columns(spark):
     docs = spark.createDataFrame([(1, "idiot moron"), (2, None), (None, "")], "doc_id long, text string").selectExpr("*", "1 AS score", "2 AS label")
     labels = spark.createDataFrame([], "doc_id long, toxic int")
