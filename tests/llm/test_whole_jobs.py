@@ -1,6 +1,7 @@
 """What the reviewed cuts lost, on small inputs."""
 
 import base64
+import hashlib
 import random
 from collections import Counter
 from itertools import combinations
@@ -8,7 +9,10 @@ from itertools import combinations
 import numpy as np
 import pytest
 
-from supplyrisk.llm import mixing, secrets, simhash
+from pyspark.sql import functions as F
+
+from supplyrisk.llm import mixing, queries, secrets, simhash
+from tests.llm.test_text_operators import base_spans
 
 
 # --- near duplicates of the pipeline --------------------------------------------------------
@@ -167,3 +171,60 @@ def test_near_groups_of_odd_rows(spark):
     assert simhash.keep_representatives(df.limit(0)).count() == 0
     twice = spark.createDataFrame([(1, "x y"), (1, "x y"), (2, "z")], "doc_id long, text string")
     assert sorted(r.doc_id for r in simhash.keep_representatives(twice).collect()) == [1, 2]
+
+
+def _rsa(rng):
+    tlv = lambda tag, body: bytes([tag, 0x82]) + len(body).to_bytes(2, "big") + body
+    return tlv(0x30, b"\x02\x01\x00" + b"".join(tlv(0x02, b"\x01" + rng.randbytes(n)) for n in (256, 3, 256, 128, 128, 128, 128, 128)))
+
+
+def test_upper_case_nested_and_encrypted_keys():
+    rng = random.Random(12)
+    key = _rsa(rng)
+    kinds = lambda text: [s[0] for s in secrets.find_spans(text)]
+    assert kinds("x " + key.hex().upper() + " y") == ["der"] and kinds("x " + key.hex().upper()[:-2]) == []
+    b64 = lambda x: base64.b64encode(x).decode()
+    once, twice = b64(b64(key).encode()), b64(b64(b64(key).encode()).encode())
+    pem = f"-----BEGIN RSA PRIVATE KEY-----\n{b64(key)}\n-----END RSA PRIVATE KEY-----\n"
+    for run in (once, twice, b64(pem.encode())):
+        assert secrets.find_spans(f"data: {run}.") == [("der", 6, 6 + len(run))]
+    assert kinds(b64(b64(key[:-1]).encode())) == [] and kinds(b64(b64(b64(b64(key).encode()).encode()).encode())) == []
+    block = lambda head, body, kind="RSA PRIVATE KEY": f"-----BEGIN {kind}-----\n{head}{body}\n-----END {kind}-----"
+    dek = "Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,00112233445566778899AABBCCDDEEFF\n\n"
+    assert kinds(block(dek, b64(rng.randbytes(640)))) == ["pem"]
+    assert kinds(block(dek, b64(rng.randbytes(641)))) == [] == kinds(block("Proc-Type: 4,ENCRYPTED\n\n", b64(rng.randbytes(640)))) == kinds("ENCRYPTED " + block("", "A" * 8))
+    oid = b"\x30\x0b\x06\x09\x2a\x86\x48\x86\xf7\x0d\x01\x05\x0d"
+    sealed = oid + b"\x04\x81\x80" + rng.randbytes(128)
+    whole = b"\x30\x81" + bytes([len(sealed)]) + sealed
+    assert kinds(block("", b64(whole), "ENCRYPTED PRIVATE KEY")) == ["pem"] and kinds(block("", b64(whole[:-1]), "ENCRYPTED PRIVATE KEY")) == []
+    two = "-----BEGIN RSA PRIVATE KEY-----\nnothing\n" + pem + " and " + pem
+    assert kinds(two).count("pem") == 2  # a body on one line is a bare run as well
+
+
+def test_hostile_texts_take_linear_time():
+    marks = "-----BEGIN RSA PRIVATE KEY-----\n" * 40_000
+    assert secrets.find_spans(marks) == [] and secrets.find_spans(marks + "-----END EC PRIVATE KEY-----\n" * 40_000) == []
+    assert secrets.find_spans("M" * 1_000_000) == secrets.find_spans("/MIIE" * 200_000) == []
+    assert len(secrets.find_spans("ab12" * 300_000)) == 1
+
+
+def test_secret_query_against_brute_force(spark, tmp_path):
+    """Every column of every row of the query, on the table and on odd rows."""
+    rng = random.Random(5)
+    key = base64.b64encode(_rsa(rng)).decode()
+    rows = [(1, None), (2, ""), (None, "token=abcdefgh1"), (3, f"k={key}"), (3, f"k={key}"), (4, "é\U0001f600 password: 'x9x9x9x9x9' AKIA" + "A1" * 8 + " " + "0f" * 20)]
+    base = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    docs = base.union(spark.createDataFrame([(None if i is None else i + 10**9, t) for i, t in rows], "doc_id long, text string"))
+    docs.withColumn("spans", F.lit("x")).withColumn("kind", F.lit(1)).write.parquet(f"{tmp_path}/documents.parquet")
+    got = Counter(tuple(r) for r in queries.op10_secrets(spark, str(tmp_path)).collect())
+    want = Counter()
+    for r in docs.collect():
+        text = r.text or ""
+        spans = base_spans(text)
+        more = spans + [("der", 2, 2 + len(key))] * (f"k={key}" == text)
+        joined = lambda x: ",".join(f"{k}:{a}:{b}" for k, a, b in x)
+        n = Counter(k for k, _, _ in spans)
+        want[(r.doc_id, n["assign"], n["access"], n["hex"], hashlib.sha256(joined(spans).encode()).hexdigest(), joined(sorted(more, key=lambda x: (x[1], secrets.KINDS.index(x[0])))))] += 1
+    structural = [r for r in got if any(k in r[5] for k in ("pem:", "der:", "jwt:"))]
+    assert Counter({r[:5]: n for r, n in got.items()}) == Counter({r[:5]: n for r, n in want.items()})
+    assert {r for r in got if r not in structural} == {r for r in want if "der:" not in r[5]} and (10**9 + 3) in {r[0] for r in structural}
