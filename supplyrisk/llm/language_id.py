@@ -31,7 +31,8 @@ VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 SAMPLE_ROWS_PER_LANGUAGE = 500
 EM_ROUNDS = 3
 MAX_WORD = 32
-MAX_PIECE = 10
+#: The start mark and a whole word; longer pieces can have no part in a segmentation.
+MAX_PIECE = MAX_WORD + 1
 START = "▁"
 #: Words after which more text no longer sharpens the score.
 SCORE_WORDS = 20
@@ -263,7 +264,8 @@ def fit(docs: DataFrame, *, train: Column | None = None, rows_per_language: int
 
 def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, lang_pred, score of every row, from the text alone. Null text or no letter:
-    `und`, 0. Repeated rows repeat; ties go to the first language by name. No shuffle."""
+    `und`, 0. Repeated rows repeat; ties go to the first language by name. Texts are taken
+    whole, whatever their length; other columns are not read. No shuffle."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -305,6 +305,64 @@ def test_forward_sums_all_segmentations():
         assert np.allclose(got, [total(language_id.START + word, k) for k in (0, 1)])
 
 
+def segmentations(s, pieces):
+    """All ways to cut s into pieces and single unknown characters (0)."""
+    if not s:
+        yield ()
+        return
+    for rest in segmentations(s[1:], pieces):
+        yield (0, *rest)
+    for n, p in enumerate(pieces, 1):
+        if s.startswith(p):
+            for rest in segmentations(s[len(p) :], pieces):
+                yield (n, *rest)
+
+
+def test_language_query_against_brute_force(spark, tmp_path, monkeypatch):
+    """Expectation maximisation and prediction over listed segmentations, every row of the query."""
+    pieces = sorted([language_id.START, language_id.START + "a", "a", "ab", "b", "ba", "aba", "c", "ca", "bc"])
+    monkeypatch.setattr(language_id, "load_pieces", lambda path: pieces)
+    rng = random.Random(7)
+    rows = []
+    for i in range(80):
+        lang = rng.choice(["x", "y"])
+        rows.append((i, " ".join("".join(rng.choice("aab" if lang == "x" else "bcc") for _ in range(rng.randrange(1, 5))) for _ in range(rng.randrange(0, 9))), lang))
+    rows += [(80, None, "x"), (81, "12 .", "y"), (82, "ab ca", None), (83, "zz", None), (84, "ab " * 300_000, "x"), (3, rows[3][1], rows[3][2])]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").selectExpr("*", "'q' AS lang_pred", "9 AS score", "1 AS held_out", "2 AS n", "'w' AS word")
+    df.repartition(3).write.parquet(f"{tmp_path}/documents.parquet")
+    fold = lambda i: zlib.crc32(str(i).encode()) % 3
+    counts = {}
+    for i, t, lang in rows:
+        if t is not None and lang is not None and fold(i) != 1:
+            for w in language_id.words_of(t):
+                counts[lang, w] = counts.get((lang, w), 0) + 1
+    cuts = {w: list(segmentations(language_id.START + w, pieces)) for w in {w for _, t, _ in rows for w in language_id.words_of(t or "")}}
+    probs = {lang: [1e-7] + [1 / len(pieces)] * len(pieces) for lang in "xy"}
+
+    def chance(cut, lang):
+        return np.prod([probs[lang][n] for n in cut])
+
+    for _ in range(language_id.EM_ROUNDS):
+        new = {lang: [0.0] + [0.05] * len(pieces) for lang in "xy"}
+        for (lang, w), n in counts.items():
+            whole = sum(chance(c, lang) for c in cuts[w])
+            for c in cuts[w]:
+                for piece in c:
+                    if piece:
+                        new[lang][piece] += n**0.5 * chance(c, lang) / whole
+        probs = {lang: [1e-7] + [v / sum(p) for v in p[1:]] for lang, p in new.items()}
+    logs = {w: [np.log(sum(chance(c, lang) for c in cuts[w])) for lang in "xy"] for w in cuts}
+    want = []
+    for i, t, _ in rows:
+        ws = language_id.words_of(t or "")
+        total = np.sum([logs[w] for w in ws], axis=0) if ws else None
+        z = None if total is None else (total - total.max()) * min(1.0, language_id.SCORE_WORDS / len(ws))
+        want.append((i, fold(i) == 1, "und" if total is None else "xy"[int(np.argmax(total))], 0.0 if z is None else 1 / np.exp(z).sum()))
+    got = sorted(tuple(r) for r in queries.op4_language_id(spark, str(tmp_path)).collect())
+    assert [r[:3] for r in got] == [r[:3] for r in sorted(want)]
+    assert np.allclose([r[3] for r in got], [r[3] for r in sorted(want)], atol=1e-6)
+
+
 def test_language_accuracy_on_held_out_rows(spark):
     sf = "/root/testdata/sf0.01"
     got = queries.op4_language_id(spark, sf).join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id")
