@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from supplyrisk.operators import propagate, walks
+from supplyrisk.operators import propagate
 from supplyrisk.plans.compile import Compiled, seed_state
 from supplyrisk.plans.staging import Staged
 
@@ -41,14 +41,21 @@ def append(state: DataFrame, compiled: Compiled, new_prop: DataFrame, options: p
 def retract(state: DataFrame, compiled: Compiled, removed: DataFrame, left: DataFrame, options: propagate.RunOptions | None = None) -> DataFrame:
     """State after facts were withdrawn. removed: vid of their vertices; left: facts that stay.
 
-    What the withdrawn facts could reach is reset, then derived again from facts inside it
-    and from edges that enter it (delete and rederive)."""
+    What the withdrawn facts could reach (one frontier for all of them) is reset, then derived
+    again from facts inside it and from edges that enter it (delete and rederive). A graph
+    that one task may finish is solved again from what stays instead."""
     from supplyrisk.functions.rules import passed
 
-    start = removed.select(F.col("vid").alias("start")).distinct()
-    hit = Staged(walks.reach(compiled.prop, start, "forward", 3, options=options).select("vid").distinct(), "retract").df
+    options = options or propagate.RunOptions()
+    n = compiled.n_edges if compiled.n_edges is not None else compiled.prop.count()
+    stays = replace(compiled.with_seeds(left), n_edges=n)
+    if n <= options.local_cap:
+        return propagate.run(stays, "finisher", options)[0]
+    # The greatest level passes every edge, so its reach is what any fact could have reached.
+    start = removed.select("vid", F.lit(2).alias("status")).distinct()
+    hit = Staged(propagate.run(replace(compiled, seeds=start, n_edges=n), "semi_naive", options)[0].select("vid"), "retract").df
     outside = Staged(state.join(hit, "vid", "left_anti"), "retract").df
     border = compiled.prop.join(hit.withColumnRenamed("vid", "dst"), "dst", "left_semi").join(outside.select(F.col("vid").alias("src"), "status"), "src")
     entering = border.select(F.col("dst").alias("vid"), passed(F.col("status"), F.col("mask")).alias("status")).where("status > 0")
-    facts = seed_state(compiled.vertices, left).join(hit, "vid", "left_semi")
+    facts = stays.seeds.join(hit, "vid", "left_semi")
     return _raise(outside, facts.unionAll(entering), compiled, options)

@@ -10,14 +10,14 @@ same statuses.
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from supplyrisk.functions.rules import passed
 from supplyrisk.operators import kernels
-from supplyrisk.plans.compile import Compiled, contract_steps
+from supplyrisk.plans.compile import LABELS, LOCAL_CAP, Compiled, contract_steps
 from supplyrisk.plans.staging import Staged
 
 
@@ -30,7 +30,7 @@ class RunOptions:
     max_rounds: int = 10_000
     compact_every: int = 8
     broadcast_rows: int = 200_000
-    local_cap: int = 4_000_000
+    local_cap: int = LOCAL_CAP
 
 
 @dataclass
@@ -118,7 +118,8 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
     options = options or RunOptions()
     log = RunLog(mode)
     if compiled.n_edges is None:
-        compiled = compiled.staged()
+        compiled = replace(compiled, prop=Staged(compiled.prop, "prop").df, packed=None, masks=None)
+        compiled = replace(compiled, n_edges=compiled.prop.count())
     if compiled.buckets is None and compiled.n_edges > options.local_cap:
         compiled = compiled.laid_out()
     if mode == "auto":
@@ -127,7 +128,11 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
     if mode == "finisher":
         if compiled.n_edges > options.local_cap:
             raise ValueError(f"{compiled.n_edges} edges; one task may finish {options.local_cap}")
-        state = kernels.status_in_one_task(compiled.prop, compiled.seeds.groupBy("vid").agg(F.max("status").alias("status")))
+        if compiled.packed is not None:
+            packed, masks = compiled.packed, compiled.masks
+        else:
+            packed, masks = kernels.packed_graph(compiled.prop if "label" in compiled.prop.columns else compiled.prop.withColumn("label", F.lit("")), LABELS), None
+        state = kernels.status_in_one_task(packed, compiled.seeds.groupBy("vid").agg(F.max("status").alias("status")), masks)
         return Staged(state, "status").df, log
     if mode == "semi_naive":
         return _loop(compiled.prop, compiled.seeds, options, log, buckets=compiled.buckets), log

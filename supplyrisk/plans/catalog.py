@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -37,7 +38,9 @@ def _graph(spark: SparkSession, sf: str, cyclic: bool = False) -> BuildHistory:
 
 
 def _compiled(spark: SparkSession, sf: str, kinds: str, rule_set: str = "paper", drop: tuple[str, ...] = (), cyclic: bool = False) -> Compiled:
-    bare = memo(spark, sf, ("compiled", rule_set, drop, cyclic), lambda: compile_graph(_graph(spark, sf, cyclic), None, rule_set, drop).staged())
+    bare = memo(spark, sf, ("compiled", cyclic), lambda: compile_graph(_graph(spark, sf, cyclic)).staged())
+    if rule_set != "paper" or drop:
+        bare = bare.variant(rule_set, drop)
     return bare.with_seeds(build.seeds(spark, sf, kinds))
 
 
@@ -168,8 +171,7 @@ def uc1_safe_despite_vulnerable_upstream(spark: SparkSession, sf: str) -> DataFr
 def _any_reach(compiled: Compiled, start: DataFrame) -> DataFrame:
     """vid of all that any of the start vertices reach over any edge."""
     as_malice = start.select("vid", F.lit(2).alias("status"))
-    everything = Compiled(compiled.vertices, compiled.prop, as_malice, compiled.copies, compiled.unknown, compiled.n_edges)
-    return propagate.run(everything)[0].select("vid")
+    return propagate.run(replace(compiled, seeds=as_malice))[0].select("vid")
 
 
 @query

@@ -13,10 +13,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from supplyrisk.functions.rules import PASS, TRANSFER, transfer_table
+from supplyrisk.operators import kernels
 from supplyrisk.operators.graph import BuildHistory
 from supplyrisk.plans.staging import Staged, partitions, stage
 
 LEVEL_OF_KIND = {"SV": 1, "SM": 2, "HV": 1, "HM": 2}
+#: Edges (24 bytes each) up to which one task may finish a graph.
+LOCAL_CAP = 4_000_000
+LABELS = (*dict.fromkeys(label for label, _ in TRANSFER),)
 PARTS_ONLY = {("feeds", "step"), ("produces", "artifact"), ("copy", "artifact")}
 
 
@@ -32,11 +36,31 @@ class Compiled:
     unknown: DataFrame
     n_edges: int | None = None
     buckets: int | None = None
+    #: One row with the laid-out edges, if there are at most LOCAL_CAP; masks by label for it.
+    packed: DataFrame | None = None
+    masks: tuple[int, ...] | None = None
+    #: Whether vertices that edges start at but that do not exist are malicious.
+    unknown_is_malicious: bool = False
 
     def staged(self) -> Compiled:
-        """Edges computed once and counted."""
+        """Edges computed once and counted; those of a small graph laid out for single tasks."""
         df = stage(self.prop, "prop")
-        return replace(self, prop=df, n_edges=df.count())
+        n = df.count()
+        packed = Staged(kernels.packed_graph(df, LABELS), "packed", "none").df if n <= LOCAL_CAP else None
+        return replace(self, prop=df, n_edges=n, packed=packed, masks=None, unknown=stage(self.unknown, "unknown"))
+
+    def variant(self, rules: str = "paper", drop_labels: tuple[str, ...] = ()) -> Compiled:
+        """Another rule set on the same edges: masks follow from labels, nothing is compiled again.
+
+        This one must hold the paper's rules; n_edges stays as an upper bound."""
+        masks = [0 if label in drop_labels else PASS if rules == "max_impact" else -1 for label in LABELS]
+        if rules == "parts_only":
+            kept = {label for label, _ in PARTS_ONLY}
+            masks = [PASS if label in kept and label not in drop_labels else 0 for label in LABELS]
+        of = F.get(F.array(*[F.lit(m) for m in masks]), (F.array_position(F.array(*[F.lit(x) for x in LABELS]), F.col("label")) - 1).cast("int"))
+        new = F.when(of >= 0, of).otherwise(F.col("mask")).cast(self.prop.schema["mask"].dataType)
+        prop = self.prop.withColumn("mask", new).where("mask <> 0")
+        return replace(self, prop=prop, buckets=None, masks=tuple(masks))
 
     def laid_out(self, buckets: int | None = None) -> Compiled:
         """Edges staged once, in folders by mask and bucket of src, sorted by src: a level-1
@@ -48,7 +72,10 @@ class Compiled:
         return replace(self, prop=staged.df, n_edges=staged.df.count(), buckets=n)
 
     def with_seeds(self, seeds: DataFrame, host_vuln: str = "record") -> Compiled:
-        return replace(self, seeds=seed_state(self.vertices, seeds, host_vuln))
+        state = seed_state(self.vertices, seeds, host_vuln)
+        if self.unknown_is_malicious:
+            state = state.unionAll(self.unknown.select("vid", F.lit(2).alias("status")))
+        return replace(self, seeds=state)
 
 
 def seed_state(vertices: DataFrame, seeds: DataFrame, host_vuln: str = "record") -> DataFrame:
@@ -99,7 +126,7 @@ def compile_graph(graph: BuildHistory, seeds: DataFrame | None = None, rules: st
         state = spark.createDataFrame([], "vid long, status int")
     if unknown == "malicious":
         state = state.unionAll(missing.select("vid", F.lit(2).alias("status")))
-    return Compiled(graph.vertices, prop, state, copies, missing)
+    return Compiled(graph.vertices, prop, state, copies, missing, unknown_is_malicious=unknown == "malicious")
 
 
 def contract_steps(compiled: Compiled, keep: DataFrame | None = None) -> tuple[Compiled, DataFrame]:
@@ -117,4 +144,4 @@ def contract_steps(compiled: Compiled, keep: DataFrame | None = None) -> tuple[C
     kept = prop.join(gone.select(F.col("vid").alias("dst")), "dst", "left_anti")
     moved = kept.join(gone.select(F.col("vid").alias("src"), "parent", F.col("mask").alias("first")), "src", "left")
     new = moved.select(F.coalesce("parent", "src").alias("src"), "dst", F.when(F.col("first").isNull(), F.col("mask")).otherwise(F.col("mask").bitwiseAND(F.col("first"))).alias("mask"), F.lit("path").alias("label"))
-    return replace(compiled, prop=new.where("mask <> 0").distinct(), n_edges=None, buckets=None), gone
+    return replace(compiled, prop=new.where("mask <> 0").distinct(), n_edges=None, buckets=None, packed=None, masks=None), gone
