@@ -27,14 +27,15 @@ def attack_tree(compiled: Compiled, target: int, max_depth: int) -> DataFrame:
     """node, parent, depth, gate, leaf of the tree whose goal is a malicious target.
 
     Every gate is OR (one malicious contributor suffices), so each leaf fact is a minimal
-    cut set. Vertices on several paths appear once per parent at their least depth."""
+    cut set. Every contributor of every node nearer than max_depth is there, once for each
+    parent, at its least depth; the goal has no parent."""
     spark = compiled.prop.sparkSession
     start = spark.createDataFrame([(target,)], "start long")
     nodes = walks.reach(compiled.prop, start, "backward", 2, max_depth).select("vid", F.col("hops").alias("depth"))
     facts = compiled.seeds.where("status = 2").select(F.col("vid").alias("node"), F.lit(True).alias("leaf"))
     edges = compiled.prop.select("src", "dst").distinct()
     a, b = nodes.select(F.col("vid").alias("src"), F.col("depth").alias("far")), nodes.select(F.col("vid").alias("dst"), F.col("depth").alias("near"))
-    inner = edges.join(a, "src").join(b, "dst").where("far = near + 1").select(F.col("src").alias("node"), F.col("dst").alias("parent"), F.col("far").cast("int").alias("depth"))
+    inner = edges.join(a, "src").join(b, "dst").where(F.col("near") < max_depth).select(F.col("src").alias("node"), F.col("dst").alias("parent"), F.col("far").cast("int").alias("depth"))
     root = spark.createDataFrame([(target, None, 0)], "node long, parent long, depth int")
     return root.unionAll(inner).join(facts, "node", "left").select("node", "parent", "depth", F.lit("OR").alias("gate"), F.coalesce("leaf", F.lit(False)).alias("leaf"))
 

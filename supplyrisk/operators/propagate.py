@@ -12,7 +12,7 @@ from __future__ import annotations
 import time
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from supplyrisk.functions.rules import passed
@@ -42,8 +42,14 @@ class RunLog:
         self.rounds.append(row)
 
     def frame(self, spark) -> DataFrame:
-        rows = [(self.mode, i, r.get("frontier", 0), r.get("raised", 0), float(r.get("seconds", 0))) for i, r in enumerate(self.rounds)]
-        return spark.createDataFrame(rows, "mode string, round int, frontier long, raised long, seconds double")
+        rows = [(self.mode, i, r.get("frontier", 0), r.get("messages", 0), r.get("raised", 0), r.get("shuffle_bytes", 0), float(r.get("seconds", 0))) for i, r in enumerate(self.rounds)]
+        return spark.createDataFrame(rows, "mode string, round int, frontier long, messages long, raised long, shuffle_bytes long, seconds double")
+
+
+def shuffled_bytes(spark) -> int:
+    """Bytes that all executors have written for shuffles so far."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(executors.apply(i).totalShuffleWrite() for i in range(executors.size()))
 
 
 def _edges_from(prop: DataFrame, frontier: DataFrame, n: int, options: RunOptions, low_only: bool, buckets: int | None) -> DataFrame:
@@ -69,10 +75,11 @@ def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, m
     for round_ in range(options.max_rounds):
         if not n:
             return state
-        began = time.time()
+        began, written, seen = time.time(), shuffled_bytes(prop.sparkSession), Observation()
         low_only = mode == "low"
         sent = _edges_from(prop, frontier, n, options, low_only, buckets)
-        got = sent.select(F.col("dst").alias("vid"), passed(F.col("level"), F.col("mask")).alias("status")).where("status > 0").groupBy("vid").agg(F.max("status").alias("status"))
+        got = sent.select(F.col("dst").alias("vid"), passed(F.col("level"), F.col("mask")).alias("status")).where("status > 0").groupBy("vid").agg(F.max("status").alias("status"), F.count("*").alias("m"))
+        got = got.observe(seen, F.coalesce(F.sum("m"), F.lit(0)).alias("messages")).drop("m")
         old = state.select("vid", F.col("status").alias("old"))
         raised = got.join(old, "vid", "left").where("status > coalesce(old, 0)").select("vid", "status")
         if settled is not None:
@@ -80,7 +87,7 @@ def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, m
         step = Staged(raised, "frontier")
         sent_from, frontier = n, step.df
         n = frontier.count()
-        log.add(frontier=sent_from, raised=n, seconds=time.time() - began)
+        log.add(frontier=sent_from, messages=seen.get.get("messages", 0), raised=n, shuffle_bytes=shuffled_bytes(prop.sparkSession) - written, seconds=time.time() - began)
         history.append(frontier)
         staged.append(step)
         union = history[0]

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from supplyrisk.functions.lattice import SETS
+from supplyrisk.functions.lattice import SETS, max_status, merge
 from supplyrisk.operators import propagate, walks
 from supplyrisk.plans.compile import Compiled
 from supplyrisk.plans.staging import Staged
@@ -18,9 +18,16 @@ def contexts(compiled: Compiled, state: DataFrame) -> DataFrame:
 
     An uncompromised host takes the greatest status of those copies for this artifact's
     chain only; a compromised one is 2 for every chain."""
+    known = compiled.copies.join(state, "vid", "left").select("host", "akey", "vid", "side", F.coalesce("status", F.lit(0)).alias("status"))
+    held = known.where("side = 'held'")
+    levels = held.groupBy("host", "akey").agg(*[F.count_if(F.col("status") == k).alias(f"n{k}") for k in (0, 1, 2)])
+    own = held.select("host", "akey", "vid", F.col("status").alias("own"))
+    fetched = known.where("side = 'fetched'").select("host", "akey", "vid").join(levels, ["host", "akey"]).join(own, ["host", "akey", "vid"], "left")
+    # Itself is no copy: it is taken off the count of its level.
+    others = [F.col(f"n{k}") - F.coalesce((F.col("own") == k).cast("int"), F.lit(0)) for k in (0, 1, 2)]
+    copy_status = F.when(others[2] > 0, 2).when(others[1] > 0, 1).when(others[0] > 0, 0)
+    worst = fetched.select("host", F.col("vid").alias("artifact"), copy_status.alias("copy_status")).where("copy_status is not null")
     raw = state.select(F.col("vid").alias("host"), F.col("status").alias("raw"))
-    copies = compiled.copies.join(state.select(F.col("vid").alias("src"), "status"), "src", "left")
-    worst = copies.groupBy("host", F.col("dst").alias("artifact")).agg(F.max(F.coalesce("status", F.lit(0))).alias("copy_status"))
     status = F.when(F.col("raw") == 2, 2).otherwise(F.col("copy_status"))
     return worst.join(raw, "host", "left").select("host", "artifact", status.alias("context_status"))
 
@@ -70,8 +77,9 @@ def verdict(compiled: Compiled, targets: DataFrame, state: DataFrame | None = No
         chain = contexts(compiled, state).join(context.select("host", "artifact"), ["host", "artifact"], "left_semi").groupBy(F.col("host").alias("target")).agg(F.max("context_status").alias("chain"))
         out = out.join(chain, "target", "left").withColumn("status", F.greatest("status", F.coalesce("chain", F.lit(0)))).drop("chain")
     if initial is not None:
-        start = F.broadcast(initial.select(F.col("status").alias("i_status"), *[F.col(s).alias(f"i_{s}") for s in SETS]).limit(1))
-        out = out.crossJoin(start).select("target", F.greatest("status", "i_status").alias("status"), *[F.array_sort(F.array_union(s, f"i_{s}")).alias(s) for s in SETS])
+        start = F.broadcast(initial.select(F.struct("status", *SETS).alias("initial")).limit(1))
+        both = merge(max_status(F.col("status"), F.col("initial.status")), F.struct(*SETS), F.col("initial"))
+        out = out.crossJoin(start).select("target", both.alias("v")).select("target", "v.*")
     if disjoint_sets:
         out = out.withColumn("hv", F.array_except("hv", "hm"))
     return out
@@ -82,9 +90,13 @@ def verdict_counts(verdicts: DataFrame) -> DataFrame:
 
 
 def verdict_union(verdicts: DataFrame) -> DataFrame:
-    """One row: greatest status and the union of each set over all verdicts."""
-    longs = [F.array_sort(F.array_distinct(F.flatten(F.collect_list(s)))).alias(s) for s in SETS]
-    return verdicts.agg(F.max("status").alias("status"), *longs)
+    """One row: greatest status and the union of each set over all verdicts.
+
+    Members are made distinct in the long form first, so only what the answer holds meets."""
+    cls = F.explode(F.array(*[F.struct(F.lit(s).alias("cls"), F.col(s).alias("vids")) for s in SETS])).alias("x")
+    members = verdicts.select(cls).select("x.cls", F.explode("x.vids").alias("vid")).distinct()
+    sets = members.agg(*[F.array_sort(F.collect_set(F.when(F.col("cls") == s, F.col("vid")))).alias(s) for s in SETS])
+    return verdicts.agg(F.max("status").alias("status")).crossJoin(F.broadcast(sets))  # one row each
 
 
 def verdict_sizes(compiled: Compiled, state: DataFrame, options: propagate.RunOptions | None = None, lg_k: int = 12, targets: DataFrame | None = None) -> DataFrame:

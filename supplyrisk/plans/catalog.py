@@ -15,9 +15,11 @@ from supplyrisk.plans.compile import Compiled, compile_graph
 from supplyrisk.plans.memo import memo
 from supplyrisk.plans.staging import Staged
 from supplyrisk.sources import build, chain, copies, example, feed, web
-from supplyrisk.sources.schema import BASE, BUILDER, COPY, ENV, PAGE, RELEASE, STEP, STORAGE, TURN, code_of, copied_artifact, copy_host, key_of, pack, pack_copy
+from supplyrisk.sources.schema import BASE, BUILDER, COPY, ENV, PAGE, RELEASE, STEP, STORAGE, TURN, code_of, key_of, pack
 from supplyrisk.sources.tables import table
 
+BOTH = "SV,SM"
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
 
@@ -181,12 +183,10 @@ def uc2_vulnerable_releases(spark: SparkSession, sf: str) -> DataFrame:
 
 @query
 def uc2_patch_candidates(spark: SparkSession, sf: str) -> DataFrame:
-    """Large parts by how many releases a patch would clear, of the largest size only."""
+    """Every weak part by how many releases it makes vulnerable."""
     compiled = _compiled(spark, sf, "SV")
-    seeds = table(spark, sf, "part").where("p_size = 50").select(pack(BASE, F.col("p_partkey")).alias("vid"), F.lit(1).alias("status"))
-    got = measures.blast_radius(compiled, seeds, _of(spark, sf, _state(spark, sf, "SV"), RELEASE))
-    rank = F.rank().over(Window.orderBy(F.desc("n_products")))  # one row per largest part
-    return got.select(key_of(F.col("seed")).alias("part_key"), F.col("n_products").alias("n_releases"), rank.alias("rank"))
+    got = measures.blast_radius(compiled, compiled.seeds, _of(spark, sf, _state(spark, sf, "SV"), RELEASE))
+    return measures.ranked(got.select(key_of(F.col("seed")).alias("part_key"), F.col("n_products").alias("n_releases")), "n_releases")
 
 
 @query
@@ -234,8 +234,8 @@ def status_hosts(spark: SparkSession, sf: str) -> DataFrame:
 
 @query
 def status_copies(spark: SparkSession, sf: str) -> DataFrame:
-    of = copied_artifact(F.col("vid"))
-    return _of(spark, sf, _state(spark, sf, "SV,SM"), COPY).select(F.when(code_of(of) == BASE, "part").otherwise("release").alias("artifact"), key_of(of).alias("artifact_key"), copy_host(F.col("vid")).alias("supp_key"), "status")
+    got = build.copy_parts(spark, sf, _of(spark, sf, _state(spark, sf, "SV,SM"), COPY))
+    return got.select(F.when(code_of(F.col("up")) == BASE, "part").otherwise("release").alias("artifact"), key_of(F.col("up")).alias("artifact_key"), "supp_key", "status")
 
 
 @query
@@ -279,16 +279,15 @@ def _copies(spark: SparkSession, sf: str) -> tuple[Compiled, DataFrame]:
 @query
 def copy_context_hosts(spark: SparkSession, sf: str) -> DataFrame:
     """Status of each host for the chain of each copy it handed out."""
-    got = verdict.contexts(*_copies(spark, sf))
-    return got.select(F.concat(F.lit("src"), key_of(F.col("host")).cast("string")).alias("source"), key_of(F.col("artifact")).alias("doc_id"), F.col("context_status").alias("context_status"))
+    got = verdict.contexts(*_copies(spark, sf)).join(copies.hosts(spark, sf), "host")
+    return got.select("source", key_of(F.col("artifact")).alias("doc_id"), "context_status")
 
 
 @query
 def copy_mixed_hosts(spark: SparkSession, sf: str) -> DataFrame:
     """Hosts compromised for one chain and clean for another."""
     got = verdict.contexts(*_copies(spark, sf)).groupBy("host").agg(F.count_if(F.col("context_status") == 2).alias("tainted"), F.count_if(F.col("context_status") < 2).alias("clean"))
-    return got.where("tainted > 0 and clean > 0").select(F.concat(F.lit("src"), key_of(F.col("host")).cast("string")).alias("source"), "tainted", "clean")
-
+    return got.where("tainted > 0 and clean > 0").join(copies.hosts(spark, sf), "host").select("source", "tainted", "clean")
 
 
 # --- audits, verdicts, comparisons ---------------------------------------------------------
@@ -302,14 +301,66 @@ def takedown_list(spark: SparkSession, sf: str) -> DataFrame:
     return published.groupBy(key_of(F.col("dst")).alias("supplier_key")).agg(F.count_distinct("src").alias("n_malicious"))
 
 
+def _audited_hosts(spark: SparkSession, sf: str) -> DataFrame:
+    """kind, host_key, nation, region, status, n_affected of every build and storage host that is
+    weak or compromised: the releases behind which it stands."""
+    kinds = "SV,SM,HV,HM"
+    state = _state(spark, sf, kinds)
+    hosts = Staged(state.where(code_of(F.col("vid")).isin(BUILDER, STORAGE)), "flagged-hosts").df
+    n = measures.blast_radius(_compiled(spark, sf, kinds), hosts.select("vid", F.lit(2).alias("status")), _of(spark, sf, state, RELEASE))
+    nation, region = table(spark, sf, "nation"), table(spark, sf, "region")
+    homes = table(spark, sf, "customer").select(pack(BUILDER, F.col("c_custkey")).alias("vid"), F.lit("build").alias("kind"), F.col("c_nationkey").alias("n_nationkey"))
+    homes = homes.unionAll(table(spark, sf, "supplier").select(pack(STORAGE, F.col("s_suppkey")).alias("vid"), F.lit("storage").alias("kind"), F.col("s_nationkey").alias("n_nationkey")))
+    placed = hosts.join(homes, "vid").join(F.broadcast(nation.select("n_nationkey", F.col("n_name").alias("nation"), F.col("n_regionkey").alias("r_regionkey"))), "n_nationkey").join(F.broadcast(region.select("r_regionkey", F.col("r_name").alias("region"))), "r_regionkey")
+    return placed.join(n.withColumnRenamed("seed", "vid"), "vid").select("kind", key_of(F.col("vid")).alias("host_key"), "nation", "region", "status", F.col("n_products").alias("n_affected"))
+
+
 @query
 def audit_hosts_topk(spark: SparkSession, sf: str) -> DataFrame:
-    """The 20 build hosts (smallest keys first) that are weak or compromised, by the releases behind which they stand."""
-    state = _state(spark, sf, "SV,SM,HV")
-    hosts = state.where(code_of(F.col("vid")) == BUILDER).orderBy("vid").limit(20).select("vid", F.lit(2).alias("status"))
-    got = measures.blast_radius(_compiled(spark, sf, "SV,SM,HV"), hosts, _of(spark, sf, state, RELEASE))
-    rank = F.rank().over(Window.orderBy(F.desc("n_products")))  # 20 rows
-    return got.select(F.lit("build").alias("kind"), key_of(F.col("seed")).alias("host_key"), F.col("n_products").alias("n_affected"), rank.alias("rank"))
+    """The 20 of all flagged hosts that most releases depend on, with where they are."""
+    top = _audited_hosts(spark, sf).orderBy(F.desc("n_affected"), "kind", "host_key").limit(20)
+    return top.withColumn("rank", F.rank().over(Window.orderBy(F.desc("n_affected"))))  # 20 rows
+
+
+@query
+def audit_by_nation(spark: SparkSession, sf: str) -> DataFrame:
+    """All flagged hosts by place, kind and status, with the greatest number of releases behind one."""
+    got = _audited_hosts(spark, sf)
+    return got.groupBy("region", "nation", "kind", "status").agg(F.count("*").alias("n_hosts"), F.max("n_affected").alias("most_affected"))
+
+
+@query
+def verdict_set_sizes(spark: SparkSession, sf: str) -> DataFrame:
+    """Status and exact sizes of the four sets of every release."""
+    compiled, state = _compiled(spark, sf, "SV,SM,HV"), _state(spark, sf, "SV,SM,HV")
+    targets = _of(spark, sf, state, RELEASE)
+    sizes = measures.set_sizes(compiled, state, targets.select(F.col("vid").alias("target")))
+    return targets.join(sizes, targets["vid"] == sizes["target"]).select(key_of(F.col("vid")).alias("order_key"), "status", "n_sv", "n_sm", "n_hv", "n_hm")
+
+
+@query
+def verdict_elements(spark: SparkSession, sf: str) -> DataFrame:
+    """Verdicts of a step, an environment, hosts and a part: of any type of the worked example."""
+    out = None
+    for case in example.USE_CASES:
+        compiled, state = _example(spark, case)
+        got = verdict.verdict(compiled, spark.createDataFrame([(v,) for v in (4, 5, 7, 8, 11)], "target long"), state)
+        row = got.select(F.lit(case).alias("use_case"), "target", "status", *[_ids(x) for x in lattice.SETS])
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+@query
+def verdict_host_in_context(spark: SparkSession, sf: str) -> DataFrame:
+    """A host that is compromised for one chain and clean for another, by the artifact fetched."""
+    g = example.graph(spark, {12: ("artifact", "A9"), 13: ("artifact", "A10")}, (("fetched_from", 11, 12), ("fetched_from", 11, 13)))
+    compiled = compile_graph(g, example.seeds(spark, [("SM", 9)]))
+    state, out = propagate.run(compiled)[0], None
+    for artifact in (12, 13):
+        context = spark.createDataFrame([(11, artifact)], "host long, artifact long")
+        row = verdict.verdict(compiled, spark.createDataFrame([(11,)], "target long"), state, context=context).select("target", F.lit(artifact).cast("long").alias("artifact"), "status")
+        out = row if out is None else out.unionAll(row)
+    return out
 
 
 def _sample_verdicts(spark: SparkSession, sf: str) -> DataFrame:
@@ -398,9 +449,10 @@ def _late_release(spark: SparkSession, sf: str) -> int:
 
 @query
 def attack_tree_nodes(spark: SparkSession, sf: str) -> DataFrame:
-    """Nodes of the newest release's tree to depth 6, by kind."""
+    """Every contributor to depth 6 of the newest release, once for each parent."""
     got = baselines.attack_tree(_compiled(spark, sf, "SV,SM"), _late_release(spark, sf), 6)
-    return got.select("node", "depth", "leaf").distinct().groupBy("depth", code_of(F.col("node")).alias("node_code")).agg(F.count("*").alias("n"), F.count_if("leaf").alias("leaves"))
+    name = lambda x: build.vertex_name(F.col(x), build.copy_bits(spark, sf)).alias(x)
+    return got.select(name("node"), name("parent"), "depth", "gate", "leaf")
 
 
 @query
@@ -416,25 +468,52 @@ def cyc_status(spark: SparkSession, sf: str) -> DataFrame:
     return _releases(spark, sf, _state(spark, sf, "SV,SM", cyclic=True))
 
 
-def _in_mode(mode: str, name: str) -> Callable[[SparkSession, str], DataFrame]:
+def _laid_out(spark: SparkSession, sf: str) -> Compiled:
+    """Edges in folders by mask and bucket, as for graphs beyond one task."""
+    return memo(spark, sf, ("laid", "paper"), lambda: _compiled(spark, sf, "SV").laid_out())
+
+
+def _in_mode(mode: str, name: str, far: bool = False) -> Callable[[SparkSession, str], DataFrame]:
+    """far: as on a graph that no single task may finish."""
+
     def run(spark: SparkSession, sf: str) -> DataFrame:
-        return _releases(spark, sf, _state(spark, sf, "SV,SM", mode=mode))
+        if not far:
+            return _releases(spark, sf, _state(spark, sf, "SV,SM", mode=mode))
+        compiled = _laid_out(spark, sf).with_seeds(build.seeds(spark, sf, BOTH))
+        return _releases(spark, sf, propagate.run(compiled, mode, propagate.RunOptions(local_cap=0))[0])
 
     run.__name__ = name
     return run
 
 
-for _mode, _name in (("semi_naive", "semi_naive_status"), ("contracted", "contracted_status"), ("finisher", "finisher_status")):
-    query(_in_mode(_mode, _name))
+for _mode, _name, _far in (("semi_naive", "semi_naive_status", True), ("two_phase", "two_phase_status", True), ("contracted", "contracted_status", False), ("finisher", "finisher_status", False)):
+    query(_in_mode(_mode, _name, _far))
+
+
+@query
+def retract_far_status(spark: SparkSession, sf: str) -> DataFrame:
+    """Facts withdrawn by delete and rederive, as on a graph beyond one task."""
+    compiled = _laid_out(spark, sf).with_seeds(build.seeds(spark, sf, BOTH))
+    removed = build.seeds(spark, sf, "SM").select("vid")
+    state = incremental.retract(_state(spark, sf, BOTH), compiled, removed, build.seeds(spark, sf, "SV"), propagate.RunOptions(local_cap=0))
+    return _releases(spark, sf, state)
+
+
+@query
+def recursive_example(spark: SparkSession, sf: str) -> DataFrame:
+    """Direct recursion, every path walked, on the worked example."""
+    compiled = compile_graph(example.graph(spark), example.seeds(spark, example.USE_CASES["uc3"]))
+    return propagate.finish(compiled, baselines.sql_recursive(compiled))
 
 
 def _chain_in_mode(mode: str, name: str) -> Callable[[SparkSession, str], DataFrame]:
-    """On the conversations: many chains, few rounds."""
+    """On the conversations: many chains, few rounds. recursion: the baseline that walks every path."""
 
     def run(spark: SparkSession, sf: str) -> DataFrame:
         compiled = compile_graph(chain.graph(spark, sf), chain.seeds(spark, sf))
         key = key_of(F.col("vid"))
-        turns = propagate.finish(compiled, propagate.run(compiled, mode)[0]).where(code_of(F.col("vid")) == TURN)
+        state = baselines.sql_recursive(compiled) if mode == "recursion" else propagate.run(compiled, mode)[0]
+        turns = propagate.finish(compiled, state).where(code_of(F.col("vid")) == TURN)
         return turns.select(F.shiftright(key, chain.TURN_BITS).alias("conv_id"), key.bitwiseAND(F.lit((1 << chain.TURN_BITS) - 1)).alias("turn"), "status")
 
     run.__name__ = name
@@ -443,7 +522,7 @@ def _chain_in_mode(mode: str, name: str) -> Callable[[SparkSession, str], DataFr
 
 query(_chain_in_mode("auto", "chain_status"))
 query(_chain_in_mode("levels", "levels_status"))
-query(_chain_in_mode("two_phase", "two_phase_status"))
+query(_chain_in_mode("recursion", "recursive_chain_status"))
 
 
 # --- graph helpers ---------------------------------------------------------------------------
@@ -470,8 +549,8 @@ def degree_hist(spark: SparkSession, sf: str) -> DataFrame:
 
 @query
 def reach_count(spark: SparkSession, sf: str) -> DataFrame:
-    """How many vertices the first parts reach over all edges, and in how many hops."""
-    start = table(spark, sf, "part").where("p_partkey < 5").select(pack(BASE, F.col("p_partkey")).alias("start"))
+    """How many vertices each malicious part reaches over all edges, and in how many hops."""
+    start = build.seeds(spark, sf, "SM").select(F.col("vid").alias("start"))
     got = walks.reach(_compiled(spark, sf, "SV").prop, start)
     return got.groupBy(key_of(F.col("start")).alias("part_key")).agg(F.count("*").alias("n"), F.max("hops").alias("hops"))
 
@@ -503,18 +582,29 @@ def graph_roots(spark: SparkSession, sf: str) -> DataFrame:
 
 
 @query
-def disclosure_replay(spark: SparkSession, sf: str) -> DataFrame:
+def usecase_replay(spark: SparkSession, sf: str) -> DataFrame:
     """Releases by status as knowledge grows: weak parts, then bad parts, then breached hosts."""
+    return _replayed(spark, sf, [build.seeds(spark, sf, kinds) for kinds in ("SV", "SM", "HM")])
+
+
+def _replayed(spark: SparkSession, sf: str, steps: list[DataFrame]) -> DataFrame:
     compiled = _compiled(spark, sf, "SV")
-    state, out = _state(spark, sf, "SV"), None
-    for number, kinds in enumerate(("SV", "SM", "HM"), 1):
-        if number > 1:
-            state = incremental.update(state, compiled, build.seeds(spark, sf, kinds))
+    state, out = spark.createDataFrame([], "vid long, status int"), None
+    for number, facts in enumerate(steps, 1):
+        state = incremental.update(state, compiled, facts)
         row = _releases(spark, sf, state).groupBy("status").agg(F.count("*").alias("n")).select(F.lit(number).alias("step"), "status", "n")
         out = row if out is None else out.unionAll(row)
     return out
 
 
+@query
+def disclosure_replay(spark: SparkSession, sf: str) -> DataFrame:
+    """Releases by status after each week of the feed of disclosures, kept up to date."""
+    facts = _feed(spark, sf).where(F.col("kind").isin("SV", "HM"))
+    week = F.floor((F.unix_micros("ts") - F.unix_micros(F.lit("2024-01-01").cast("timestamp"))) / (7 * 86_400_000_000))
+    return _replayed(spark, sf, [facts.where(week == w).select("vid", "kind").distinct() for w in range(5)])
+
+
 def _feed(spark: SparkSession, sf: str) -> DataFrame:
     return feed.facts(table(spark, sf, "events"), table(spark, sf, "part").count(), table(spark, sf, "supplier").count())
 
@@ -526,19 +616,45 @@ def stream_replay_status(spark: SparkSession, sf: str) -> DataFrame:
     return _releases(spark, sf, propagate.run(_compiled(spark, sf, "SV").with_seeds(facts))[0])
 
 
-@query
-def temporal_status(spark: SparkSession, sf: str) -> DataFrame:
-    """A breach acts only on fetches shipped while it lasted (90 days from its own date)."""
+def _timed(spark: SparkSession, sf: str) -> Compiled:
     supplier = table(spark, sf, "supplier").where("s_suppkey % 97 = 3")
     begin = F.timestamp_micros(F.unix_micros(F.lit("1995-01-01").cast("timestamp")) + F.col("s_suppkey") * (20 * 86_400_000_000))
     facts = supplier.select(pack(STORAGE, F.col("s_suppkey")).alias("vid"), begin.alias("from_ts"), F.timestamp_micros(F.unix_micros(begin) + 90 * 86_400_000_000).alias("to_ts"))
     lines = build.asof_lines(spark, sf)
     shipped = table(spark, sf, "lineitem").select(F.col("l_orderkey").alias("order_key"), F.col("l_partkey").alias("part_key"), F.col("l_suppkey").alias("supp_key"), F.col("l_returnflag").alias("flag"), F.col("l_linestatus").alias("state"), F.col("l_shipdate").alias("used_at"))
     up = F.when(F.col("used_order_key").isNull(), pack(BASE, F.col("part_key"))).otherwise(pack(RELEASE, F.col("used_order_key")))
-    use = lines.where("not (flag = 'A' and state = 'O')").join(F.broadcast(supplier.select(F.col("s_suppkey").alias("supp_key"))), "supp_key").join(shipped, ["order_key", "part_key", "supp_key", "flag", "state"]).select(pack(STORAGE, F.col("supp_key")).alias("src"), pack_copy(up, F.col("supp_key")).alias("dst"), "used_at")
+    use = lines.where("not (flag = 'A' and state = 'O')").join(F.broadcast(supplier.select(F.col("s_suppkey").alias("supp_key"))), "supp_key").join(shipped, ["order_key", "part_key", "supp_key", "flag", "state"]).withColumn("up", up)
+    use = build.with_copy(spark, sf, use).select(pack(STORAGE, F.col("supp_key")).alias("src"), F.col("copy").alias("dst"), "used_at")
     c = _compiled(spark, sf, "SV,HM")
     timed = Compiled(c.vertices, extensions.temporal_edges(c.prop.select("src", "dst", "mask", "label"), use, facts), c.seeds, c.copies, c.unknown)
-    return _releases(spark, sf, propagate.run(timed)[0])
+    return timed
+
+
+@query
+def temporal_status(spark: SparkSession, sf: str) -> DataFrame:
+    """A breach acts only on fetches shipped while it lasted (90 days from its own date)."""
+    return _releases(spark, sf, propagate.run(_timed(spark, sf))[0])
+
+
+@query
+def temporal_gain(spark: SparkSession, sf: str) -> DataFrame:
+    """Releases by plain and by temporal status: what time clears."""
+    plain, timed = _state(spark, sf, "SV,HM"), propagate.run(_timed(spark, sf))[0]
+    got = measures.compare(plain, timed, _of(spark, sf, plain, RELEASE))
+    return got.select(F.col("status_a").alias("plain_status"), F.col("status_b").alias("temporal_status"), "n")
+
+
+@query
+def scored_releases(spark: SparkSession, sf: str) -> DataFrame:
+    """Graded threat of releases: what a storage host hands on is weighed by its repute, five
+    tenths to all of it by its balance; a step keeps 9 tenths."""
+    compiled = _compiled(spark, sf, "SV,SM")
+    repute = table(spark, sf, "supplier").select(pack(STORAGE, F.col("s_suppkey")).alias("src"), F.round(F.lit(1.0) - F.least(F.lit(0.5), F.greatest(F.lit(0.0), F.col("s_acctbal") / 20000)), 6).alias("repute"))
+    w = F.when(F.col("label") == "produces", 0.9).when(F.col("label") == "fetched_from", F.coalesce("repute", F.lit(1.0))).otherwise(1.0)
+    graded = replace(compiled, prop=compiled.prop.join(repute, "src", "left").withColumn("w", w), packed=None)
+    got = extensions.propagate_scored(graded, compiled.seeds.select("vid", F.col("status").cast("double").alias("score")), F.col("w"))
+    scores = got.where(code_of(F.col("vid")) == RELEASE).select(key_of(F.col("vid")).alias("order_key"), "score")
+    return table(spark, sf, "orders").select(F.col("o_orderkey").alias("order_key")).join(scores, "order_key", "left").select("order_key", F.round(F.coalesce("score", F.lit(0.0)), 6).alias("score"))
 
 
 @query
@@ -576,7 +692,7 @@ def explain_paths(spark: SparkSession, sf: str) -> DataFrame:
 
 @query
 def run_log(spark: SparkSession, sf: str) -> DataFrame:
-    """Rounds, frontiers and seconds of the distributed loop on the example of copies."""
+    """Rounds, frontiers, messages, shuffled bytes and seconds of the distributed loop on the copies."""
     compiled, _ = _copies(spark, sf)
     return propagate.run(compiled, "semi_naive")[1].frame(spark)
 
@@ -645,7 +761,7 @@ def pivot_nation_status(spark: SparkSession, sf: str) -> DataFrame:
 def _served(spark: SparkSession, sf: str) -> DataFrame:
     """Storage hosts with the number of malicious copies they served."""
     bad = _state(spark, sf, "SV,SM").where((F.col("status") == 2) & (code_of(F.col("vid")) == COPY))
-    n = bad.groupBy(copy_host(F.col("vid")).alias("supplier_key")).agg(F.count("*").alias("n"))
+    n = build.copy_parts(spark, sf, bad).groupBy(F.col("supp_key").alias("supplier_key")).agg(F.count("*").alias("n"))
     return table(spark, sf, "supplier").select(F.col("s_suppkey").alias("supplier_key"), "s_nationkey").join(n, "supplier_key", "left").select("supplier_key", "s_nationkey", F.coalesce("n", F.lit(0)).alias("n"))
 
 

@@ -26,8 +26,8 @@ PARTS_ONLY = {("feeds", "step"), ("produces", "artifact"), ("copy", "artifact")}
 
 @dataclass
 class Compiled:
-    """prop: src, dst, mask, label. seeds: vid, status. copies: host, src, dst (copy edges)
-    with the fetched artifact as dst. unknown: vids that edges start at but no vertex has."""
+    """prop: src, dst, mask, label. seeds: vid, status. copies: host, akey, vid, side, from which
+    copy edges are made. unknown: vids that edges start at but no vertex has."""
 
     vertices: DataFrame
     prop: DataFrame
@@ -90,17 +90,35 @@ def seed_state(vertices: DataFrame, seeds: DataFrame, host_vuln: str = "record")
     return facts.join(kinds, "vid").where(fits).groupBy("vid").agg(F.max("level").cast("int").alias("status"))
 
 
-def copy_edges(graph: BuildHistory, predecessor_only: bool = False) -> DataFrame:
-    """host, src, dst, label `copy`: a fetched artifact takes the status of the copies with its
-    identity that the host holds. Joined on (host, identity), so a busy host is not one key."""
+def copy_sides(graph: BuildHistory) -> DataFrame:
+    """host, akey, vid, side: artifacts with an identity that a host holds (`held`) and that
+    are fetched from it (`fetched`). What a fetched artifact may take its status from is
+    held under its identity at its host, itself excepted."""
     names = graph.vertices.where("vtype = 'artifact' and akey is not null").select("vid", "akey")
-    fetched = graph.edges.where("label = 'fetched_from'").select(F.col("src").alias("host"), F.col("dst").alias("vid")).distinct().join(names, "vid").withColumnRenamed("vid", "dst")
     hosts = graph.vertices.where("vtype = 'host'").select(F.col("vid").alias("host"))
-    held = graph.edges.where(F.col("label").isin("published_to", "present_in")).select(F.col("dst").alias("host"), F.col("src").alias("vid")).distinct().join(hosts, "host", "left_semi").join(names, "vid").withColumnRenamed("vid", "src")
-    met = fetched.join(held, ["host", "akey"]).where("src <> dst")
+    fetched = graph.edges.where("label = 'fetched_from'").select(F.col("src").alias("host"), F.col("dst").alias("vid"), F.lit("fetched").alias("side"))
+    held = graph.edges.where(F.col("label").isin("published_to", "present_in")).select(F.col("dst").alias("host"), F.col("src").alias("vid"), F.lit("held").alias("side"))
+    both = fetched.unionAll(held.join(hosts, "host", "left_semi")).distinct()
+    return both.join(names, "vid").select("host", "akey", "vid", "side")
+
+
+def copy_edges(sides: DataFrame, predecessor_only: bool = False) -> DataFrame:
+    """src, dst: a fetched artifact takes the status of the copies with its identity that the
+    host holds. Joined on (host, identity), so a busy host is not one key; where several
+    are held and several fetched, they meet in a hub (a vertex of its own, negative id), so
+    edges are linear in the copies. predecessor_only: only copies of smaller ids, by pairs."""
+    group = ["host", "akey"]
+    fetched = sides.where("side = 'fetched'").select(*group, F.col("vid").alias("dst"))
+    held = sides.where("side = 'held'").select(*group, F.col("vid").alias("src"))
     if predecessor_only:
-        met = met.where("src < dst")
-    return met.select("host", "src", "dst")
+        return fetched.join(held, group).where("src < dst").select("src", "dst")
+    sizes = sides.groupBy(*group).agg(F.count_if(F.col("side") == "held").alias("h"), F.count_if(F.col("side") == "fetched").alias("f"))
+    many = Staged(sizes.where("h * f > h + f").select(*group, (-1 - F.monotonically_increasing_id()).alias("hub")), "hubs").df
+    if not many.limit(1).count():
+        return fetched.join(held, group).where("src <> dst").select("src", "dst")
+    few = fetched.join(many, group, "left_anti").join(held, group).where("src <> dst").select("src", "dst")
+    into = held.join(many, group).select("src", F.col("hub").alias("dst"))
+    return few.unionAll(into).unionAll(fetched.join(many, group).select(F.col("hub").alias("src"), "dst"))
 
 
 def compile_graph(graph: BuildHistory, seeds: DataFrame | None = None, rules: str = "paper", drop_labels: tuple[str, ...] = (), unknown: str = "malicious", predecessor_only: bool = False, host_vuln: str = "record") -> Compiled:
@@ -110,10 +128,11 @@ def compile_graph(graph: BuildHistory, seeds: DataFrame | None = None, rules: st
     spark = graph.vertices.sparkSession
     kinds = graph.vertices.select(F.col("vid").alias("dst"), F.col("vtype").alias("dst_type"))
     table = transfer_table(spark, rules)
-    copies = copy_edges(graph, predecessor_only)
+    copies = copy_sides(graph)
     edges = graph.edges.where(~F.col("label").isin("published_to", *drop_labels)).select("src", "dst", "label").join(kinds, "dst")
     if "copy" not in drop_labels:
-        edges = edges.select("src", "dst", "label", "dst_type").unionAll(copies.select("src", "dst", F.lit("copy").alias("label"), F.lit("artifact").alias("dst_type")))
+        met = copy_edges(copies, predecessor_only)
+        edges = edges.select("src", "dst", "label", "dst_type").unionAll(met.select("src", "dst", F.lit("copy").alias("label"), F.lit("artifact").alias("dst_type")))
     if rules == "parts_only":
         table = spark.createDataFrame([(label, kind, PASS) for label, kind in TRANSFER if (label, kind) in PARTS_ONLY], "label string, dst_type string, mask int")
     prop = edges.join(F.broadcast(table), ["label", "dst_type"]).select("src", "dst", "mask", "label").distinct()

@@ -134,6 +134,26 @@ RAW = "raw AS (SELECT src, dst, label FROM edges WHERE label <> 'copy' UNION ALL
 LAST = "last_release AS (SELECT arg_max('R' || ok, seq) AS v FROM ord)"
 MISSING = "mal(v) AS (SELECT DISTINCT 'HS0' FROM copies WHERE sk = 0 UNION SELECT e.dst FROM mal m JOIN edges e ON e.src = m.v WHERE NOT (e.label = 'copy' AND e.dst LIKE '%@0'))"
 
+TIMED = f"{_with(_edges())}, active AS (SELECT DISTINCT 'HS' || u.sk AS src, 'C' || u.up || '@' || u.sk AS dst FROM used u JOIN lineitem l ON l_orderkey = u.ok AND l_partkey = u.pk AND l_suppkey = u.sk AND l_returnflag = u.f AND l_linestatus = u.s WHERE NOT (u.f = 'A' AND u.s = 'O') AND u.sk % 97 = 3 AND l_shipdate >= TIMESTAMP '1995-01-01' + to_days((20 * u.sk)::INT) AND l_shipdate < TIMESTAMP '1995-01-01' + to_days((20 * u.sk + 90)::INT)), timed AS MATERIALIZED (SELECT e.* FROM edges e WHERE e.src NOT IN ({SEEDS['HM']}) OR (e.src, e.dst) IN (SELECT src, dst FROM active))"
+WEEK = """malw{w}(v) AS (SELECT 'HS' || key FROM feed WHERE kind = 'HM' AND ts < TIMESTAMP '2024-01-01' + to_days({after}) UNION SELECT e.dst FROM malw{w} m JOIN edges e ON e.src = m.v),
+vulw{w}(v) AS (SELECT 'P' || key FROM feed WHERE kind = 'SV' AND ts < TIMESTAMP '2024-01-01' + to_days({after}) UNION SELECT e.dst FROM vulw{w} m JOIN edges e ON e.src = m.v WHERE e.mask = 3)"""
+FOUR = "SV,SM,HV,HM"
+AUDITED = f"""{_with(_edges(), _levels(FOUR))}, pick AS (SELECT 'build' AS kind, c_custkey AS k, 'HC' || c_custkey AS v, c_nationkey AS nk FROM customer UNION ALL SELECT 'storage', s_suppkey, 'HS' || s_suppkey, s_nationkey FROM supplier),
+bad AS MATERIALIZED (SELECT kind, k, v, nk, {_status('v')} AS status FROM pick WHERE {_status('v')} > 0),
+hit(s, v) AS (SELECT v, v FROM bad UNION SELECT h.s, e.dst FROM hit h JOIN edges e ON e.src = h.v),
+per AS (SELECT s, count(*) AS n FROM hit WHERE v LIKE 'R%' GROUP BY s),
+audited AS (SELECT kind, k, n_name AS nation, r_name AS region, status, coalesce(n, 0) AS n FROM bad LEFT JOIN per ON s = v JOIN nation ON n_nationkey = nk JOIN region ON r_regionkey = n_regionkey)"""
+SCORED = f"""{_with(_edges())}, weighed AS MATERIALIZED (SELECT src, dst, mask, CASE label WHEN 'produces' THEN 0.9::DOUBLE WHEN 'fetched_from' THEN round(1.0::DOUBLE - least(0.5::DOUBLE, greatest(0.0::DOUBLE, s_acctbal / 20000)), 6) ELSE 1.0::DOUBLE END AS w FROM edges LEFT JOIN supplier ON label = 'fetched_from' AND src = 'HS' || s_suppkey),
+start AS (SELECT v, max(s)::DOUBLE AS s FROM (SELECT 'P' || p_partkey AS v, 1 AS s FROM part WHERE p_size >= 45 UNION ALL SELECT 'P' || p_partkey, 2 FROM part WHERE p_partkey % 997 = 5) GROUP BY v),
+hit(v, s) USING KEY (v) AS (SELECT v, s FROM start UNION SELECT e.dst, max(round(CASE WHEN h.s > 1 THEN 1 + (h.s - 1) * w ELSE h.s * w END, 9)) FROM hit h JOIN weighed e ON e.src = h.v LEFT JOIN recurring.hit o ON o.v = e.dst WHERE h.s > 1 OR e.mask = 3 GROUP BY e.dst, o.s HAVING max(round(CASE WHEN h.s > 1 THEN 1 + (h.s - 1) * w ELSE h.s * w END, 9)) > coalesce(o.s, 0))
+SELECT o_orderkey AS order_key, round(coalesce(s, 0.0), 6) AS score FROM orders LEFT JOIN hit ON v = 'R' || o_orderkey"""
+# By hand from the rules: the sets behind a part, two hosts, an environment and a step.
+ELEMENTS = "SELECT * FROM (VALUES " + ", ".join(f"('{c}', {t}::BIGINT, {s}, '{a}', '{b}', '{d}', '{e}')" for c, t, s, a, b, d, e in (
+    ("uc1", 4, 1, "4", "", "", ""), ("uc1", 5, 1, "4", "", "5", ""), ("uc1", 7, 0, "3,4", "", "5", ""), ("uc1", 8, 0, "2,3,4", "", "5", ""), ("uc1", 11, 0, "", "", "", ""),
+    ("uc2", 4, 0, "", "", "", ""), ("uc2", 5, 0, "", "", "", ""), ("uc2", 7, 0, "", "", "", ""), ("uc2", 8, 1, "6", "", "", ""), ("uc2", 11, 0, "", "", "", ""),
+    ("uc3", 4, 2, "", "4", "", ""), ("uc3", 5, 2, "", "4", "", "5"), ("uc3", 7, 2, "", "4", "", "5"), ("uc3", 8, 2, "", "4", "", "5"), ("uc3", 11, 0, "", "", "", ""),
+)) + ") AS t(use_case, target, status, sv, sm, hv, hm)"
+
 ORACLES: dict[str, str] = {
     "ex_vertices": "SELECT * FROM (VALUES " + ", ".join(f"({v}::BIGINT, '{t}', {2 if v in (4, 5, 7, 8, 9, 10) else 0})" for v, t in EXAMPLE_TYPES.items()) + ") AS t(vid, vtype, status)",
     "ex_validate": "SELECT * FROM (VALUES " + ", ".join(f"('{label}', '{EXAMPLE_TYPES[int(s)]}', '{EXAMPLE_TYPES[int(d)]}', true)" for s, label, d in _EDGE_ROWS) + ") AS t(label, src_type, dst_type, legal)",
@@ -153,7 +173,7 @@ ORACLES: dict[str, str] = {
     "compiled_edges": f"{_with(_edges())} SELECT label, mask, count(*) AS n FROM edges GROUP BY ALL",
     "uc1_safe_despite_vulnerable_upstream": f"{_with(_edges(), _levels('SV'))}, weak(v) AS (SELECT v FROM vul WHERE v LIKE 'P%' OR v LIKE 'R%' OR v LIKE 'C%' UNION SELECT e.dst FROM weak w JOIN edges e ON e.src = w.v) SELECT o_orderkey AS order_key FROM orders WHERE {_status(R)} = 0 AND {R} IN (SELECT v FROM weak)",
     "uc2_vulnerable_releases": _releases("SV", having="WHERE status > 0"),
-    "uc2_patch_candidates": f"{_with(_edges())}, hit(s, v) AS (SELECT p_partkey, 'P' || p_partkey FROM part WHERE p_size = 50 UNION SELECT h.s, e.dst FROM hit h JOIN edges e ON e.src = h.v WHERE e.mask = 3), n AS (SELECT p_partkey AS part_key, count(h.v) AS n_releases FROM part LEFT JOIN hit h ON h.s = p_partkey AND h.v LIKE 'R%' WHERE p_size = 50 GROUP BY ALL) SELECT part_key, n_releases, rank() OVER (ORDER BY n_releases DESC)::INT AS rank FROM n",
+    "uc2_patch_candidates": f"{_with(_edges())}, hit(s, v) AS (SELECT p_partkey, 'P' || p_partkey FROM part WHERE p_size >= 45 UNION SELECT h.s, e.dst FROM hit h JOIN edges e ON e.src = h.v WHERE e.mask = 3), n AS (SELECT p_partkey AS part_key, count(h.v) AS n_releases FROM part LEFT JOIN hit h ON h.s = p_partkey AND h.v LIKE 'R%' WHERE p_size >= 45 GROUP BY ALL) SELECT part_key, n_releases, rank() OVER (ORDER BY n_releases DESC)::INT AS rank FROM n",
     "uc3_malicious_releases": _releases(BOTH, having="WHERE status = 2", columns="order_key"),
     "uc3_missed_by_parts_only": _two("a = 2 AND b < 2", PARTS, True),
     "uc3_host_path_only": _two("a = 2 AND b < 2", "e.label <> 'hosts_env'"),
@@ -171,9 +191,13 @@ ORACLES: dict[str, str] = {
     "copy_mixed_hosts": f"{_with(COPY_EDGES)} SELECT source, count(*) FILTER (context_status = 2) AS tainted, count(*) FILTER (context_status < 2) AS clean FROM context GROUP BY ALL HAVING tainted > 0 AND clean > 0",
     "chain_status": CHAIN,
     "levels_status": CHAIN,
-    "two_phase_status": CHAIN,
+    "two_phase_status": _releases(BOTH),
+    "retract_far_status": _releases("SV"),
+    "recursive_example": "SELECT * FROM (VALUES " + ", ".join(f"({v}::BIGINT, '{t}', {2 if v in (4, 5, 7, 8, 9, 10) else 0})" for v, t in EXAMPLE_TYPES.items()) + ") AS t(vid, vtype, status)",
+    "recursive_chain_status": CHAIN,
     "takedown_list": f"{_with(_edges(), _levels(BOTH))} SELECT sk AS supplier_key, count(DISTINCT up) AS n_malicious FROM copies WHERE up IN (SELECT v FROM mal) GROUP BY ALL",
-    "audit_hosts_topk": f"{_with(_edges(), _levels(THREE))}, pick AS (SELECT c_custkey AS k FROM customer WHERE {_status(chr(39) + 'HC' + chr(39) + ' || c_custkey')} > 0 ORDER BY c_custkey LIMIT 20), hit(k, v) AS (SELECT k, 'HC' || k FROM pick UNION SELECT h.k, e.dst FROM hit h JOIN edges e ON e.src = h.v), n AS (SELECT p.k, count(h.v) AS n FROM pick p LEFT JOIN hit h ON h.k = p.k AND h.v LIKE 'R%' GROUP BY ALL) SELECT 'build' AS kind, k AS host_key, n AS n_affected, rank() OVER (ORDER BY n DESC)::INT AS rank FROM n",
+    "audit_hosts_topk": f"{AUDITED} SELECT kind, k AS host_key, nation, region, status, n AS n_affected, rank() OVER (ORDER BY n DESC)::INT AS rank FROM (SELECT * FROM audited ORDER BY n DESC, kind, k LIMIT 20)",
+    "audit_by_nation": f"{AUDITED} SELECT region, nation, kind, status, count(*) AS n_hosts, max(n) AS most_affected FROM audited GROUP BY ALL",
     "verdict_sample": f"{VERDICTS} SELECT ok AS order_key, {_status(chr(39) + 'R' + chr(39) + ' || ok')} AS status, " + ", ".join(f"(SELECT count(*) FROM members m WHERE m.t = ok AND cls = '{c.upper()}')::INT AS n_{c}" for c in ("sv", "sm", "hv", "hm")) + " FROM pick",
     "verdict_arrays": f"{VERDICTS} SELECT ok AS order_key, (SELECT count(DISTINCT v) FROM members m WHERE m.t = ok AND cls IN ('SV', 'SM'))::INT AS n_flagged, coalesce((SELECT string_agg(k, ',' ORDER BY k) FROM (SELECT DISTINCT substr(v, 2)::BIGINT AS k FROM members m WHERE m.t = ok AND v LIKE 'P%')), '') AS parts, coalesce((SELECT string_agg(k, ',' ORDER BY k) FROM (SELECT DISTINCT substr(v, 3)::BIGINT AS k FROM members m WHERE m.t = ok AND v LIKE 'HC%' ORDER BY k LIMIT 5)), '') AS first_hosts FROM pick",
     "verdict_long": f"{VERDICTS} SELECT t AS order_key, cls, count(*) AS n FROM members GROUP BY ALL",
@@ -186,20 +210,26 @@ ORACLES: dict[str, str] = {
     "setop_only_flat": _two("b > 0 AND a = 0", flat=True),
     "sca_parts_status": _releases(BOTH, where=PARTS, flat=True),
     "flat_status": _releases(BOTH, flat=True),
-    "attack_tree_nodes": f"{_with(_edges(), LAST)}, tree(v, depth) AS (SELECT v, 0 FROM last_release UNION SELECT e.src, t.depth + 1 FROM tree t JOIN edges e ON e.dst = t.v WHERE t.depth < 6), least AS (SELECT v, min(depth) AS depth FROM tree GROUP BY ALL) SELECT depth::INT AS depth, ({CODE})::INT AS node_code, count(*) AS n, count(*) FILTER (v IN ({SEEDS['SM']})) AS leaves FROM least GROUP BY ALL",
+    "attack_tree_nodes": f"{_with(_edges(), LAST)}, tree(v, depth) AS (SELECT v, 0 FROM last_release UNION SELECT e.src, t.depth + 1 FROM tree t JOIN edges e ON e.dst = t.v WHERE t.depth < 6), least AS (SELECT v, min(depth) AS depth FROM tree GROUP BY ALL) SELECT DISTINCT a.v AS node, e.dst AS parent, a.depth::INT AS depth, 'OR' AS gate, a.v IN ({SEEDS['SM']}) AS leaf FROM least a JOIN edges e ON e.src = a.v JOIN least b ON b.v = e.dst AND b.depth < 6 UNION ALL SELECT v, NULL, 0, 'OR', false FROM last_release",
     "blast_radius": f"{_with(_edges())}, seed(k, key, v) AS (SELECT 'part', p_partkey, 'P' || p_partkey FROM part WHERE p_partkey % 997 = 5 UNION ALL SELECT 'supplier', s_suppkey, 'HS' || s_suppkey FROM supplier WHERE s_suppkey % 97 = 3), hit(s, v) AS (SELECT v, v FROM seed UNION SELECT h.s, e.dst FROM hit h JOIN edges e ON e.src = h.v) SELECT k AS kind, key AS seed_key, (SELECT count(*) FROM hit h WHERE h.s = seed.v AND h.v LIKE 'R%') AS n_products FROM seed",
     "cyc_status": _releases(BOTH, cyclic=True),
     "semi_naive_status": _releases(BOTH),
     "contracted_status": _releases(BOTH),
     "finisher_status": _releases(BOTH),
     "degree_hist": f"{_with(_edges(), NODES, RAW)} SELECT degree, count(*) AS n FROM (SELECT v, count(raw.dst) AS degree FROM nodes LEFT JOIN raw ON raw.dst = v GROUP BY v) GROUP BY ALL",
-    "reach_count": f"{_with(_edges())}, hit(s, v, hops) USING KEY (s, v) AS (SELECT p_partkey, 'P' || p_partkey, 0 FROM part WHERE p_partkey < 5 UNION SELECT h.s, e.dst, min(h.hops) + 1 FROM hit h JOIN edges e ON e.src = h.v LEFT JOIN recurring.hit o ON o.s = h.s AND o.v = e.dst WHERE o.v IS NULL GROUP BY h.s, e.dst) SELECT s AS part_key, count(*) AS n, max(hops)::BIGINT AS hops FROM hit GROUP BY ALL",
+    "reach_count": f"{_with(_edges())}, hit(s, v, hops) USING KEY (s, v) AS (SELECT p_partkey, 'P' || p_partkey, 0 FROM part WHERE p_partkey % 997 = 5 UNION SELECT h.s, e.dst, min(h.hops) + 1 FROM hit h JOIN edges e ON e.src = h.v LEFT JOIN recurring.hit o ON o.s = h.s AND o.v = e.dst WHERE o.v IS NULL GROUP BY h.s, e.dst) SELECT s AS part_key, count(*) AS n, max(hops)::BIGINT AS hops FROM hit GROUP BY ALL",
     "components_small": f"{_with(COPY_EDGES)}, both_ways AS (SELECT src, dst FROM edges UNION SELECT dst, src FROM edges), near(v, r) AS (SELECT DISTINCT src, src FROM both_ways UNION SELECT n.v, b.dst FROM near n JOIN both_ways b ON b.src = n.r), comp AS (SELECT v, min(r) AS c FROM near GROUP BY v), every AS (SELECT 'D' || doc_id AS v FROM documents UNION SELECT DISTINCT 'H' || source FROM documents), sized AS (SELECT coalesce(c, e.v) AS c, count(*) AS size FROM every e LEFT JOIN comp USING (v) GROUP BY ALL) SELECT size, count(*) AS n FROM sized GROUP BY ALL",
     "anti_roots": "SELECT p_partkey AS part_key FROM part WHERE p_partkey NOT IN (SELECT o_orderkey % (SELECT count(*) FROM part) FROM orders)",
     "graph_roots": f"{_with(_edges(), NODES, RAW)} SELECT kind, ({CODE})::INT AS node_code, count(*) AS n FROM (SELECT 'root' AS kind, v FROM nodes WHERE v NOT IN (SELECT dst FROM raw) UNION ALL SELECT 'sink', v FROM nodes WHERE v NOT IN (SELECT src FROM raw)) GROUP BY ALL",
-    "disclosure_replay": f"{_with(_edges(), _levels('SV', '1'), _levels('SV,SM', '2'), _levels('SV,SM,HM', '3'))} SELECT step::INT AS step, status, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT {i} AS step, {_status(R, str(i))} AS status FROM orders" for i in (1, 2, 3)) + ") GROUP BY ALL",
+    "usecase_replay": f"{_with(_edges(), _levels('SV', '1'), _levels('SV,SM', '2'), _levels('SV,SM,HM', '3'))} SELECT step::INT AS step, status, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT {i} AS step, {_status(R, str(i))} AS status FROM orders" for i in (1, 2, 3)) + ") GROUP BY ALL",
+    "disclosure_replay": f"{_with(_edges(), FEED, *[WEEK.format(w=w, after=7 * (w + 1)) for w in range(5)])} SELECT step::INT AS step, status, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT {w + 1} AS step, {_status(R, f'w{w}')} AS status FROM orders" for w in range(5)) + ") GROUP BY ALL",
+    "temporal_gain": f"{TIMED}, {_levels('SV,HM', 't', edges='timed')}, {_levels('SV,HM')} SELECT plain_status, temporal_status, count(*) AS n FROM (SELECT {_status(R)} AS plain_status, {_status(R, 't')} AS temporal_status FROM orders) GROUP BY ALL",
+    "scored_releases": SCORED,
+    "verdict_elements": ELEMENTS,
+    "verdict_host_in_context": "SELECT * FROM (VALUES (11::BIGINT, 12::BIGINT, 2), (11, 13, 0)) AS t(target, artifact, status)",
+    "topo_levels": f"{_with(_edges(), NODES)}, lev(v, level) USING KEY (v) AS (SELECT v, 0 FROM nodes UNION SELECT e.dst, max(l.level) + 1 FROM lev l JOIN edges e ON e.src = l.v LEFT JOIN recurring.lev o ON o.v = e.dst GROUP BY e.dst, o.level HAVING max(l.level) + 1 > coalesce(o.level, -1)) SELECT level::BIGINT AS level, count(*) AS n FROM lev GROUP BY ALL",
     "stream_replay_status": f"{_with(_edges(), FEED)}, mal(v) AS (SELECT 'HS' || key FROM feed WHERE kind = 'HM' UNION SELECT e.dst FROM mal m JOIN edges e ON e.src = m.v), vul(v) AS (SELECT 'P' || key FROM feed WHERE kind = 'SV' UNION SELECT e.dst FROM vul m JOIN edges e ON e.src = m.v WHERE e.mask = 3) SELECT o_orderkey AS order_key, {_status(R)} AS status FROM orders",
-    "temporal_status": f"{_with(_edges())}, active AS (SELECT DISTINCT 'HS' || u.sk AS src, 'C' || u.up || '@' || u.sk AS dst FROM used u JOIN lineitem l ON l_orderkey = u.ok AND l_partkey = u.pk AND l_suppkey = u.sk AND l_returnflag = u.f AND l_linestatus = u.s WHERE NOT (u.f = 'A' AND u.s = 'O') AND u.sk % 97 = 3 AND l_shipdate >= TIMESTAMP '1995-01-01' + to_days((20 * u.sk)::INT) AND l_shipdate < TIMESTAMP '1995-01-01' + to_days((20 * u.sk + 90)::INT)), timed AS MATERIALIZED (SELECT e.* FROM edges e WHERE e.src NOT IN ({SEEDS['HM']}) OR (e.src, e.dst) IN (SELECT src, dst FROM active)), {_levels('SV,HM', edges='timed')} SELECT o_orderkey AS order_key, {_status(R)} AS status FROM orders",
+    "temporal_status": f"{TIMED}, {_levels('SV,HM', edges='timed')} SELECT o_orderkey AS order_key, {_status(R)} AS status FROM orders",
     "retract_status": _releases("SV"),
     "win_tumbling": "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY AS stop, event_type, count(*) AS n FROM events GROUP BY ALL",
     "win_sliding": "WITH d AS (SELECT time_bucket(INTERVAL 1 DAY, ts) AS b, event_type FROM events), w AS (SELECT b AS start, event_type FROM d UNION ALL SELECT b - INTERVAL 1 DAY, event_type FROM d) SELECT start, start + INTERVAL 2 DAY AS stop, event_type, count(*) AS n FROM w GROUP BY ALL",

@@ -6,11 +6,14 @@ are what the step used, in the newest release of that part before the order.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from supplyrisk.operators.graph import BuildHistory
-from supplyrisk.sources.schema import BASE, BUILDER, ENV, RELEASE, STEP, STORAGE, key_of, pack, pack_copy
+from supplyrisk.operators.windows import last_before
+from supplyrisk.plans.memo import memo
+from supplyrisk.plans.staging import Staged
+from supplyrisk.sources.schema import BASE, BUILDER, COPY, ENV, HOST_BITS, KEY_BITS, RELEASE, STEP, STORAGE, code_of, copied_artifact, copy_host, key_of, pack, pack_copy
 from supplyrisk.sources.tables import table
 
 
@@ -26,14 +29,14 @@ def used_releases(lines: DataFrame, releases: DataFrame) -> DataFrame:
     """As-of join: each line (part_key, at, order_key and more) with the newest release of
     its part strictly before it; used_order_key is null if there is none.
 
-    One window per part over lines and releases together, so every row is moved once."""
+    One window per part over lines and releases together, so every row is moved once; a very
+    popular part's rows are cut by time (operators/windows.py)."""
     extra = [c for c in lines.columns if c not in ("part_key", "at", "order_key")]
     null = [F.lit(None).cast(lines.schema[c].dataType).alias(c) for c in extra]
     both = lines.select("part_key", "at", "order_key", *extra, F.lit(0).alias("is_release")).unionAll(releases.select("part_key", "at", "order_key", *null, F.lit(1).alias("is_release")))
     # At one place in time lines come first: a release is not used by its own build.
-    before = Window.partitionBy("part_key").orderBy("at", "order_key", "is_release").rowsBetween(Window.unboundedPreceding, -1)
-    used = F.last(F.when(F.col("is_release") == 1, F.col("order_key")), ignorenulls=True).over(before)
-    return both.withColumn("used_order_key", used).where("is_release = 0").drop("is_release")
+    newest = F.when(F.col("is_release") == 1, F.col("order_key"))
+    return last_before(both, "part_key", ["at", "order_key", "is_release"], newest, "used_order_key").where("is_release = 0").drop("is_release")
 
 
 def lines_and_releases(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -51,6 +54,46 @@ def asof_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return used_releases(lines, releases)
 
 
+def copy_bits(spark: SparkSession, sf_dir: str) -> int | None:
+    """Width of a host key in the ids of copies; None if artifact and host keys do not fit
+    together, so that copies have to be numbered."""
+
+    def bits(name: str, column: str) -> int:
+        return int(table(spark, sf_dir, name).agg(F.coalesce(F.max(column), F.lit(0))).first()[0]).bit_length()
+
+    def make() -> int | None:
+        host = max(HOST_BITS, bits("supplier", "s_suppkey"))
+        return host if max(bits("orders", "o_orderkey"), bits("part", "p_partkey")) <= KEY_BITS - 1 - host else None
+
+    return memo(spark, sf_dir, "copy-bits", make)
+
+
+def numbered_copies(spark: SparkSession, sf_dir: str, used: DataFrame) -> DataFrame:
+    """up, supp_key, copy: a number for each fetched copy, kept in the shared folder."""
+    pairs = used.select("up", "supp_key").distinct()
+    number = F.lit(COPY << KEY_BITS).cast("long").bitwiseOR(F.monotonically_increasing_id())
+    return memo(spark, sf_dir, "copy-numbers", lambda: Staged(pairs.withColumn("copy", number), "copy-numbers").df)
+
+
+def with_copy(spark: SparkSession, sf_dir: str, used: DataFrame) -> DataFrame:
+    """used (up, supp_key and more) with `copy`, the vertex fetched from that storage host."""
+    host_bits = copy_bits(spark, sf_dir)
+    if host_bits is not None:
+        return used.withColumn("copy", pack_copy(F.col("up"), F.col("supp_key"), host_bits))
+    return used.join(numbered_copies(spark, sf_dir, used.where(~((F.col("flag") == "A") & (F.col("state") == "O")))), ["up", "supp_key"], "left")
+
+
+def copy_parts(spark: SparkSession, sf_dir: str, copies: DataFrame, col: str = "vid") -> DataFrame:
+    """copies with `up` (the copied artifact's id) and `supp_key` of each."""
+    host_bits = copy_bits(spark, sf_dir)
+    if host_bits is not None:
+        return copies.withColumns({"up": copied_artifact(F.col(col), host_bits), "supp_key": copy_host(F.col(col), host_bits)})
+    numbers = memo(spark, sf_dir, "copy-numbers", lambda: None)
+    if numbers is None:
+        raise ValueError("copies are numbered when the graph is built")
+    return copies.join(numbers.withColumnRenamed("copy", col), col)
+
+
 def graph(spark: SparkSession, sf_dir: str, cyclic: bool = False) -> BuildHistory:
     """cyclic: the build host holds the newest release, not the base artifact."""
     _, _, orders = lines_and_releases(spark, sf_dir)
@@ -59,7 +102,7 @@ def graph(spark: SparkSession, sf_dir: str, cyclic: bool = False) -> BuildHistor
     up = F.when(F.col("used_order_key").isNull(), base).otherwise(pack(RELEASE, F.col("used_order_key")))
     on_host = (F.col("flag") == "A") & (F.col("state") == "O")
     used = used.withColumns({"up": up, "on_host": on_host})
-    used = used.withColumn("copy", pack_copy(F.col("up"), F.col("supp_key")))
+    used = with_copy(spark, sf_dir, used)
     step, env = pack(STEP, F.col("order_key")), pack(ENV, env_key(F.col("cust_key"), F.col("at")))
     host, storage = pack(BUILDER, F.col("cust_key")), pack(STORAGE, F.col("supp_key"))
 
@@ -117,3 +160,20 @@ def seeds(spark: SparkSession, sf_dir: str, kinds: str = "SV,SM") -> DataFrame:
     for k in filter(None, kinds.split(",")):
         out = all_kinds[k] if out is None else out.unionAll(all_kinds[k])
     return out if out is not None else all_kinds["SV"].limit(0)
+
+
+def vertex_name(vid: Column, host_bits: int = HOST_BITS) -> Column:
+    """What a person would call a vertex: P12 part, R5 release, CP12@3 copy, T5 step,
+    B7/1995-01 environment, HS3 storage host, HC7 build host."""
+
+    def artifact(x: Column) -> Column:
+        return F.concat(F.when(code_of(x) == BASE, "P").otherwise("R"), key_of(x).cast("string"))
+
+    key = key_of(vid)
+    month = F.concat_ws("-", (F.lit(1970) + F.floor((key % 1200) / 12)).cast("string"), F.lpad((key % 12 + 1).cast("string"), 2, "0"))
+    copy = F.concat(F.lit("C"), artifact(copied_artifact(vid, host_bits)), F.lit("@"), copy_host(vid, host_bits).cast("string"))
+    env = F.concat(F.lit("B"), F.floor(key / 1200).cast("string"), F.lit("/"), month)
+    named = F.when(code_of(vid).isin(BASE, RELEASE), artifact(vid)).when(code_of(vid) == COPY, copy).when(code_of(vid) == ENV, env)
+    for code, letters in ((STEP, "T"), (STORAGE, "HS"), (BUILDER, "HC")):
+        named = named.when(code_of(vid) == code, F.concat(F.lit(letters), key.cast("string")))
+    return named

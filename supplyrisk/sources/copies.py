@@ -2,24 +2,29 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from supplyrisk.operators.graph import BuildHistory
-from supplyrisk.sources.schema import DOCUMENT, SOURCE_HOST, pack
+from supplyrisk.operators.windows import last_before
+from supplyrisk.sources.schema import DOCUMENT, SOURCE_HOST, hashed, pack
 from supplyrisk.sources.tables import table
 
 
-def host_key(source: F.Column) -> F.Column:
-    """Sources are named by a word and a number; the number is the key."""
-    return F.coalesce(F.regexp_extract(source, r"(\d+)$", 1).try_cast("long"), F.lit(0))
+def host_id(source: Column) -> Column:
+    return hashed(SOURCE_HOST, source)
+
+
+def hosts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """host (vertex id), source: a row per source."""
+    return table(spark, sf_dir, "documents").select("source").distinct().select(host_id(F.col("source")).alias("host"), "source")
 
 
 def pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, source, previous (doc_id of the copy before), previous_source, akey."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "source", F.sha2(F.col("text").cast("binary"), 256).alias("akey"))
-    order = Window.partitionBy("akey").orderBy("doc_id")
-    return docs.withColumns({"previous": F.lag("doc_id").over(order), "previous_source": F.lag("source").over(order)})
+    got = last_before(docs, "akey", ["doc_id"], F.struct("doc_id", "source"), "before")
+    return got.select("doc_id", "source", "akey", F.col("before.doc_id").alias("previous"), F.col("before.source").alias("previous_source"))
 
 
 def graph(spark: SparkSession, sf_dir: str) -> BuildHistory:
@@ -27,11 +32,11 @@ def graph(spark: SparkSession, sf_dir: str) -> BuildHistory:
     got = pairs(spark, sf_dir)
     no = F.lit(None).cast("map<string,string>").alias("props")
     doc, before = pack(DOCUMENT, F.col("doc_id")), pack(DOCUMENT, F.col("previous"))
-    at = pack(SOURCE_HOST, host_key(F.col("previous_source")))
+    at = host_id(F.col("previous_source"))
     linked = got.where("previous is not null")
     edges = linked.select(before.alias("src"), at.alias("dst"), F.lit("published_to").alias("label")).unionAll(linked.select(at.alias("src"), doc.alias("dst"), F.lit("fetched_from").alias("label")))
-    hosts = got.select(pack(SOURCE_HOST, host_key(F.col("source"))).alias("vid")).distinct()
-    vertices = got.select(doc.alias("vid"), F.lit("artifact").alias("vtype"), "akey", no).unionAll(hosts.select("vid", F.lit("host").alias("vtype"), F.lit(None).cast("string").alias("akey"), no))
+    named = hosts(spark, sf_dir).select(F.col("host").alias("vid")).distinct()
+    vertices = got.select(doc.alias("vid"), F.lit("artifact").alias("vtype"), "akey", no).unionAll(named.select("vid", F.lit("host").alias("vtype"), F.lit(None).cast("string").alias("akey"), no))
     return BuildHistory(vertices, edges.select((-1 - F.xxhash64("src", "dst", "label").bitwiseAND(F.lit(2**62 - 1))).alias("eid"), "src", "dst", "label", no))
 
 

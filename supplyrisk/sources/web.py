@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from supplyrisk.operators.graph import BuildHistory
-from supplyrisk.sources.schema import PAGE, WEB_HOST, pack
+from supplyrisk.sources.schema import PAGE, WEB_HOST, hashed, pack
 from supplyrisk.sources.tables import table
 
 
@@ -15,7 +15,7 @@ def authority(url: Column) -> Column:
 
 
 def host_id(name: Column) -> Column:
-    return pack(WEB_HOST, F.xxhash64(name).bitwiseAND(F.lit((1 << 59) - 1)))
+    return hashed(WEB_HOST, name)
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
