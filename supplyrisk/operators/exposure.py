@@ -138,7 +138,7 @@ def _in_tasks(compiled: Compiled, starts: DataFrame, wanted: DataFrame, by_targe
 def _spread(compiled: Compiled, starts: DataFrame, options: RunOptions) -> DataFrame:
     """block, need, vid, bits of all that is reached: a loop of joins."""
     edges = compiled.prop.select(F.col("src").alias("vid"), F.col("dst").alias("next"), "mask")
-    one = F.shiftleft(F.lit(1).cast("long"), F.col("bit"))
+    one = F.expr("shiftleft(1L, bit)")
     state = Staged(starts.groupBy("block", "need", "vid").agg(F.bit_or(one).alias("bits")), "spread").df
     frontier = state
     key = ["block", "need", "vid"]
@@ -187,7 +187,7 @@ def class_counts(compiled: Compiled, members: DataFrame, targets: DataFrame, opt
     if _small(compiled, options):
         parts = _in_tasks(compiled, dealt, targets, True)
     else:
-        masks = numbers.groupBy("block", "need", "cls").agg(F.bit_or(F.shiftleft(F.lit(1).cast("long"), F.col("bit"))).alias("of"))
+        masks = numbers.groupBy("block", "need", "cls").agg(F.bit_or(F.expr("shiftleft(1L, bit)")).alias("of"))
         held = _spread(compiled, dealt, options).join(targets.select("vid").distinct(), "vid", "left_semi")
         parts = held.join(masks, ["block", "need"]).select("vid", "cls", F.bit_count(F.col("bits").bitwiseAND(F.col("of"))).cast("long").alias("n"))
     return parts.groupBy("vid", "cls").agg(F.sum("n").alias("n")).where("n > 0")
