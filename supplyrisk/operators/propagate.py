@@ -84,9 +84,10 @@ def _loop(prop: DataFrame, start: DataFrame, options: RunOptions, log: RunLog, m
         raised = got.join(old, "vid", "left").where("status > coalesce(old, 0)").select("vid", "status")
         if settled is not None:
             raised = raised.join(settled.select("vid"), "vid", "left_anti")
-        step = Staged(raised, "frontier")
+        grown = Observation()
+        step = Staged(raised.observe(grown, F.count(F.lit(1)).alias("n")), "frontier")
         sent_from, frontier = n, step.df
-        n = frontier.count()
+        n = grown.get["n"]
         log.add(frontier=sent_from, messages=seen.get.get("messages", 0), raised=n, shuffle_bytes=shuffled_bytes(prop.sparkSession) - written, seconds=time.time() - began)
         history.append(frontier)
         staged.append(step)
