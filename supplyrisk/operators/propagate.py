@@ -2,7 +2,7 @@
 
 `semi_naive` sends only raised vertices over their out-edges each round; `two_phase`
 settles malice first, then vulnerability around it; `contracted` takes out pass-through
-vertices before; `levels` goes by topological rank; `finisher` solves a graph of checked
+vertices before; `jumping` folds linear stretches by pointer jumping; `levels` goes by topological rank; `finisher` solves a graph of checked
 size in one task; `auto` counts the edges and picks the last where it fits, else lays them out. All give the
 same statuses.
 """
@@ -155,6 +155,12 @@ def run(compiled: Compiled, mode: str = "auto", options: RunOptions | None = Non
         state, _ = run(small, "auto", options)
         back = gone.join(state.select(F.col("vid").alias("parent"), "status"), "parent").select("vid", passed(F.col("status"), F.col("mask")).alias("status")).where("status > 0")
         return Staged(state.unionAll(back), "status").df, log
+    if mode == "jumping":
+        from supplyrisk.operators.jumping import fold_stretches, unfold
+
+        small, folded = fold_stretches(compiled)
+        state, _ = run(small, "auto", options)
+        return Staged(state.unionAll(unfold(state, folded)), "status").df, log
     if mode == "levels":
         return _by_levels(compiled, options, log), log
     raise ValueError(mode)

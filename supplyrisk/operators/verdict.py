@@ -125,39 +125,47 @@ def verdict_sizes(compiled: Compiled, state: DataFrame, options: propagate.RunOp
     return wide if targets is None else wide.join(targets.select(F.col("target").alias("vid")), "vid", "left_semi")
 
 
-def explain(compiled: Compiled, state: DataFrame, target: int, options: propagate.RunOptions | None = None) -> DataFrame:
-    """target, hop, vid, label: a shortest path from a fact to the target that explains its
-    status (hop 0 is the target; label is of the edge into the vertex, null for the fact).
+def explain(compiled: Compiled, state: DataFrame, target: int, k: int = 1, options: propagate.RunOptions | None = None) -> DataFrame:
+    """target, rank, hop, vid, label: a shortest path from each of the k facts nearest to the
+    target that explain its status (rank 1 is the nearest, ties by smaller id; hop 0 is the
+    target; label is of the edge into the vertex, null for the fact).
 
-    Each vertex keeps its level-wise parent of fewest hops, then smallest id."""
+    Each vertex keeps its parent of fewest hops, then smallest id. Only what k paths cross
+    comes to the driver."""
     options = options or propagate.RunOptions()
     spark = compiled.prop.sparkSession
+    schema = "target long, rank int, hop int, vid long, label string"
     level = state.where(F.col("vid") == target).select("status").first()
     if level is None:
-        return spark.createDataFrame([], "target long, hop int, vid long, label string")
+        return spark.createDataFrame([], schema)
     need = 2 if level[0] == 2 else 1
     edges = Staged(compiled.prop.where(F.col("mask").bitwiseAND(F.lit(need)) != 0).select("src", "dst", "label"), "explain").df
     facts = compiled.seeds.where(F.col("status") == level[0]).select("vid")
-    # Backward from the target until a fact is met, then forward along kept links.
-    seen = Staged(spark.createDataFrame([(target, None, None, 0)], "vid long, child long, label string, hop int"), "explain").df
-    frontier = seen
-    for hop in range(1, options.max_rounds):
-        met = frontier.join(facts, "vid", "left_semi").orderBy("vid").limit(1).collect()
-        if met:
-            path, at = [], met[0]["vid"]
-            links = {}
-            while at != target:  # one lookup per hop of the answer
-                row = seen.where(F.col("vid") == at).first()
-                path.append(at)
-                links[row["child"]] = row["label"]
-                at = row["child"]
-            path.append(target)
-            n = len(path) - 1
-            return spark.createDataFrame([(target, n - i, v, links.get(v)) for i, v in enumerate(path)], "target long, hop int, vid long, label string")
-        step = frontier.select(F.col("vid").alias("dst")).join(edges, "dst").groupBy(F.col("src").alias("vid")).agg(F.min(F.struct("dst", "label")).alias("m"))
-        step = step.join(seen.select("vid"), "vid", "left_anti").select("vid", F.col("m.dst").alias("child"), F.col("m.label").alias("label"), F.lit(hop).alias("hop"))
-        frontier = Staged(step, "explain").df
-        if not frontier.limit(1).count():
+    # Backward from the target, a layer per hop, until enough facts are met.
+    layers = [Staged(spark.createDataFrame([(target, None, None)], "vid long, child long, label string"), "explain").df]
+    seen, found = layers[0].select("vid"), []
+    while True:
+        met = layers[-1].join(facts, "vid", "left_semi").orderBy("vid").limit(k - len(found)).collect()
+        found += [(len(layers) - 1, row["vid"]) for row in met]
+        if len(found) == k or len(layers) > options.max_rounds:
             break
-        seen = seen.unionAll(frontier)
-    return spark.createDataFrame([], "target long, hop int, vid long, label string")
+        step = layers[-1].select(F.col("vid").alias("dst")).join(edges, "dst").groupBy(F.col("src").alias("vid")).agg(F.min(F.struct("dst", "label")).alias("m"))
+        step = step.join(seen, "vid", "left_anti").select("vid", F.col("m.dst").alias("child"), F.col("m.label").alias("label"))
+        layer = Staged(step, "explain").df
+        if not layer.limit(1).count():
+            break
+        layers.append(layer)
+        seen = seen.unionAll(layer.select("vid"))
+        if len(layers) % options.compact_every == 0:
+            seen = Staged(seen, "explain").df
+    # Forward again: a layer is read once, for the at most k vertices that paths cross in it.
+    rows, at, into = [], {}, {}
+    for hop in range(len(layers) - 1, -1, -1):
+        at |= {rank: vid for rank, (far, vid) in enumerate(found, 1) if far == hop}
+        if not at:
+            continue
+        kept = {row["vid"]: row for row in layers[hop].where(F.col("vid").isin(sorted(set(at.values())))).collect()}
+        for rank, vid in at.items():
+            rows.append((target, rank, hop, vid, into.get(rank)))
+            at[rank], into[rank] = kept[vid]["child"], kept[vid]["label"]
+    return spark.createDataFrame(rows, schema)

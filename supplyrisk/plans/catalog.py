@@ -14,7 +14,7 @@ from supplyrisk.operators.graph import BuildHistory
 from supplyrisk.plans.compile import Compiled, compile_graph
 from supplyrisk.plans.memo import memo
 from supplyrisk.plans.staging import Staged
-from supplyrisk.sources import build, chain, copies, example, feed, web
+from supplyrisk.sources import build, buildlog, chain, copies, example, feed, web
 from supplyrisk.sources.schema import BASE, BUILDER, COPY, ENV, PAGE, RELEASE, STEP, STORAGE, TURN, code_of, key_of, pack
 from supplyrisk.sources.tables import table
 
@@ -486,7 +486,7 @@ def _in_mode(mode: str, name: str, far: bool = False) -> Callable[[SparkSession,
     return run
 
 
-for _mode, _name, _far in (("semi_naive", "semi_naive_status", True), ("two_phase", "two_phase_status", True), ("contracted", "contracted_status", False), ("finisher", "finisher_status", False)):
+for _mode, _name, _far in (("semi_naive", "semi_naive_status", True), ("two_phase", "two_phase_status", True), ("contracted", "contracted_status", False), ("jumping", "jumping_status", False), ("finisher", "finisher_status", False)):
     query(_in_mode(_mode, _name, _far))
 
 
@@ -687,7 +687,8 @@ def hll_sizes(spark: SparkSession, sf: str) -> DataFrame:
 
 @query
 def explain_paths(spark: SparkSession, sf: str) -> DataFrame:
-    return verdict.explain(_compiled(spark, sf, "SV,SM"), _state(spark, sf, "SV,SM"), _late_release(spark, sf))
+    """Paths from the three facts nearest to the newest release."""
+    return verdict.explain(_compiled(spark, sf, "SV,SM"), _state(spark, sf, "SV,SM"), _late_release(spark, sf), 3)
 
 
 @query
@@ -900,6 +901,31 @@ def udtf_example(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql("SELECT src, label, dst FROM expand_example('')")
 
 
+@query
+def udtf_attack_paths(spark: SparkSession, sf: str) -> DataFrame:
+    """Every way from three malicious artifacts of the worked example to its products."""
+    udfs.register(spark)
+    compiled = compile_graph(example.graph(spark), example.seeds(spark, [("SM", 3), ("SM", 4), ("SM", 6)]))
+    bad = compiled.seeds.where("status = 2").select(F.col("vid").alias("src"), F.lit(True).alias("fact"))
+    edges = compiled.prop.where("mask >= 2").join(bad, "src", "left").select("src", "label", "dst", F.coalesce("fact", F.lit(False)).alias("fact"))
+    edges.crossJoin(F.broadcast(spark.createDataFrame([(9,), (10,)], "target long"))).createOrReplaceTempView("_example_edges")  # 2 rows
+    return spark.sql("SELECT target, fact, hops, path FROM attack_paths(TABLE(_example_edges) PARTITION BY (target), 10)")
+
+
+@query
+def buildlog_edges(spark: SparkSession, sf: str) -> DataFrame:
+    """Orders written as JSON build records and read back through the build log source."""
+    o = table(spark, sf, "orders").select(F.col("o_orderkey").alias("order_key"), F.col("o_custkey").cast("string").alias("host"), F.concat_ws("/", F.col("o_custkey").cast("string"), F.date_format("o_orderdate", "yyyy-MM")).alias("env"))
+    part = F.concat(F.lit("P"), F.col("l_partkey").cast("string"))
+    uses = [F.collect_set(F.when(F.col("l_returnflag") == flag, part)).alias(name) for flag, name in (("N", "inputs"), ("R", "tools"), ("A", "present"))]
+    lines = table(spark, sf, "lineitem").groupBy(F.col("l_orderkey").alias("order_key")).agg(*uses)
+    key = F.col("order_key").cast("string")
+    records = o.join(lines, "order_key", "left").select(F.concat(F.lit("T"), key).alias("step"), "host", "env", "inputs", "tools", "present", F.array(F.concat(F.lit("R"), key)).alias("outputs"))
+    path = buildlog.write(records)
+    e = buildlog.read(spark, path).distinct()
+    return e.groupBy("label", "src_type", "dst_type").agg(F.count("*").alias("n"))
+
+
 @query
 def sql_surface(spark: SparkSession, sf: str) -> DataFrame:
     """Views over vertices, edges and status, queried in SQL."""

@@ -215,6 +215,7 @@ ORACLES: dict[str, str] = {
     "cyc_status": _releases(BOTH, cyclic=True),
     "semi_naive_status": _releases(BOTH),
     "contracted_status": _releases(BOTH),
+    "jumping_status": _releases(BOTH),
     "finisher_status": _releases(BOTH),
     "degree_hist": f"{_with(_edges(), NODES, RAW)} SELECT degree, count(*) AS n FROM (SELECT v, count(raw.dst) AS degree FROM nodes LEFT JOIN raw ON raw.dst = v GROUP BY v) GROUP BY ALL",
     "reach_count": f"{_with(_edges())}, hit(s, v, hops) USING KEY (s, v) AS (SELECT p_partkey, 'P' || p_partkey, 0 FROM part WHERE p_partkey % 997 = 5 UNION SELECT h.s, e.dst, min(h.hops) + 1 FROM hit h JOIN edges e ON e.src = h.v LEFT JOIN recurring.hit o ON o.s = h.s AND o.v = e.dst WHERE o.v IS NULL GROUP BY h.s, e.dst) SELECT s AS part_key, count(*) AS n, max(hops)::BIGINT AS hops FROM hit GROUP BY ALL",
@@ -256,6 +257,18 @@ ORACLES: dict[str, str] = {
     "exposure_percentiles": "WITH per AS (SELECT l_orderkey, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY ALL) SELECT o_orderstatus, quantile_cont(n, 0.5) AS median, quantile_cont(n, 0.9) AS p90, max(n) AS most FROM orders JOIN per ON l_orderkey = o_orderkey GROUP BY ALL",
     "export_verdict_json": f"{VERDICTS} SELECT '{{\"order_key\":' || ok || ',\"status\":' || {_status(chr(39) + 'R' + chr(39) + ' || ok')} || ',\"n_sm\":' || (SELECT count(*) FROM members m WHERE m.t = ok AND cls = 'SM') || '}}' AS line FROM pick",
     "udf_status_name": f"{_with(_edges(), _levels(BOTH))} SELECT CASE status WHEN 0 THEN 'safe' WHEN 1 THEN 'vulnerable' ELSE 'malicious' END AS name, status AS level, count(*) AS n FROM (SELECT {_status(R)} AS status FROM orders) GROUP BY ALL",
+    "udtf_attack_paths": "WITH RECURSIVE e(src, label, dst) AS (VALUES " + ", ".join(f"({s}::BIGINT, '{label}', {d}::BIGINT)" for s, label, d in _EDGE_ROWS if label != "published_to") + """),
+walk(target, vid, hops, path, crossed) AS (SELECT t, t, 0, t::VARCHAR, [t] FROM (VALUES (9::BIGINT), (10::BIGINT)) AS t(t)
+  UNION ALL SELECT w.target, e.src, w.hops + 1, e.src || ' -' || e.label || '-> ' || w.path, list_append(w.crossed, e.src) FROM walk w JOIN e ON e.dst = w.vid WHERE w.hops < 10 AND NOT list_contains(w.crossed, e.src))
+SELECT target, vid AS fact, hops::INTEGER AS hops, path FROM walk WHERE vid IN (3, 4, 6)""",
+    "buildlog_edges": """WITH l AS (SELECT DISTINCT l_orderkey AS ok, l_partkey AS pk, l_returnflag AS f FROM lineitem JOIN orders ON o_orderkey = l_orderkey),
+o AS (SELECT o_orderkey AS ok, o_custkey || '/' || strftime(o_orderdate, '%Y-%m') AS env FROM orders)
+SELECT 'feeds' AS label, 'artifact' AS src_type, 'step' AS dst_type, count(*) AS n FROM l WHERE f = 'N'
+UNION ALL SELECT 'tools', 'artifact', 'step', count(*) FROM l WHERE f = 'R'
+UNION ALL SELECT 'present_in', 'artifact', 'env', count(*) FROM (SELECT DISTINCT pk, env FROM l JOIN o USING (ok) WHERE f = 'A')
+UNION ALL SELECT 'runs_step', 'env', 'step', count(*) FROM o
+UNION ALL SELECT 'hosts_env', 'host', 'env', count(DISTINCT env) FROM o
+UNION ALL SELECT 'produces', 'step', 'artifact', count(*) FROM o""",
     "udtf_example": "SELECT * FROM (VALUES " + ", ".join(f"({s}::BIGINT, '{label}', {d}::BIGINT)" for s, label, d in _EDGE_ROWS) + ") AS t(src, label, dst)",
     "sql_surface": f"{_with(_edges(), _levels(BOTH), RAW)} SELECT label, {_status('src')} AS status, count(*) AS n FROM raw GROUP BY ALL",
 }
