@@ -61,7 +61,7 @@ def test_modes_agree(spark, many):
     _, g, seeds = many
     compiled = compile_graph(g, seeds).laid_out(4)
     results = {}
-    for mode in ("finisher", "semi_naive", "two_phase", "contracted", "levels"):
+    for mode in ("finisher", "semi_naive", "two_phase", "contracted", "jumping", "levels"):
         options = propagate.RunOptions(compact_every=2)
         results[mode] = {(r.vid, r.status) for r in propagate.run(compiled, mode, options)[0].collect()}
     assert results["finisher"] and all(r == results["finisher"] for r in results.values())
