@@ -76,7 +76,10 @@ def test_a_fact_explains_itself(spark):
 
 def test_attack_paths_are_those_of_nearest_facts_here(spark, sf):
     got = {(r.target, r.fact): (r.hops, r.path) for r in catalog.udtf_attack_paths(spark, sf).collect()}
-    assert len(got) == 6 and got[9, 6] == (2, "6 -feeds-> 8 -produces-> 9") and got[10, 4][0] == 4
+    flagged = [r.conv_id for r in example.instances(spark, sf).where("flagged").collect()]
+    assert flagged and len(got) == 6 * len(flagged)
+    for at in (16 * conv for conv in flagged):
+        assert got[at + 9, at + 6] == (2, f"{at + 6} -feeds-> {at + 8} -produces-> {at + 9}") and got[at + 10, at + 4][0] == 4
 
 
 def records():
