@@ -91,3 +91,22 @@ def test_timed_facts_act_as_on_the_edges_left(spark):
     for more, expected in (([], [(1, 2), (2, 2), (4, 2)]), ([(4, 1, 3, "feeds")], [(1, 2), (2, 2), (4, 2)])):
         prop = spark.createDataFrame(edges + more, "src long, dst long, mask int, label string")
         assert rows(extensions.temporal_status(Compiled(vertices, prop, seeds, None, None), use, facts)) == expected
+
+
+def test_starts_are_counted_by_numbers(spark, sf, monkeypatch):
+    from supplyrisk.operators import exposure
+    from supplyrisk.sources.schema import RELEASE, code_of
+
+    at = _compiled(spark, sf).in_blocks()
+    monkeypatch.setattr(gathered, "SLOTS", 2)
+    products = at.vertices.select("vid").where(code_of(F.col("vid")) == RELEASE)
+    hosts = at.vertices.where("vtype = 'host'").select(F.col("vid").alias("start"), "vid", F.when(F.col("vid") % 2 == 0, 2).otherwise(1).alias("need"))
+    assert hosts.count() > 64
+    assert rows(exposure.reach_counts(at, hosts, products, FAR)) == rows(exposure.reach_counts(at, hosts, products))
+
+
+def test_starts_on_cycles_are_counted(spark):
+    prop = spark.createDataFrame([(1, 2, 3, "feeds"), (2, 3, 3, "feeds"), (3, 2, 3, "feeds"), (3, 4, 3, "feeds"), (5, 4, 3, "feeds")], "src long, dst long, mask int, label string")
+    laid = blocks.lay_out(prop, spark.createDataFrame([(4,)], "vid long"), LABELS, 5)
+    starts = spark.createDataFrame([(i, i, 3) for i in range(1, 6)], "number long, vid long, need int")
+    assert rows(gathered.reach_counts(laid, None, starts, starts.select("vid"))) == [(1, 4), (2, 3), (3, 3), (4, 1), (5, 2)]
