@@ -110,3 +110,19 @@ def test_starts_on_cycles_are_counted(spark):
     laid = blocks.lay_out(prop, spark.createDataFrame([(4,)], "vid long"), LABELS, 5)
     starts = spark.createDataFrame([(i, i, 3) for i in range(1, 6)], "number long, vid long, need int")
     assert rows(gathered.reach_counts(laid, None, starts, starts.select("vid"))) == [(1, 4), (2, 3), (3, 3), (4, 1), (5, 2)]
+
+
+def test_hosts_are_counted_beyond_what_every_task_holds(spark, monkeypatch):
+    # a long line of steps is shrunk to a vertex for each start and product, whatever the edges
+    from supplyrisk.operators import exposure
+    from supplyrisk.plans.compile import Compiled
+
+    prop = spark.createDataFrame([(i, i + 1, 3, "feeds") for i in range(1, 200)] + [(1000, 150, 2, "feeds")], "src long, dst long, mask int, label string")
+    none = spark.createDataFrame([], "vid long, status int")
+    vertices = spark.createDataFrame([(v, "host") for v in (*range(1, 201), 1000, 1001)], "vid long, vtype string")
+    at = Compiled(vertices, prop, none, none, none.select("vid")).in_blocks()
+    starts = spark.createDataFrame([(1, 1, 2), (120, 120, 2), (1000, 1000, 2), (1001, 1001, 2), (3000, 120, 1), (3000, 1000, 1)], "start long, vid long, need int")
+    products = spark.createDataFrame([(100,), (200,), (1001,)], "vid long")
+    monkeypatch.setattr(gathered, "SPREAD_CAP", 20)
+    monkeypatch.setattr(exposure, "_spread", lambda *_: pytest.fail("starts were spread by rounds"))
+    assert rows(exposure.reach_counts(at, starts, products, FAR)) == [(1, 2), (120, 1), (1000, 1), (1001, 1), (3000, 1)]
